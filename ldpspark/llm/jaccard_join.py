@@ -12,7 +12,8 @@ The distance 1 - |x n y| / |x u y| is a metric. The join works on that alone:
 * **Recursion.** In each region the member of least id is the next pivot p and every member's distance
   to it is computed exactly. Members within t of p are linked to it, and so to each other's class.
   A member u beyond t goes on with the other such members, and with the members y inside
-  the ball only if d(u, p) <= 2t and |d(u, p) - d(y, p)| <= t. These rests are joined exactly: small
+  the ball only if d(u, p) <= 2t and |d(u, p) - d(y, p)| <= t. (Distances are first bounded from below by
+  parity maps, which settle most pairs that are not linked without their texts.) These rests are joined exactly: small
   ones pair by pair, larger ones as blocks of at most ``BLOCK`` by ``BLOCK`` texts.
 
 Every link between different texts lies inside one class of the result, and classes are made of
@@ -22,7 +23,6 @@ linked to a pivot already.
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 from fractions import Fraction
 
@@ -47,6 +47,27 @@ def _needed(n: int, share: Fraction) -> int:
     return -(-n * share.numerator // share.denominator)
 
 
+def parity(s: np.ndarray) -> bytes:
+    """One bit for each of 2 to 4 times len(s) hash cells (a power of two, 64 at least): whether it holds an odd number of shingles.
+
+    Each shingle in one of two sets only flips one bit, so the number of unlike bits is a lower bound of the
+    symmetric difference. Folding a longer map in two gives the shorter one.
+    """
+    bits = max(64, 1 << (2 * len(s)).bit_length())
+    own = np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+    return np.packbits(own.astype(bool), bitorder="little").tobytes()
+
+
+def apart(x: bytes, y: bytes) -> int:
+    """Lower bound of the symmetric difference of the sets behind two parity maps."""
+    a, b = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+    while len(a) > len(b):
+        a = a[: len(a) // 2] ^ a[len(a) // 2 :]
+    while len(b) > len(a):
+        b = b[: len(b) // 2] ^ b[len(b) // 2 :]
+    return int(np.bitwise_count(a ^ b).sum())
+
+
 def _facts(docs: DataFrame, size: int) -> DataFrame:
     """Per text: id, number of shingles, 128-bit hash of the set; and slices of the shingle counters."""
 
@@ -54,13 +75,14 @@ def _facts(docs: DataFrame, size: int) -> DataFrame:
         cells = np.zeros(CELLS, np.int64)
         seen = False
         for batch in batches:
-            n, one, two = [], [], []
+            n, one, two, odd = [], [], [], []
             held: list[np.ndarray] = []
             rows = 0
             for s in shingle_sets(batch["text"], size):
                 n.append(len(s))
                 one.append(int(s.sum(dtype=np.uint64)))
                 two.append(int((s * (s >> np.uint64(7) | np.uint64(1))).sum(dtype=np.uint64)))
+                odd.append(parity(s))
                 held.append(s)
                 rows += len(s)
                 if rows > ROWS:
@@ -70,13 +92,13 @@ def _facts(docs: DataFrame, size: int) -> DataFrame:
                 cells += np.bincount((np.concatenate(held) >> np.uint64(44)).astype(np.int64), minlength=CELLS)
             seen = seen or any(n)
             k = len(n)
-            yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(n, pa.int64()), pa.array(np.array(one, np.uint64).view(np.int64)), pa.array(np.array(two, np.uint64).view(np.int64)), pa.nulls(k, pa.int32()), pa.nulls(k, pa.binary())], names=["doc_id", "n", "h1", "h2", "slice", "cells"])
+            yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(n, pa.int64()), pa.array(np.array(one, np.uint64).view(np.int64)), pa.array(np.array(two, np.uint64).view(np.int64)), pa.array(odd, pa.binary()), pa.nulls(k, pa.int32()), pa.nulls(k, pa.binary())], names=["doc_id", "n", "h1", "h2", "odd", "slice", "cells"])
         if seen:
             i, blobs = zip(*slices_of(cells))
             k = len(i)
-            yield pa.RecordBatch.from_arrays([pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.array(i, pa.int32()), pa.array(blobs, pa.binary())], names=["doc_id", "n", "h1", "h2", "slice", "cells"])
+            yield pa.RecordBatch.from_arrays([pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.binary()), pa.array(i, pa.int32()), pa.array(blobs, pa.binary())], names=["doc_id", "n", "h1", "h2", "odd", "slice", "cells"])
 
-    return docs.mapInArrow(work, f"doc_id long, n long, h1 long, h2 long, {SLICE_SCHEMA}")
+    return docs.mapInArrow(work, f"doc_id long, n long, h1 long, h2 long, odd binary, {SLICE_SCHEMA}")
 
 
 def _regions(docs: DataFrame, size: int, share: Fraction, counts: np.ndarray) -> DataFrame:
@@ -146,49 +168,48 @@ def measured(pairs: DataFrame, texts: DataFrame, size: int = 5) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", "text_a", "text_b").mapInArrow(work, "a long, b long, common long, together long")
 
 
-def _block_join(share: Fraction, size: int):
-    """Links inside a pair of blocks of one region, one per found class at least: whole sets, exact counts."""
+def bounded(pairs: DataFrame, maps: DataFrame) -> DataFrame:
+    """(a, b, na, nb, least): pairs with a lower bound of their symmetric difference, from the parity maps alone."""
+    left = maps.select(F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("odd").alias("odd_a"))
+    right = maps.select(F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("odd").alias("odd_b"))
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            least = [apart(x, y) for x, y in zip(batch["odd_a"].to_pylist(), batch["odd_b"].to_pylist())]
+            yield pa.RecordBatch.from_arrays([batch["a"], batch["b"], batch["na"], batch["nb"], pa.array(least, pa.int64())], names=["a", "b", "na", "nb", "least"])
+
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "odd_a", "odd_b").mapInArrow(work, "a long, b long, na long, nb long, least long")
+
+
+def _fold(maps: np.ndarray, words: int) -> np.ndarray:
+    while maps.shape[1] > words:
+        half = maps.shape[1] // 2
+        maps = maps[:, :half] ^ maps[:, half:]
+    return maps
+
+
+def _block_pairs(share: Fraction):
+    """Pairs of two classes (``c``) inside a pair of blocks of one region that sizes and parity maps leave possible."""
+    p, q = share.numerator, share.denominator
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.drop_duplicates(["side", "doc_id", "text"])
-        sets = list(shingle_sets(pa.array(pdf["text"]), size))
-        ids, side = pdf["doc_id"].to_numpy(), pdf["side"].to_numpy()
-        every = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
-        values, inverse, counts = np.unique(every, return_inverse=True, return_counts=True)
-        column = np.full(len(values), -1)
-        column[counts > 1] = np.arange((counts > 1).sum())
-        of = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
-        place = column[inverse]
-        lengths = np.array([len(s) for s in sets], np.int64)
-        one, two = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
-        if not len(two):
-            two = one
-        common = np.zeros((len(one), len(two)), np.float32)
-        width = 1 << 13
-        for a in range(0, int((counts > 1).sum()), width):
-            own = (place >= a) & (place < a + width)
-            grid = np.zeros((len(sets), width), np.float32)
-            grid[of[own], place[own] - a] = 1
-            common += grid[one] @ grid[two].T
-        common = common.astype(np.int64)
-        union = lengths[one][:, None] + lengths[two][None, :] - common
-        i, j = np.nonzero((common * share.denominator >= union * share.numerator) & (union > 0))
-        a, b = ids[one[i]], ids[two[j]]
-        root: dict[int, int] = {}
-
-        def find(x: int) -> int:
-            while root.setdefault(x, x) != x:
-                root[x] = root[root[x]]
-                x = root[x]
-            return x
-
-        out = []
-        for x, y in zip(a.tolist(), b.tolist()):
-            p, q = find(x), find(y)
-            if p != q:
-                root[p] = q
-                out.append((x, y))
-        return pd.DataFrame(out, columns=["a", "b"], dtype="int64")
+        empty = pd.DataFrame({"a": [], "b": []}, dtype="int64")
+        if pdf["c"].nunique() < 2:
+            return empty
+        sides = [{k: (g["doc_id"].to_numpy(), g["c"].to_numpy(), g["n"].to_numpy(), np.array([np.frombuffer(x, np.uint64) for x in g["odd"]])) for k, g in part.groupby(part["odd"].str.len())} for part in (pdf[pdf["side"] == 0], pdf[pdf["side"] == 1])]
+        one, two = sides if sides[1] else (sides[0], sides[0])
+        out = [empty]
+        for la, (ia, ca, na, ma) in one.items():
+            for lb, (ib, cb, nb, mb) in two.items():
+                words = min(la, lb) // 8
+                fa, fb = _fold(ma, words), _fold(mb, words)
+                for k in range(len(ia)):
+                    could = np.flatnonzero((cb != ca[k]) & (na[k] * q >= nb * p) & (nb * q >= na[k] * p))
+                    if len(could):
+                        least = np.bitwise_count(fb[could] ^ fa[k]).sum(axis=1, dtype=np.int64)
+                        could = could[least * (q + p) <= (na[k] + nb[could]) * (q - p)]
+                        out.append(pd.DataFrame({"a": np.maximum(ia[k], ib[could]), "b": np.minimum(ia[k], ib[could])}))
+        return pd.concat(out).drop_duplicates().astype("int64")
 
     return work
 
@@ -214,50 +235,66 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     w = Window.partitionBy("key")
     region = _regions(texts, size, need, counts)
     region = region.withColumn("p", F.min(F.struct("doc_id", "n")).over(w)).withColumn("members", F.count(F.lit(1)).over(w))
-    region = stage(region.where("members > 1").select("key", "doc_id", "n", F.col("p.doc_id").alias("p"), F.col("p.n").alias("pn"), "members"), "regions")
+    region = stage(region.where("members > 1").select("key", "doc_id", "n", F.col("p.doc_id").alias("p"), F.col("p.n").alias("pn")), "regions")
+
+    maps = facts.where("doc_id is not null").select("doc_id", "n", "odd")
+    near = texts.where("doc_id is not null")
+    eps = 1e-9
+
+    def resolved(pairs: DataFrame, name: str) -> DataFrame:
+        """Pairs with the interval [lo, hi] of their distance, which is one exact value wherever a link is possible."""
+        pairs = stage(pairs, f"{name}-pairs")
+        some = maps if name == "all" else only_ids(maps, "doc_id", id_filter(pairs.select("a").union(pairs.select("b")), "a"))
+        bound = stage(bounded(pairs, some).dropDuplicates(["a", "b"]), f"{name}-bounds")
+        # |x sym y| <= (1-s)/(1+s) (|x|+|y|) for every pair of similarity s or more
+        may = F.col("least") * (need.denominator + need.numerator) <= (F.col("na") + F.col("nb")) * (need.denominator - need.numerator)
+        left = stage(bound.where(may).select("a", "b"), f"{name}-possible")
+        held = only_ids(near, "doc_id", id_filter(left.select("a").union(left.select("b")), "a"))
+        exact = measured(left, held, size).groupBy("a", "b").agg(F.min(1 - F.col("common") / F.col("together")).alias("d"), F.max(F.col("common") * need.denominator >= F.col("together") * need.numerator).alias("link"))
+        low = 2 * F.col("least") / (F.col("na") + F.col("nb") + F.col("least"))
+        return stage(bound.join(exact, ["a", "b"], "left").select("a", "b", F.coalesce("d", low).alias("lo"), F.coalesce("d", F.lit(1.0)).alias("hi"), F.coalesce("link", F.lit(False)).alias("link")), f"{name}-distances")
 
     fits = F.col("n") * need.denominator >= F.col("pn") * need.numerator
     fits = fits & (F.col("pn") * need.denominator >= F.col("n") * need.numerator)
-    pairs = region.where(F.col("doc_id") != F.col("p")).where(fits).select(F.col("doc_id").alias("a"), F.col("p").alias("b")).distinct()
-    pairs = stage(pairs, "pairs")
-    near = texts.where("doc_id is not null")
-    some = only_ids(near, "doc_id", id_filter(pairs.select("a").union(pairs.select("b")).distinct(), "a"))
-    tested = stage(measured(pairs, some, size), "tested")
-    linked = tested.where(F.col("common") * need.denominator >= F.col("together") * need.numerator)
+    others = region.where(F.col("doc_id") != F.col("p"))
+    tested = resolved(others.where(fits).select(F.col("doc_id").alias("a"), F.col("p").alias("b")).distinct(), "pivot")
+    linked = tested.where("link")
 
-    far = region.where(F.col("doc_id") != F.col("p")).join(tested.select(F.col("a").alias("doc_id"), F.col("b").alias("p"), (1 - F.col("common") / F.col("together")).alias("d")), ["doc_id", "p"], "left")
+    far = others.join(tested.select(F.col("a").alias("doc_id"), F.col("b").alias("p"), "lo", "hi", "link"), ["doc_id", "p"], "left")
     # beyond a factor 3/4 in size no distance was computed; the sizes bound it from below
-    far = far.withColumn("d", F.coalesce("d", 1 - F.least("n", "pn") / F.greatest("n", "pn")))
-    eps = 1e-9
-    far = far.withColumn("inside", F.col("d") <= float(t) + eps)
-    far = stage(far, "distances")
-    open_keys = far.groupBy("key").agg(F.sum(F.when(~F.col("inside"), 1).otherwise(0)).alias("outside"), F.count(F.lit(1)).alias("others"), F.bit_xor(F.xxhash64("doc_id", "inside")).alias("like"), F.bit_xor(F.xxhash64("inside", "doc_id", F.lit(1))).alias("like2"))
-    open_keys = open_keys.where("outside > 0 and others > 1")
+    far = far.withColumn("lo", F.coalesce("lo", 1 - F.least("n", "pn") / F.greatest("n", "pn"))).withColumn("hi", F.coalesce("hi", F.lit(1.0)))
+    far = far.withColumn("inside", F.coalesce("link", F.lit(False))).drop("link")
+    # what is one class already needs no further test
+    first = components(linked.select("a", "b"))
+    far = far.join(first.select(F.col("node").alias("doc_id"), F.col("component").alias("c")), "doc_id", "left").join(first.select(F.col("node").alias("p"), F.col("component").alias("pc")), "p", "left")
+    far = far.withColumn("c", F.coalesce("c", "doc_id")).withColumn("pc", F.coalesce("pc", "p"))
+    far = stage(far.withColumn("open", F.col("c") != F.col("pc")).withColumn("edge", F.col("open") & (F.col("lo") <= 2 * float(t) + eps)), "rings")
+    count = lambda c: F.sum(F.when(c, 1).otherwise(0))
+    keys = far.groupBy("key").agg(count(F.col("open")).alias("opens"), count(F.col("edge")).alias("edges")).where("opens > 0")
+    # members of the ball matter only where the ring between t and 2t has someone of another class
+    rest = far.join(keys, "key").where(F.col("open") | ~F.col("inside") | (F.col("edges") > 0))
+    width = rest.groupBy("key").agg(F.count(F.lit(1)).alias("others"), F.bit_xor(F.xxhash64("doc_id", "inside")).alias("like"), F.bit_xor(F.xxhash64("inside", "doc_id", F.lit(1))).alias("like2"))
     # regions of the same members are one
-    open_keys = open_keys.groupBy("like", "like2", "others", "outside").agg(F.min("key").alias("key"))
-    rest = stage(far.join(open_keys.select("key", "others"), "key"), "rest")
+    width = width.where("others > 1").groupBy("like", "like2", "others").agg(F.min("key").alias("key"))
+    rest = stage(rest.join(width.select("key", "others"), "key"), "rest")
 
     few = rest.where(F.col("others") <= SMALL)
-    u = few.where("not inside").select("key", F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("d").alias("da"))
-    y = few.select("key", F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("d").alias("db"), F.col("inside").alias("ball"))
-    close = (F.abs(F.col("da") - F.col("db")) <= float(t) + eps) & (~F.col("ball") | (F.col("da") <= 2 * float(t) + eps)) & (F.col("na") * need.denominator >= F.col("nb") * need.numerator) & (F.col("nb") * need.denominator >= F.col("na") * need.numerator)
-    extra = u.join(y, "key").where(close & (F.col("a") != F.col("b"))).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    extra = stage(extra, "extra")
-
-    many = rest.where((F.col("others") > SMALL) & (~F.col("inside") | (F.col("d") <= 2 * float(t) + eps)))
-    ranked = many.withColumn("block", F.floor(F.pmod(F.xxhash64("doc_id"), F.greatest(F.lit(1), F.ceil(F.col("others") / BLOCK)))))
+    u = few.where("open").select("key", F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("lo").alias("la"), F.col("hi").alias("ha"), F.col("c").alias("ca"))
+    y = few.select("key", F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("lo").alias("lb"), F.col("hi").alias("hb"), F.col("inside").alias("ball"), F.col("c").alias("cb"))
+    window = (F.col("la") - F.col("hb") <= float(t) + eps) & (F.col("lb") - F.col("ha") <= float(t) + eps)
+    close = window & (~F.col("ball") | (F.col("la") <= 2 * float(t) + eps)) & (F.col("na") * need.denominator >= F.col("nb") * need.numerator) & (F.col("nb") * need.denominator >= F.col("na") * need.numerator)
+    extra = u.join(y, "key").where(close & (F.col("ca") != F.col("cb"))).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    many = rest.where(F.col("others") > SMALL)
     last = F.greatest(F.lit(1), F.ceil(F.col("others") / BLOCK)) - 1
+    ranked = many.withColumn("block", F.floor(F.pmod(F.xxhash64("doc_id"), last + 1)))
     each = ranked.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), last.cast("long"))))
-    each = each.select("key", "doc_id", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), F.when(F.col("block") <= F.col("other"), 0).otherwise(1).alias("side"))
-    each = stage(each.where("i != j or side = 0"), "blocks")
-
-    wanted = extra.select("a").union(extra.select("b")).union(each.select("doc_id")).distinct()
-    more = only_ids(near, "doc_id", id_filter(wanted, "a"))
-    checked = measured(extra, more, size)
-    found = checked.where(F.col("common") * need.denominator >= F.col("together") * need.numerator).select("a", "b")
-    blocks = each.join(more, "doc_id").groupBy("key", "i", "j").applyInPandas(_block_join(need, size), "a long, b long")
+    each = each.select("key", "doc_id", "c", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), F.when(F.col("block") <= F.col("other"), 0).otherwise(1).alias("side"))
+    each = stage(each, "blocks")
+    held = only_ids(maps, "doc_id", id_filter(each, "doc_id"))
+    blocks = each.join(held, "doc_id").groupBy("key", "i", "j").applyInPandas(_block_pairs(need), "a long, b long")
+    found = resolved(extra.unionByName(blocks).distinct(), "rest").where("link").select("a", "b")
 
-    links = stage(linked.select("a", "b").unionByName(found).unionByName(blocks), "found")
+    links = stage(linked.select("a", "b").unionByName(found), "found")
     classes = components(links)
     degree = linked.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("pivot_links"))
     named = stage(classes.join(degree, "node", "left"), "classes")
