@@ -196,11 +196,12 @@ def _block_pairs(share: Fraction):
         empty = pd.DataFrame({"a": [], "b": []}, dtype="int64")
         if pdf["c"].nunique() < 2:
             return empty
-        sides = [{k: (g["doc_id"].to_numpy(), g["c"].to_numpy(), g["n"].to_numpy(), np.array([np.frombuffer(x, np.uint64) for x in g["odd"]])) for k, g in part.groupby(part["odd"].str.len())} for part in (pdf[pdf["side"] == 0], pdf[pdf["side"] == 1])]
+        here = int(pdf["kh"].iloc[0])
+        sides = [{k: (g["doc_id"].to_numpy(), g["c"].to_numpy(), g["n"].to_numpy(), np.array([np.frombuffer(x, np.uint64) for x in g["odd"]]), [frozenset(x) for x in g["ks"]]) for k, g in part.groupby(part["odd"].str.len())} for part in (pdf[pdf["side"] == 0], pdf[pdf["side"] == 1])]
         one, two = sides if sides[1] else (sides[0], sides[0])
         out = [empty]
-        for la, (ia, ca, na, ma) in one.items():
-            for lb, (ib, cb, nb, mb) in two.items():
+        for la, (ia, ca, na, ma, ka) in one.items():
+            for lb, (ib, cb, nb, mb, kb) in two.items():
                 words = min(la, lb) // 8
                 fa, fb = _fold(ma, words), _fold(mb, words)
                 for k in range(len(ia)):
@@ -208,6 +209,8 @@ def _block_pairs(share: Fraction):
                     if len(could):
                         least = np.bitwise_count(fb[could] ^ fa[k]).sum(axis=1, dtype=np.int64)
                         could = could[least * (q + p) <= (na[k] + nb[could]) * (q - p)]
+                        # a pair of several regions comes from the first of them only
+                        could = could[[min(ka[k] & kb[x]) == here for x in could]]
                         out.append(pd.DataFrame({"a": np.maximum(ia[k], ib[could]), "b": np.minimum(ia[k], ib[could])}))
         return pd.concat(out).drop_duplicates().astype("int64")
 
@@ -288,10 +291,11 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     last = F.greatest(F.lit(1), F.ceil(F.col("others") / BLOCK)) - 1
     ranked = many.withColumn("block", F.floor(F.pmod(F.xxhash64("doc_id"), last + 1)))
     each = ranked.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), last.cast("long"))))
-    each = each.select("key", "doc_id", "c", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), F.when(F.col("block") <= F.col("other"), 0).otherwise(1).alias("side"))
+    each = each.select("key", F.hash("key").alias("kh"), "doc_id", "c", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), F.when(F.col("block") <= F.col("other"), 0).otherwise(1).alias("side"))
     each = stage(each, "blocks")
     held = only_ids(maps, "doc_id", id_filter(each, "doc_id"))
-    blocks = each.join(held, "doc_id").groupBy("key", "i", "j").applyInPandas(_block_pairs(need), "a long, b long")
+    shared = many.groupBy("doc_id").agg(F.collect_set(F.hash("key")).alias("ks"))
+    blocks = each.join(held, "doc_id").join(shared, "doc_id").groupBy("key", "i", "j").applyInPandas(_block_pairs(need), "a long, b long")
     found = resolved(extra.unionByName(blocks).distinct(), "rest").where("link").select("a", "b")
 
     links = stage(linked.select("a", "b").unionByName(found), "found")
