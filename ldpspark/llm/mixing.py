@@ -75,6 +75,26 @@ def mixed(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, limit: int = LIMI
     return placed.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
 
 
+def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, limit: int = LIMIT, seed: str = "mix") -> DataFrame:
+    """The mix itself: each row of ``docs`` as often as it is taken, with its own columns.
+
+    Rows that agree in id, source and size share the copies that ``mixed`` gives them, dealt out by the order of their texts. Without such
+    rows the texts move once, to meet their number of copies.
+    """
+    plan = mixed(docs, weights, limit, seed).groupBy(F.col("doc_id").alias("_id"), F.col("source").alias("_source"), F.col("size").alias("_size"))
+    plan = stage(plan.agg(F.sum("copies").alias("_copies"), F.count(F.lit(1)).alias("_rows")).where("_copies > 0"), "copies")
+    own = docs.withColumn("_len", F.coalesce(F.regexp_count(F.col("text").cast("string"), F.lit(WORD)), F.lit(0)).cast("long"))
+    match = own["doc_id"].cast("long").eqNullSafe(plan["_id"]) & own["source"].cast("string").eqNullSafe(plan["_source"]) & (own["_len"] == plan["_size"])
+    single, repeated = plan.where("_rows = 1"), plan.where("_rows > 1")
+    taken = own.join(single, match)
+    if not repeated.isEmpty():
+        several = own.join(repeated, match)
+        nth = F.row_number().over(Window.partitionBy("_id", "_source", "_size").orderBy("text"))
+        share = F.floor(F.col("_copies") / F.col("_rows")) + F.when(nth <= F.col("_copies") % F.col("_rows"), 1).otherwise(0)
+        taken = taken.unionByName(several.withColumn("_copies", share.cast("long")).where("_copies > 0"))
+    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies")))).select(*[F.col(f"`{c}`") for c in docs.columns])
+
+
 ORACLE = r"""
 WITH b AS (
   SELECT doc_id, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::BIGINT AS size,

@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -53,15 +54,24 @@ class Permutation:
 def numbered(df: DataFrame, order: list[str], column: str = "row_number") -> tuple[DataFrame, int]:
     """``df`` with gapless global row numbers from 0 in the given order, and the number of rows.
 
-    Ranges are dealt out by Spark's range partitioning; a range's offset is the sum of the counts before it.
+    Ranges are dealt out by Spark's range partitioning and sorted; a range's offset is the sum of the counts before it.
     Equal rows are interchangeable. Nulls come first.
     """
-    parts = stage(df.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()), "ranges")
+
+    def number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part, n = TaskContext.get().partitionId(), 0
+        for batch in batches:
+            k = batch.num_rows
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.full(k, part, np.int32)), pa.array(np.arange(n, n + k))], names=[*batch.schema.names, "_part", "_nth"])
+            n += k
+
+    schema = T.StructType([*df.schema.fields, T.StructField("_part", T.IntegerType()), T.StructField("_nth", T.LongType())])
+    parts = stage(df.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(number, schema), "ranges")
     sizes = parts.groupBy("_part").agg(F.count(F.lit(1)).alias("_size"))
     before = F.sum("_size").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("_size")
+    # one row for each partition of the table
     offsets = sizes.select("_part", before.alias("_before"))
-    nth = F.row_number().over(Window.partitionBy("_part").orderBy(*order)) - 1
-    out = parts.withColumn("_nth", nth).join(offsets, "_part").withColumn(column, F.col("_before") + F.col("_nth"))
+    out = parts.join(F.broadcast(offsets), "_part").withColumn(column, F.col("_before") + F.col("_nth"))
     return out.drop("_part", "_nth", "_before"), parts.count()
 
 
