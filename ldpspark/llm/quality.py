@@ -17,12 +17,12 @@ from pyspark.sql import functions as F
 
 from ldpspark.llm.textkernel import runs, texts_of
 
-WIDTH, STEP, DIM, FILTERS = 8, 4, 8, 24
+WIDTH, STEP, DIM, FILTERS = 8, 4, 8, 32
 #: Positions in half a chunk: a chunk is 1,024 bytes and starts every 512.
 HALF = 128
 #: Bound of the training sample, in rows of each label, whatever the size of the corpus.
-PER_LABEL = 1000
-EPOCHS, BATCH, RATE = 8, 32, 0.01
+PER_LABEL = 2000
+EPOCHS, BATCH, RATE = 6, 32, 0.01
 #: Weight of label 1 in training: losing a good text counts more than keeping a bad one.
 CLEAN_WEIGHT = 0.85
 
@@ -107,7 +107,9 @@ def _gradients(net: Network, raw: np.ndarray, offsets: np.ndarray, label: np.nda
     up = joined > 0
     share = delta[:, None] * net.mix[FILTERS:] / chunks[:, None]
     is_top = (joined == largest[chunk_of]) & up
-    d_joined = share[chunk_of] * up + (delta[:, None] * net.mix[:FILTERS])[chunk_of] * is_top
+    # overlapping chunks hold the same maximum: it counts once
+    tops = np.maximum(1, np.add.reduceat(is_top.astype(np.float32), np.cumsum(chunks) - chunks, axis=0))
+    d_joined = share[chunk_of] * up + (delta[:, None] * net.mix[:FILTERS] / tops)[chunk_of] * is_top
     c, f = np.nonzero(d_joined)
     value = d_joined[c, f]
     # the window behind each maximum
