@@ -84,7 +84,7 @@ def _span_hash(h: np.ndarray, i: np.ndarray, n: np.ndarray, name: str, base: int
 
 
 def passages(docs: DataFrame, words: int) -> DataFrame:
-    """(h1, h2, doc_id, start): the ``words`` words from every sentence start on."""
+    """(h1, h2, doc_id, starts): the ``words`` words from every sentence start on; a passage that a text repeats is one row with all its starts."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -94,9 +94,15 @@ def passages(docs: DataFrame, words: int) -> DataFrame:
                 if len(i):
                     n = np.full(len(i), words)
                     one, two = _span_hash(h, i, n, "w1", _W1), _span_hash(h, i, n, "w2", _W2)
-                    yield pa.RecordBatch.from_arrays([pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), batch["doc_id"].slice(a, b - a).take(pa.array(of[i])), pa.array(i - edges[of[i]])], names=["h1", "h2", "doc_id", "start"])
+                    order = np.lexsort((i, two, one, of[i]))
+                    i, one, two = i[order], one[order], two[order]
+                    fresh = np.ones(len(i), bool)
+                    fresh[1:] = (one[1:] != one[:-1]) | (two[1:] != two[:-1]) | (of[i[1:]] != of[i[:-1]])
+                    cut = np.flatnonzero(fresh)
+                    starts = pa.ListArray.from_arrays(pa.array(np.append(cut, len(i)).astype(np.int32)), pa.array(i - edges[of[i]]))
+                    yield pa.RecordBatch.from_arrays([pa.array(one[cut].view(np.int64)), pa.array(two[cut].view(np.int64)), batch["doc_id"].slice(a, b - a).take(pa.array(of[i[cut]])), starts], names=["h1", "h2", "doc_id", "starts"])
 
-    return docs.mapInArrow(work, "h1 long, h2 long, doc_id long, start long")
+    return docs.mapInArrow(work, "h1 long, h2 long, doc_id long, starts array<long>")
 
 
 def _lines(new_line: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray]:
@@ -162,7 +168,8 @@ def repeated_spans(docs: DataFrame, min_words: int = MIN_WORDS, share: tuple[int
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null")
 
     same = Window.partitionBy("h1", "h2")
-    equal = passages(texts, min_words).withColumn("k", F.min(F.struct("doc_id", "start")).over(same)).withColumn("c", F.count(F.lit(1)).over(same)).where("c > 1")
+    equal = passages(texts, min_words).withColumn("k", F.min(F.struct("doc_id", F.col("starts")[0].alias("start"))).over(same)).withColumn("c", F.sum(F.size("starts")).over(same)).where("c > 1")
+    equal = equal.withColumn("start", F.explode("starts"))
     equal = equal.where(F.struct("doc_id", "start") != F.col("k")).select("doc_id", "start", (F.col("start") + min_words).alias("end"), F.col("k.doc_id").alias("keep"))
     equal = stage(equal, "passages")
 
