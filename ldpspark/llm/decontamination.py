@@ -39,7 +39,7 @@ def tokens(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]
 
 
 def item_words(items: DataFrame) -> DataFrame:
-    """(item_id as string, words): the word hashes of each benchmark item that has words."""
+    """(ik, item_id as string, words): the word hashes of each benchmark item that has words; ``ik`` tells items of one id apart by their text."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -47,18 +47,18 @@ def item_words(items: DataFrame) -> DataFrame:
             for a, b, h, of in tokens(batch["text"]):
                 edges = np.searchsorted(of, np.arange(b - a + 1))
                 out += [h[edges[i] : edges[i + 1]].view(np.int64) for i in range(b - a)]
-            yield pa.RecordBatch.from_arrays([batch["item_id"], pa.array(out, pa.list_(pa.int64()))], names=["item_id", "words"])
+            yield pa.RecordBatch.from_arrays([batch["ik"], batch["item_id"], pa.array(out, pa.list_(pa.int64()))], names=["ik", "item_id", "words"])
 
-    named = items.select(F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text"))
-    return named.mapInArrow(work, "item_id string, words array<long>").where(F.size("words") > 0)
+    named = items.select(F.xxhash64(F.col("item_id").cast("string"), F.col("text").cast("string")).alias("ik"), F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text"))
+    return named.mapInArrow(work, "ik long, item_id string, words array<long>").where(F.size("words") > 0).dropDuplicates(["ik"])
 
 
 def windows(words: DataFrame, length: int = LENGTH) -> DataFrame:
-    """(item_id, start, pos, term): each window's terms by position in the item."""
+    """(ik, start, pos, term): each window's terms by position in the item."""
     last = F.greatest(F.size("words") - length, F.lit(0))
     starts = words.withColumn("start", F.explode(F.sequence(F.lit(0), last)))
     inside = F.slice("words", F.col("start") + 1, F.lit(length))
-    return starts.select("item_id", "start", F.posexplode(inside).alias("off", "term")).select("item_id", "start", (F.col("start") + F.col("off")).alias("pos"), "term")
+    return starts.select("ik", "start", F.posexplode(inside).alias("off", "term")).select("ik", "start", (F.col("start") + F.col("off")).alias("pos"), "term")
 
 
 def _seen(h: np.ndarray, packed: np.ndarray) -> np.ndarray:
@@ -95,11 +95,11 @@ def term_counts(docs: DataFrame, bits: np.ndarray) -> DataFrame:
 
 
 def anchored(grams: DataFrame, counts: DataFrame, anchors: int = ANCHORS) -> DataFrame:
-    """(item_id, start, pos, term): the rarest terms of each window that the corpus can hold."""
-    by = Window.partitionBy("item_id", "start")
+    """(ik, start, pos, term): the rarest terms of each window that the corpus can hold."""
+    by = Window.partitionBy("ik", "start")
     known = grams.join(counts, "term", "left").withColumn("n", F.coalesce("n", F.lit(0)))
     known = known.withColumn("least", F.min("n").over(by)).where("least > 0")
-    return known.withColumn("nth", F.row_number().over(by.orderBy("n", "term", "pos"))).where(F.col("nth") <= anchors).select("item_id", "start", "pos", "term")
+    return known.withColumn("nth", F.row_number().over(by.orderBy("n", "term", "pos"))).where(F.col("nth") <= anchors).select("ik", "start", "pos", "term")
 
 
 def postings(docs: DataFrame, bits: np.ndarray) -> DataFrame:
@@ -122,18 +122,18 @@ def postings(docs: DataFrame, bits: np.ndarray) -> DataFrame:
 
 
 def alignments(index: DataFrame, anchors: DataFrame) -> DataFrame:
-    """(doc_id, th, item_id, shift): where some window's anchors are all posted at their offsets."""
-    places = anchors.select("item_id", "pos", "term").distinct().withColumnRenamed("pos", "item_pos")
+    """(doc_id, th, ik, shift): where some window's anchors are all posted at their offsets."""
+    places = anchors.select("ik", "pos", "term").distinct().withColumnRenamed("pos", "item_pos")
     found = index.where("term is not null").join(places, "term")
-    found = found.groupBy("doc_id", "th", "item_id", (F.col("pos") - F.col("item_pos")).alias("shift")).agg(F.collect_set("item_pos").alias("posted"))
-    wanted = anchors.groupBy("item_id", "start").agg(F.collect_set("pos").alias("need")).groupBy("item_id").agg(F.collect_set("need").alias("needs"))
+    found = found.groupBy("doc_id", "th", "ik", (F.col("pos") - F.col("item_pos")).alias("shift")).agg(F.collect_set("item_pos").alias("posted"))
+    wanted = anchors.groupBy("ik", "start").agg(F.collect_set("pos").alias("need")).groupBy("ik").agg(F.collect_set("need").alias("needs"))
     met = F.exists("needs", lambda need: F.size(F.array_except(need, F.col("posted"))) == 0)
-    return found.join(wanted, "item_id").where(met).select("doc_id", "th", "item_id", "shift")
+    return found.join(wanted, "ik").where(met).select("doc_id", "th", "ik", "shift")
 
 
 def phrase_hits(texts: DataFrame, aligned: DataFrame, words: DataFrame, length: int = LENGTH) -> DataFrame:
     """(doc_id, th, n_hit, items): words of the text inside any occurring window, and the items whose windows occur."""
-    listed = aligned.join(words, "item_id").groupBy("doc_id", "th").agg(F.collect_list(F.struct("item_id", "shift", "words")).alias("at"))
+    listed = aligned.join(words, "ik").groupBy("doc_id", "th").agg(F.collect_list(F.struct("item_id", "shift", "words")).alias("at"))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -167,12 +167,12 @@ def phrase_hits(texts: DataFrame, aligned: DataFrame, words: DataFrame, length:
 
 
 def proximity_matches(index: DataFrame, anchors: DataFrame, slack: int = 5) -> DataFrame:
-    """(doc_id, item_id, start, off_by): window anchors posted at distances up to ``slack`` words from their true distance.
+    """(doc_id, ik, start, off_by): window anchors posted at distances up to ``slack`` words from their true distance.
 
     Positions are joined by cells of the text of the width of the window, so a frequent term meets only its neighbourhood.
     """
-    pair = anchors.groupBy("item_id", "start").agg(F.array_sort(F.collect_list(F.struct("pos", "term"))).alias("p")).where(F.size("p") >= 2)
-    pair = pair.select("item_id", "start", F.col("p")[0]["term"].alias("term_a"), F.col("p")[1]["term"].alias("term_b"), (F.col("p")[1]["pos"] - F.col("p")[0]["pos"]).alias("gap"))
+    pair = anchors.groupBy("ik", "start").agg(F.array_sort(F.collect_list(F.struct("pos", "term"))).alias("p")).where(F.size("p") >= 2)
+    pair = pair.select("ik", "start", F.col("p")[0]["term"].alias("term_a"), F.col("p")[1]["term"].alias("term_b"), (F.col("p")[1]["pos"] - F.col("p")[0]["pos"]).alias("gap"))
     width = LENGTH + slack
     posted = index.where("term is not null")
     a = posted.select("doc_id", "th", F.col("term").alias("term_a"), F.col("pos").alias("pos_a")).join(pair, "term_a")
@@ -180,7 +180,7 @@ def proximity_matches(index: DataFrame, anchors: DataFrame, slack: int = 5) -> D
     b = posted.select("doc_id", "th", F.col("term").alias("term_b"), F.col("pos").alias("pos_b"), F.floor(F.col("pos") / width).alias("cell"))
     off = F.abs(F.col("pos_b") - F.col("pos_a") - F.col("gap"))
     near = a.join(b, ["doc_id", "th", "term_b", "cell"]).where(off <= slack)
-    return near.groupBy("doc_id", "item_id", "start").agg(F.min(off).alias("off_by"))
+    return near.groupBy("doc_id", "ik", "start").agg(F.min(off).alias("off_by"))
 
 
 def build_index(docs: DataFrame, items: DataFrame, length: int = LENGTH) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
@@ -200,7 +200,7 @@ def contamination(docs: DataFrame, items: DataFrame, length: int = LENGTH) -> Da
 
     ``contaminated``: some hit, and at least a twentieth of the words. Null or empty text has no words. An item with fewer words
     than ``length`` is one window; one without words, or with null text, has none. Rows that repeat an id are judged each
-    by its own text. Items that share an id count once. Further columns are ignored; empty tables give no hits.
+    by its own text. Items that share an id are compared each by its own text and count once. Further columns are ignored; empty tables give no hits.
     """
     texts, words, anchors, index = build_index(docs, items, length)
     facts = index.where("n_words is not null").select("doc_id", "th", "n_words")
