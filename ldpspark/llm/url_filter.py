@@ -39,13 +39,13 @@ def matched_rule(host: str, path: str, rules: tuple[tuple[str, str, str], ...] =
 
 
 def _strength(level: DataFrame) -> DataFrame:
-    """One row: prior strength of a level's bad rates around their mean, by moments of the beta-binomial."""
+    """One row: prior strength of a level's bad rates around their mean, by moments of the beta-binomial; the weakest where outcomes are too few to tell."""
     t = level.where("n > 0").agg(F.count(F.lit(1)).alias("k"), F.sum("n").alias("N"), F.sum("bad").alias("B"), F.sum(F.col("bad") * F.col("bad") / F.col("n")).alias("Q"), F.sum((F.col("n") * F.col("n")).cast("double")).alias("R"))
     mean = (F.col("B") + 1.0) / (F.col("N") + 2.0)
     between = (F.col("Q") - F.col("B") * F.col("B") / F.col("N")) / (mean * (1 - mean)) - (F.col("k") - 1)
     room = F.col("N") - F.col("R") / F.col("N") - (F.col("k") - 1)
-    rho = F.when((F.coalesce(F.col("N"), F.lit(0)) > 0) & (room > 0), between / room).otherwise(0.01)
-    rho = F.greatest(F.lit(0.001), F.least(F.lit(0.5), rho))
+    rho = F.when((F.coalesce(F.col("N"), F.lit(0)) > 0) & (room > 0), between / room).otherwise(0.5)
+    rho = F.greatest(F.lit(0.001), F.least(F.lit(0.5), F.coalesce(rho, F.lit(0.5))))
     return t.select((1 / rho - 1).alias("strength"))
 
 
@@ -107,8 +107,8 @@ s AS (SELECT suffix, sum(n) AS n, sum(bad) AS bad FROM d GROUP BY ALL),
 lv AS (SELECT 1 AS lvl, n, bad FROM s UNION ALL SELECT 2, n, bad FROM d UNION ALL SELECT 3, n, bad FROM h),
 m AS (SELECT lvl, count(*) AS k, sum(n)::DOUBLE AS nn, sum(bad)::DOUBLE AS bb, sum(bad::DOUBLE * bad / n) AS q, sum((n::DOUBLE) * n) AS r FROM lv WHERE n > 0 GROUP BY lvl),
 rho AS (SELECT lvl, CASE WHEN nn - r / nn - (k - 1) > 0
-                 THEN ((q - bb * bb / nn) / (((bb + 1) / (nn + 2)) * (1 - (bb + 1) / (nn + 2))) - (k - 1)) / (nn - r / nn - (k - 1)) ELSE 0.01 END AS x FROM m),
-st AS (SELECT l.lvl, 1 / greatest(0.001::DOUBLE, least(0.5::DOUBLE, coalesce(x, 0.01::DOUBLE))) - 1 AS k FROM (VALUES (1), (2), (3)) l(lvl) LEFT JOIN rho USING (lvl)),
+                 THEN ((q - bb * bb / nn) / (((bb + 1) / (nn + 2)) * (1 - (bb + 1) / (nn + 2))) - (k - 1)) / (nn - r / nn - (k - 1)) ELSE 0.5 END AS x FROM m),
+st AS (SELECT l.lvl, 1 / greatest(0.001::DOUBLE, least(0.5::DOUBLE, coalesce(x, 0.5::DOUBLE))) - 1 AS k FROM (VALUES (1), (2), (3)) l(lvl) LEFT JOIN rho USING (lvl)),
 sp AS (SELECT suffix, (bad + k * (SELECT (coalesce(sum(bad), 0) + 1.0::DOUBLE) / (coalesce(sum(n), 0) + 2.0::DOUBLE) FROM s)) / (n + k) AS m FROM s, st WHERE lvl = 1),
 dp AS (SELECT domain, (bad + k * m) / (n + k) AS m FROM d JOIN sp USING (suffix), st WHERE lvl = 2),
 hp AS (SELECT host, (bad + k * m) / (n + k) AS m, n + k AS w FROM h JOIN dp USING (domain), st WHERE lvl = 3),
