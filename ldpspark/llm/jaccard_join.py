@@ -257,21 +257,26 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
         low = 2 * F.col("least") / (F.col("na") + F.col("nb") + F.col("least"))
         return stage(bound.join(exact, ["a", "b"], "left").select("a", "b", F.coalesce("d", low).alias("lo"), F.coalesce("d", F.lit(1.0)).alias("hi"), F.coalesce("link", F.lit(False)).alias("link")), f"{name}-distances")
 
-    fits = F.col("n") * need.denominator >= F.col("pn") * need.numerator
-    fits = fits & (F.col("pn") * need.denominator >= F.col("n") * need.numerator)
     others = region.where(F.col("doc_id") != F.col("p"))
-    tested = resolved(others.where(fits).select(F.col("doc_id").alias("a"), F.col("p").alias("b")).distinct(), "pivot")
+    fits = (F.col("n") * need.denominator >= F.col("pn") * need.numerator) & (F.col("pn") * need.denominator >= F.col("n") * need.numerator)
+    met = stage(others.select(F.col("doc_id").alias("a"), F.col("p").alias("b"), "n", "pn", fits.alias("fits")).distinct(), "met")
+    tested = resolved(met.where("fits").select("a", "b"), "pivot")
     linked = tested.where("link")
 
-    far = others.join(tested.select(F.col("a").alias("doc_id"), F.col("b").alias("p"), "lo", "hi", "link"), ["doc_id", "p"], "left")
-    # beyond a factor 3/4 in size no distance was computed; the sizes bound it from below
-    far = far.withColumn("lo", F.coalesce("lo", 1 - F.least("n", "pn") / F.greatest("n", "pn"))).withColumn("hi", F.coalesce("hi", F.lit(1.0)))
-    far = far.withColumn("inside", F.coalesce("link", F.lit(False))).drop("link")
     # what is one class already needs no further test
     first = components(linked.select("a", "b"))
-    far = far.join(first.select(F.col("node").alias("doc_id"), F.col("component").alias("c")), "doc_id", "left").join(first.select(F.col("node").alias("p"), F.col("component").alias("pc")), "p", "left")
-    far = far.withColumn("c", F.coalesce("c", "doc_id")).withColumn("pc", F.coalesce("pc", "p"))
-    far = stage(far.withColumn("open", F.col("c") != F.col("pc")).withColumn("edge", F.col("open") & (F.col("lo") <= 2 * float(t) + eps)), "rings")
+    status = met.join(tested, ["a", "b"], "left").join(first.select(F.col("node").alias("a"), F.col("component").alias("c")), "a", "left").join(first.select(F.col("node").alias("b"), F.col("component").alias("pc")), "b", "left")
+    status = status.withColumn("c", F.coalesce("c", "a")).withColumn("pc", F.coalesce("pc", "b"))
+    # beyond a factor 3/4 in size no distance was computed; the sizes bound it from below
+    status = status.withColumn("lo", F.coalesce("lo", 1 - F.least("n", "pn") / F.greatest("n", "pn"))).withColumn("hi", F.coalesce("hi", F.lit(1.0)))
+    status = status.withColumn("inside", F.coalesce("link", F.lit(False))).withColumn("open", F.col("c") != F.col("pc"))
+    status = status.withColumn("edge", F.col("open") & (F.col("lo") <= 2 * float(t) + eps)).withColumn("pair", F.xxhash64("a", "b"))
+    status = stage(status.select("a", "b", "pair", "lo", "hi", "inside", "c", "open", "edge"), "status")
+
+    # only regions that hold a pair of two classes go on: found by bit maps of fixed size, so that the others' rows never move
+    opened = only_ids(others.withColumn("pair", F.xxhash64("doc_id", "p")), "pair", id_filter(status.where("open"), "pair"))
+    live = only_ids(others, "key", id_filter(opened, "key"))
+    far = stage(live.join(status.withColumnRenamed("a", "doc_id").withColumnRenamed("b", "p"), ["doc_id", "p"]), "rings")
     count = lambda c: F.sum(F.when(c, 1).otherwise(0))
     keys = far.groupBy("key").agg(count(F.col("open")).alias("opens"), count(F.col("edge")).alias("edges")).where("opens > 0")
     # members of the ball matter only where the ring between t and 2t has someone of another class
