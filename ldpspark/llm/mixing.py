@@ -86,7 +86,8 @@ def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, limit:
     own = docs.withColumn("_len", F.coalesce(F.regexp_count(F.col("text").cast("string"), F.lit(WORD)), F.lit(0)).cast("long"))
     match = own["doc_id"].cast("long").eqNullSafe(plan["_id"]) & own["source"].cast("string").eqNullSafe(plan["_source"]) & (own["_len"] == plan["_size"])
     single, repeated = plan.where("_rows = 1"), plan.where("_rows > 1")
-    taken = own.join(single, match)
+    # one plan at every size: by sort and merge, never by a broadcast of the plan, which grows with the documents
+    taken = own.join(single.hint("merge"), match)
     if not repeated.isEmpty():
         several = own.join(repeated, match)
         nth = F.row_number().over(Window.partitionBy("_id", "_source", "_size").orderBy("text"))
