@@ -80,7 +80,7 @@ def validate_tuple(df: DataFrame, spec: TupleSpec) -> dict[str, int]:
     checks = [F.count(F.lit(1)).alias("rows"), (F.count(F.lit(1)) - F.countDistinct("ukey")).alias("repeated_keys")]
     nulls = [F.col(a.name).isNull() for a in (*spec.numerics, *spec.categoricals)]
     outside = [~F.col(c.name).between(0, c.k - 1) for c in spec.categoricals]
-    some = lambda parts: F.sum(F.when(F.greatest(*[p.cast("int") for p in parts], F.lit(0)) > 0, 1).otherwise(0))
+    some = lambda parts: F.sum(F.when(F.greatest(*[p.cast("int") for p in parts], F.lit(0), F.lit(0)) > 0, 1).otherwise(0))
     checks += [some(nulls).alias("with_nulls"), some(outside).alias("outside_domain")]
     return df.agg(*checks).first().asDict()
 
