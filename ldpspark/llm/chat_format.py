@@ -16,6 +16,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ldpspark.llm.staging import small_batches
+
 #: Template: a turn is OPEN, the escaped role, HEAD, the escaped text, CLOSE.
 OPEN, HEAD, CLOSE = "<turn ", ">\n", "\n</turn>\n"
 _ESCAPED = re.compile(r"[\\<>#\[\]]")
@@ -104,6 +106,7 @@ def formatted(conversations: DataFrame, role: str = "assistant", piece_chars: in
         if done:
             yield pd.DataFrame(done, columns=["conv_id", "part", "turn_from", "formatted", "spans"]).astype({"conv_id": "Int64"})
 
+    small_batches(conversations.sparkSession)
     rows = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     return rows.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text").mapInPandas(work, PIECES)
 

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ldpspark.llm.merging import _places, id_filter, only_ids
-from ldpspark.llm.staging import stage
+from ldpspark.llm.staging import small_batches, stage
 from ldpspark.llm.textkernel import ALNUM, runs, texts_of, word_bounds, word_hashes
 
 LENGTH = 13
@@ -185,6 +185,7 @@ def proximity_matches(index: DataFrame, anchors: DataFrame, slack: int = 5) -> D
 
 def build_index(docs: DataFrame, items: DataFrame, length: int = LENGTH) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
     """(texts, item words, window anchors, index) over all texts."""
+    small_batches(docs.sparkSession)
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("th"), text.alias("text"))
     words = stage(item_words(items), "items")

@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ldpspark.llm.merging import id_filter, only_ids
-from ldpspark.llm.staging import stage
+from ldpspark.llm.staging import small_batches, stage
 
 #: Fixed pattern: the separators 0x20 and 0x09-0x0D.
 SPACES = r"[\x20\x09-\x0D]+"
@@ -32,6 +32,7 @@ def exact_groups(docs: DataFrame, digest: Callable[[Column], Column] = hash128)
     empty table gives an empty result. ``digest`` makes the group key; texts that share it without
     being equal are told apart by their bytes.
     """
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), normalised().alias("norm")).withColumn("h", digest(F.col("norm")))
     slim = stage(rows.select("doc_id", "h", F.unhex(F.sha2("norm", 256)).alias("sha")), "hashes")
     groups = stage(slim.groupBy("h").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")), "groups")

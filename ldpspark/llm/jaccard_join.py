@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from ldpspark.llm.components import components
 from ldpspark.llm.merging import SLICE_SCHEMA, id_filter, merged, only_ids, slices_of
-from ldpspark.llm.staging import stage
+from ldpspark.llm.staging import small_batches, stage
 from ldpspark.llm.textkernel import shingle_sets
 
 CELLS = 1 << 20
@@ -228,6 +228,7 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     words are one shingle. Rows that repeat an id are one node, linked by any of its texts. Null ids
     link with nothing and get a null class. An empty table gives an empty result.
     """
+    small_batches(docs.sparkSession)
     need = Fraction(*share)
     t = 1 - need
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))

@@ -15,11 +15,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ldpspark.llm.staging import small_batches
 from ldpspark.llm.textkernel import runs, texts_of
 
 WIDTH, STEP, DIM, FILTERS = 8, 4, 8, 32
 #: Positions in half a chunk: a chunk is 1,024 bytes and starts every 512.
 HALF = 128
+#: Bytes of texts that are worked at once.
+RUN = 1 << 18
 #: Bound of the training sample, in rows of each label, whatever the size of the corpus.
 PER_LABEL = 2000
 EPOCHS, BATCH, RATE = 6, 32, 0.01
@@ -168,7 +171,7 @@ def predict(net: Network, column: pa.Array) -> np.ndarray:
     if net.constant is not None:
         return np.full(len(offsets) - 1, net.constant)
     out = [np.zeros(0)]
-    for a, b in runs(offsets):
+    for a, b in runs(offsets, RUN):
         out.append(_probability(_forward(net, raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])[0].astype(np.float64)))
     return np.concatenate(out)
 
@@ -202,6 +205,7 @@ def scored(docs: DataFrame, net: Network, column: str = "score") -> DataFrame:
     """``docs`` with the probability that a text is of label 1, to six decimals. Null text is scored as the empty text."""
     from pyspark.sql import types as T
 
+    small_batches(docs.sparkSession)
     model = docs.sparkSession.sparkContext.broadcast(net)
     at = docs.columns.index("text")
 

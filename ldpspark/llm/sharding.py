@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ldpspark.llm.staging import stage
+from ldpspark.llm.staging import small_batches, stage
 from ldpspark.llm.textkernel import mix
 
 ROUNDS = 8
@@ -81,6 +81,7 @@ def shuffled(df: DataFrame, order: list[str], shards: int = 8, seed: int = 7) ->
     Counts of shards differ by one at most and slots are gapless from 0. Where a row went, and which row is at
     a slot, follow from ``Permutation`` alone. An empty table gives an empty result.
     """
+    small_batches(df.sparkSession)
     rows, n = numbered(df, order, "_row")
     at = rows.columns.index("_row")
     permutation = Permutation(n, seed)

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from ldpspark.llm.components import components
 from ldpspark.llm.jaccard_join import measured
 from ldpspark.llm.merging import id_filter, only_ids
-from ldpspark.llm.staging import stage
+from ldpspark.llm.staging import small_batches, stage
 from ldpspark.llm.textkernel import _BASE, NOT_SPACE, _power, mix, runs, texts_of, word_bounds, word_hashes
 
 MIN_WORDS = 50
@@ -163,6 +163,7 @@ def repeated_spans(docs: DataFrame, min_words: int = MIN_WORDS, share: tuple[int
     keeper, if it repeats itself. Null or empty texts and texts of fewer than ``min_words`` words have no spans; null ids are left out; rows that repeat
     an id are one document with the spans of each. Further columns are ignored.
     """
+    small_batches(docs.sparkSession)
     need = Fraction(*share)
     bands, rows = tuned(float(need), recall)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null")

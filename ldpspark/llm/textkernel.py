@@ -68,11 +68,11 @@ def texts_of(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def runs(offsets: np.ndarray):
-    """Ranges of texts of about RUN_BYTES together."""
+def runs(offsets: np.ndarray, size: int = RUN_BYTES):
+    """Ranges of texts of about ``size`` bytes together."""
     n, a = len(offsets) - 1, 0
     while a < n:
-        b = max(a + 1, int(np.searchsorted(offsets, offsets[a] + RUN_BYTES, "right")) - 1)
+        b = max(a + 1, int(np.searchsorted(offsets, offsets[a] + size, "right")) - 1)
         yield a, min(b, n)
         a = min(b, n)
 

@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ldpspark.llm.staging import small_batches
+
 #: Fixed names of the record format.
 VERSION = b"WARC/1.1"
 CRLF = b"\r\n"
@@ -117,6 +119,7 @@ def derivatives(pages: DataFrame, date: str = "2024-01-01T00:00:00Z", kinds: tup
     A null url or html counts as empty. Rows that repeat get the same ids and the same bytes. The response record is
     rebuilt from the stored html; its id depends on page id, url and payload. Further columns are ignored.
     """
+    small_batches(pages.sparkSession)
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.coalesce(F.col("url").cast("string"), F.lit("")).alias("url"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html"))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
