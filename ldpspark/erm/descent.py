@@ -189,7 +189,7 @@ def fold_users(x: np.ndarray, y: np.ndarray, kind: str, lam: float, gamma0: floa
 def sgd(users: DataFrame, models: list[Model], kind: str, lam: float = 1e-4, gamma0: float | None = None, mechanism: str | None = None, max_users: int = 5000, seed: int = 42) -> DataFrame:
     """(model, users, weights) of sequential descent: each model sees its users in the order of a keyed number, the first ``max_users`` of them.
 
-    ``gamma0`` defaults to 1 for private descent and to 1/(2d) for exact descent, which diverges on wide data at 1.
+    ``gamma0`` defaults to 1, but to 1/(2d) for exact linear regression, which diverges on wide data at 1.
     """
     spark = users.sparkSession
     table = spark.createDataFrame([(m.name, m.fold, m.eps) for m in models], "model string, mfold int, eps double")
@@ -201,7 +201,7 @@ def sgd(users: DataFrame, models: list[Model], kind: str, lam: float = 1e-4, gam
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["ub", "ukey"]).head(max_users)
         x = np.array(pdf["x"].tolist(), np.float64)
-        g = gamma0 if gamma0 is not None else (1.0 if mechanism else 1 / (2 * x.shape[1]))
+        g = gamma0 if gamma0 is not None else (1.0 if mechanism or kind != "linear" else 1 / (2 * x.shape[1]))
         w = fold_users(x, pdf["y"].to_numpy(np.float64), kind, lam, g, mechanism, float(pdf["eps"].iloc[0]), seed)
         return pd.DataFrame({"model": [pdf["model"].iloc[0]], "users": [len(pdf)], "weights": [w.tolist()]})
 

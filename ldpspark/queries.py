@@ -399,7 +399,7 @@ for _kind in losses.KINDS:
 
     @query(f"sgd_exact_{_kind}", O.sequential(_ERM[_kind], _XS, _kind, 64, LAM, 1 / 6))
     def _(spark, sf, kind=_kind):
-        out = sgd(prepared(erm(spark, sf, kind)), [Model("exact", 3, EPS, 1)], kind, LAM, max_users=64)
+        out = sgd(prepared(erm(spark, sf, kind)), [Model("exact", 3, EPS, 1)], kind, LAM, 1 / 6, max_users=64)
         return out.select(F.posexplode("weights").alias("j", "weight")).withColumn("weight", F.round("weight", 9))
 
     @query(f"sgd_halfspace_{_kind}")
