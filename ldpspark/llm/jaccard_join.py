@@ -34,12 +34,14 @@ from pyspark.sql import functions as F
 
 from ldpspark.llm.components import components
 from ldpspark.llm.merging import SLICE_SCHEMA, id_filter, merged, only_ids, slices_of
-from ldpspark.llm.staging import small_batches, stage
+from ldpspark.llm.staging import lean, lean_group, small_batches, stage
 from ldpspark.llm.textkernel import shingle_sets
 
 CELLS = 1 << 20
 SMALL = 16
 BLOCK = 512
+#: Different sets of a class whose links are counted at once against as many.
+COUNTED = 256
 ROWS = 1 << 18
 
 
@@ -98,7 +100,7 @@ def _facts(docs: DataFrame, size: int) -> DataFrame:
             k = len(i)
             yield pa.RecordBatch.from_arrays([pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.binary()), pa.array(i, pa.int32()), pa.array(blobs, pa.binary())], names=["doc_id", "n", "h1", "h2", "odd", "slice", "cells"])
 
-    return docs.mapInArrow(work, f"doc_id long, n long, h1 long, h2 long, odd binary, {SLICE_SCHEMA}")
+    return docs.mapInArrow(lean(work), f"doc_id long, n long, h1 long, h2 long, odd binary, {SLICE_SCHEMA}")
 
 
 def _regions(docs: DataFrame, size: int, share: Fraction, counts: np.ndarray) -> DataFrame:
@@ -134,7 +136,7 @@ def _regions(docs: DataFrame, size: int, share: Fraction, counts: np.ndarray) ->
         pairs = np.concatenate(who)
         return pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["key", "doc_id", "n"])
 
-    return docs.mapInArrow(work, "key long, doc_id long, n long")
+    return docs.mapInArrow(lean(work), "key long, doc_id long, n long")
 
 
 def _common(x: np.ndarray, y: np.ndarray) -> int:
@@ -165,7 +167,7 @@ def measured(pairs: DataFrame, texts: DataFrame, size: int = 5) -> DataFrame:
                 either.append(len(x) + len(known[1]) - c)
             yield pa.RecordBatch.from_arrays([batch["a"], batch["b"], pa.array(both, pa.int64()), pa.array(either, pa.int64())], names=["a", "b", "common", "together"])
 
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "text_a", "text_b").mapInArrow(work, "a long, b long, common long, together long")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "text_a", "text_b").mapInArrow(lean(work), "a long, b long, common long, together long")
 
 
 def bounded(pairs: DataFrame, maps: DataFrame) -> DataFrame:
@@ -178,7 +180,7 @@ def bounded(pairs: DataFrame, maps: DataFrame) -> DataFrame:
             least = [apart(x, y) for x, y in zip(batch["odd_a"].to_pylist(), batch["odd_b"].to_pylist())]
             yield pa.RecordBatch.from_arrays([batch["a"], batch["b"], batch["na"], batch["nb"], pa.array(least, pa.int64())], names=["a", "b", "na", "nb", "least"])
 
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "odd_a", "odd_b").mapInArrow(work, "a long, b long, na long, nb long, least long")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "odd_a", "odd_b").mapInArrow(lean(work), "a long, b long, na long, nb long, least long")
 
 
 def _fold(maps: np.ndarray, words: int) -> np.ndarray:
@@ -217,12 +219,84 @@ def _block_pairs(share: Fraction):
     return work
 
 
-def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3, 4)) -> DataFrame:
+def _set_hash(s: np.ndarray) -> int:
+    return int(s.sum(dtype=np.uint64).astype(np.int64))
+
+
+def _counted(share: Fraction, size: int):
+    """Links of the texts of one or more classes, or of a pair of blocks of one: (rep, links), copies of the other text counted."""
+
+    def common(sets: list[np.ndarray], one: np.ndarray, two: np.ndarray) -> np.ndarray:
+        values, inverse, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        shared = int((counts > 1).sum())
+        column = np.full(len(values), -1)
+        column[counts > 1] = np.arange(shared)
+        place, of = column[inverse], np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+        out = np.zeros((len(one), len(two)), np.float32)
+        for a in range(0, shared, 4096):
+            own = (place >= a) & (place < a + 4096)
+            grid = np.zeros((len(sets), min(4096, shared - a)), np.float32)
+            grid[of[own], place[own] - a] = 1
+            out += grid[one] @ grid[two].T
+        return out.astype(np.int64)
+
+    def work(pdf: pd.DataFrame) -> pd.DataFrame:
+        sets = list(shingle_sets(pa.array(pdf["text"]), size))
+        # of rows that repeat an id, the one whose set is meant
+        right = np.array([_set_hash(x) == h for x, h in zip(sets, pdf["h1"])], bool)
+        pdf = pdf.assign(at=np.arange(len(pdf)))[right].drop_duplicates(["c", "rep", "h1", "side"])
+        out: dict[int, int] = {}
+        for _, g in pdf.groupby("c"):
+            own = [sets[k] for k in g["at"]]
+            rep, copies, side = g["rep"].to_numpy(), g["copies"].to_numpy(), g["side"].to_numpy()
+            one, two = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+            alone = not len(two)
+            two = one if alone else two
+            if not len(one):
+                continue
+            both = common(own, one, two)
+            n = np.array([len(x) for x in own], np.int64)
+            link = both * share.denominator >= (n[one][:, None] + n[two][None, :] - both) * share.numerator
+            if alone:
+                np.fill_diagonal(link, False)
+            for r, k in zip(rep[one], link @ copies[two]):
+                out[int(r)] = out.get(int(r), 0) + int(k)
+            if not alone:
+                for r, k in zip(rep[two], link.T @ copies[one]):
+                    out[int(r)] = out.get(int(r), 0) + int(k)
+        return pd.DataFrame({"rep": list(out), "links": list(out.values())}, dtype="int64")
+
+    return work
+
+
+def link_counts(rows: DataFrame, texts: DataFrame, size: int, share: Fraction) -> DataFrame:
+    """(c, h1, h2, n_links): exact number of rows that each text of a class is linked with, itself aside.
+
+    ``rows`` holds (doc_id, n, h1, h2, c). Equal sets are one, with their number of copies. Small classes are counted many to a group; a class of
+    more than ``COUNTED`` different sets is cut into blocks, and each pair of blocks is a group of its own.
+    """
+    sets = rows.where("n > 0 and doc_id is not null").groupBy("c", "h1", "h2").agg(F.count(F.lit(1)).alias("copies"), F.min("doc_id").alias("rep"))
+    sets = stage(sets, "sets")
+    width = sets.groupBy("c").agg(F.count(F.lit(1)).alias("k")).where("k > 1")
+    several = stage(sets.join(width, "c"), "several")
+    groups = max(1, several.count() // COUNTED)
+    last = F.ceil(F.col("k") / COUNTED) - 1
+    block = F.pmod(F.xxhash64("rep"), last + 1)
+    group = F.when(last > 0, F.concat(F.lit("c"), F.col("c").cast("string"))).otherwise(F.concat(F.lit("b"), F.pmod(F.xxhash64("c"), F.lit(groups)).cast("string")))
+    each = several.withColumns({"block": block, "g": group, "other": F.explode(F.sequence(F.lit(0).cast("long"), last.cast("long")))})
+    each = each.select("c", "rep", "h1", "copies", "g", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), F.when(F.col("block") <= F.col("other"), 0).otherwise(1).alias("side"))
+    held = only_ids(texts.where("doc_id is not null"), "doc_id", id_filter(several, "rep")).withColumnRenamed("doc_id", "rep")
+    found = each.join(held, "rep").groupBy("g", "i", "j").applyInPandas(lean_group(_counted(share, size)), "rep long, links long")
+    found = found.groupBy("rep").agg(F.sum("links").alias("links"))
+    return sets.join(found, "rep", "left").select("c", "h1", "h2", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
+
+
+def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3, 4), count_links: bool = False) -> DataFrame:
     """Classes of texts joined by links of Jaccard similarity ``share`` or more.
 
     Args: ``docs`` with ``doc_id`` and ``text``; further columns are ignored.
-    Returns one row per row of ``docs``: ``doc_id``, ``n_shingles``, ``component_id`` (the least id reachable by links)
-    and ``pivot_links`` (verified links to region pivots that the text takes part in).
+    Returns one row per row of ``docs``: ``doc_id``, ``n_shingles``, ``component_id`` (the least id reachable by links); with ``count_links`` also ``n_links``,
+    the exact number of rows that the text is linked with (copies counted, itself not).
 
     Null or empty text, or text of separators only: no shingles, a class of its own, no links. Texts of fewer than ``size``
     words are one shingle. Rows that repeat an id are one node, linked by any of its texts. Null ids
@@ -301,15 +375,18 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     each = stage(each, "blocks")
     held = only_ids(maps, "doc_id", id_filter(each, "doc_id"))
     shared = many.groupBy("doc_id").agg(F.collect_set(F.hash("key")).alias("ks"))
-    blocks = each.join(held, "doc_id").join(shared, "doc_id").groupBy("key", "i", "j").applyInPandas(_block_pairs(need), "a long, b long")
+    blocks = each.join(held, "doc_id").join(shared, "doc_id").groupBy("key", "i", "j").applyInPandas(lean_group(_block_pairs(need)), "a long, b long")
     found = resolved(extra.unionByName(blocks).distinct(), "rest").where("link").select("a", "b")
 
     links = stage(linked.select("a", "b").unionByName(found), "found")
     classes = components(links)
-    degree = linked.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("pivot_links"))
-    named = stage(classes.join(degree, "node", "left"), "classes")
-    out = facts.join(named.withColumnRenamed("node", "doc_id"), "doc_id", "left")
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"), F.coalesce("pivot_links", F.lit(0)).cast("long").alias("pivot_links"))
+    out = facts.join(classes.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("c", F.coalesce("component", "doc_id"))
+    base = [F.col("doc_id"), F.col("n").alias("n_shingles"), F.col("c").alias("component_id")]
+    if not count_links:
+        return out.select(*base)
+    out = stage(out.select("doc_id", "n", "h1", "h2", "c"), "members")
+    counted = link_counts(out, texts, size, need)
+    return out.join(counted, ["c", "h1", "h2"], "left").select(*base, F.when(F.col("n") > 0, F.coalesce("n_links", F.lit(0))).otherwise(F.lit(0)).cast("long").alias("n_links"))
 
 
 def one_per_class(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3, 4)) -> DataFrame:

@@ -14,7 +14,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jaccard_join.similar_classes(table(spark, sf_dir, "documents"))
+    return jaccard_join.similar_classes(table(spark, sf_dir, "documents"), count_links=True)
 
 
 def op2_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:

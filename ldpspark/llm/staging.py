@@ -3,9 +3,12 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import tempfile
 import uuid
+from collections.abc import Callable
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 _written: list[tuple[object, str]] = []
@@ -24,7 +27,41 @@ def shared_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
-def small_batches(spark: SparkSession, size: str = "8m") -> None:
+def lean(work: Callable) -> Callable:
+    """``work`` for ``mapInArrow`` and its like, giving the worker's freed memory back to the system at the end: idle workers stay."""
+
+    def run(batches):
+        try:
+            yield from work(batches)
+        finally:
+            _release()
+
+    return run
+
+
+def lean_group(work: Callable) -> Callable:
+    """The same for ``applyInPandas``; memory goes back now and then."""
+    calls = [0]
+
+    def run(frame):
+        out = work(frame)
+        calls[0] += 1
+        if calls[0] % 64 == 0 or len(frame) > 256:
+            del frame
+            _release()
+        return out
+
+    return run
+
+
+def _release() -> None:
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc has it
+    if trim is not None:
+        trim(0)
+
+
+def small_batches(spark: SparkSession, size: str = "4m") -> None:
     """Bounds the bytes of an Arrow batch between the JVM and Python, so that long texts don't fill an executor's memory."""
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", size)
 

@@ -62,8 +62,11 @@ def test_classes_are_those_of_brute_force(spark, monkeypatch, small, block):
     monkeypatch.setattr(jj, "SMALL", small)
     monkeypatch.setattr(jj, "BLOCK", block)
     rows = family()
-    got = {r["doc_id"]: r for r in jj.similar_classes(crowded(docs(spark, rows))).collect()}
+    got = {r["doc_id"]: r for r in jj.similar_classes(crowded(docs(spark, rows)), count_links=True).collect()}
     want = classes(rows)
+    sets = {i: shingles(t) for i, t in rows}
+    links = {i: sum(j != i and bool(x) and bool(y) and 4 * len(x & y) >= 3 * len(x | y) for j, y in sets.items()) for i, x in sets.items()}
+    assert {i: r["n_links"] for i, r in got.items()} == links
     assert {i: r["component_id"] for i, r in got.items()} == want
     assert all(got[i]["n_shingles"] == len(shingles(t)) for i, t in rows)
 
