@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ldpspark.llm.staging import small_batches
+from ldpspark.llm.staging import lean, small_batches
 
 #: Template: a turn is OPEN, the escaped role, HEAD, the escaped text, CLOSE.
 OPEN, HEAD, CLOSE = "<turn ", ">\n", "\n</turn>\n"
@@ -108,7 +108,7 @@ def formatted(conversations: DataFrame, role: str = "assistant", piece_chars: in
 
     small_batches(conversations.sparkSession)
     rows = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    return rows.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text").mapInPandas(work, PIECES)
+    return rows.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text").mapInPandas(lean(work), PIECES)
 
 
 def examples(written: DataFrame) -> DataFrame:
@@ -167,4 +167,4 @@ def digests(written: DataFrame) -> DataFrame:
         return pd.DataFrame(rows, columns=["conv_id", "n_turns", "turns_sha256", "loss_chars", "loss_sha256", "formatted_chars", "n_examples"]).astype({"conv_id": "Int64"})
 
     ordered = written.repartition("conv_id").sortWithinPartitions("conv_id", "part")
-    return ordered.mapInPandas(work, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long, n_examples long")
+    return ordered.mapInPandas(lean(work), "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long, n_examples long")

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ldpspark.llm.merging import _places, id_filter, only_ids
-from ldpspark.llm.staging import small_batches, stage
+from ldpspark.llm.staging import lean, small_batches, stage
 from ldpspark.llm.textkernel import ALNUM, runs, texts_of, word_bounds, word_hashes
 
 LENGTH = 13
@@ -50,7 +50,7 @@ def item_words(items: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch["ik"], batch["item_id"], pa.array(out, pa.list_(pa.int64()))], names=["ik", "item_id", "words"])
 
     named = items.select(F.xxhash64(F.col("item_id").cast("string"), F.col("text").cast("string")).alias("ik"), F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text"))
-    return named.mapInArrow(work, "ik long, item_id string, words array<long>").where(F.size("words") > 0).dropDuplicates(["ik"])
+    return named.mapInArrow(lean(work), "ik long, item_id string, words array<long>").where(F.size("words") > 0).dropDuplicates(["ik"])
 
 
 def windows(words: DataFrame, length: int = LENGTH) -> DataFrame:
@@ -91,7 +91,7 @@ def term_counts(docs: DataFrame, bits: np.ndarray) -> DataFrame:
         if n:
             yield counted()
 
-    return docs.select("text").mapInArrow(work, "term long, n long").groupBy("term").agg(F.sum("n").alias("n"))
+    return docs.select("text").mapInArrow(lean(work), "term long, n long").groupBy("term").agg(F.sum("n").alias("n"))
 
 
 def anchored(grams: DataFrame, counts: DataFrame, anchors: int = ANCHORS) -> DataFrame:
@@ -118,7 +118,7 @@ def postings(docs: DataFrame, bits: np.ndarray) -> DataFrame:
                     own = pa.array(of[at])
                     yield pa.RecordBatch.from_arrays([ids.take(own), th.take(own), pa.nulls(len(at), pa.int64()), pa.array(h[at].view(np.int64)), pa.array(at - edges[of[at]])], names=["doc_id", "th", "n_words", "term", "pos"])
 
-    return docs.mapInArrow(work, "doc_id long, th long, n_words long, term long, pos long")
+    return docs.mapInArrow(lean(work), "doc_id long, th long, n_words long, term long, pos long")
 
 
 def alignments(index: DataFrame, anchors: DataFrame) -> DataFrame:
@@ -163,7 +163,7 @@ def phrase_hits(texts: DataFrame, aligned: DataFrame, words: DataFrame, length:
 
     same = texts["doc_id"].eqNullSafe(listed["doc_id"]) & (texts["th"] == listed["th"])
     both = texts.join(listed, same).select(texts["doc_id"], texts["th"], "text", "at").dropDuplicates(["doc_id", "th"])
-    return both.mapInArrow(work, "doc_id long, th long, n_hit long, items array<string>").where("n_hit > 0")
+    return both.mapInArrow(lean(work), "doc_id long, th long, n_hit long, items array<string>").where("n_hit > 0")
 
 
 def proximity_matches(index: DataFrame, anchors: DataFrame, slack: int = 5) -> DataFrame:

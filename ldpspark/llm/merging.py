@@ -15,6 +15,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ldpspark.llm.staging import lean
+
 SLICES = 16
 SLICE_SCHEMA = "slice int, cells binary"
 
@@ -42,8 +44,8 @@ def _merger(dtype: np.dtype, op: np.ufunc) -> Callable[[Iterator[pa.RecordBatch]
 def merged(slices: DataFrame, dtype: np.dtype, op: np.ufunc, size: int) -> np.ndarray:
     """All partial slices merged; the result (``size`` cells) comes to the driver."""
     fan = slices.repartition(SLICES * 8, "slice", F.pmod(F.crc32("cells"), F.lit(8)))
-    once = fan.mapInArrow(_merger(dtype, op), SLICE_SCHEMA)
-    rows = once.repartition(SLICES, "slice").mapInArrow(_merger(dtype, op), SLICE_SCHEMA).collect()
+    once = fan.mapInArrow(lean(_merger(dtype, op)), SLICE_SCHEMA)
+    rows = once.repartition(SLICES, "slice").mapInArrow(lean(_merger(dtype, op)), SLICE_SCHEMA).collect()
     out = np.zeros(size, dtype)
     bounds = np.cumsum([0] + [len(x) for x in np.array_split(out, SLICES)])
     for r in rows:
@@ -78,7 +80,7 @@ def id_filter(ids: DataFrame, column: str) -> np.ndarray:
             yield pa.RecordBatch.from_pydict({"slice": pa.array(i, pa.int32()), "cells": pa.array(blobs, pa.binary())})
 
     kept = ids.select(F.col(column).cast("long")).where(F.col(column).isNotNull())
-    return merged(kept.mapInArrow(mark, SLICE_SCHEMA), np.dtype(np.uint8), np.bitwise_or, BITS // 8)
+    return merged(kept.mapInArrow(lean(mark), SLICE_SCHEMA), np.dtype(np.uint8), np.bitwise_or, BITS // 8)
 
 
 def only_ids(df: DataFrame, column: str, bits: np.ndarray) -> DataFrame:
@@ -98,4 +100,4 @@ def only_ids(df: DataFrame, column: str, bits: np.ndarray) -> DataFrame:
             if out.num_rows:
                 yield out
 
-    return df.mapInArrow(keep, df.schema)
+    return df.mapInArrow(lean(keep), df.schema)

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ldpspark.llm.staging import small_batches
+from ldpspark.llm.staging import lean, small_batches
 from ldpspark.llm.textkernel import runs, texts_of
 
 WIDTH, STEP, DIM, FILTERS = 8, 4, 8, 32
@@ -214,7 +214,7 @@ def scored(docs: DataFrame, net: Network, column: str = "score") -> DataFrame:
             p = np.round(predict(model.value, batch.column(at)), 6)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p, pa.float64())], names=[*batch.schema.names, column])
 
-    return docs.mapInArrow(work, T.StructType([*docs.schema.fields, T.StructField(column, T.DoubleType())]))
+    return docs.mapInArrow(lean(work), T.StructType([*docs.schema.fields, T.StructField(column, T.DoubleType())]))
 
 
 def quality_scores(docs: DataFrame, labels: DataFrame) -> DataFrame:

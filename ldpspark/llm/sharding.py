@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ldpspark.llm.staging import small_batches, stage
+from ldpspark.llm.staging import lean, small_batches, stage
 from ldpspark.llm.textkernel import mix
 
 ROUNDS = 8
@@ -66,7 +66,7 @@ def numbered(df: DataFrame, order: list[str], column: str = "row_number") -> tup
             n += k
 
     schema = T.StructType([*df.schema.fields, T.StructField("_part", T.IntegerType()), T.StructField("_nth", T.LongType())])
-    parts = stage(df.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(number, schema), "ranges")
+    parts = stage(df.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(lean(number), schema), "ranges")
     sizes = parts.groupBy("_part").agg(F.count(F.lit(1)).alias("_size"))
     before = F.sum("_size").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("_size")
     # one row for each partition of the table
@@ -94,7 +94,7 @@ def shuffled(df: DataFrame, order: list[str], shards: int = 8, seed: int = 7) ->
             yield pa.RecordBatch.from_arrays([*columns, pa.array((p % shards).astype(np.int32)), pa.array(p // shards)], names=[*names, "shard", "slot"])
 
     schema = T.StructType([f for f in rows.schema.fields if f.name != "_row"] + [T.StructField("shard", T.IntegerType()), T.StructField("slot", T.LongType())])
-    return rows.mapInArrow(place, schema)
+    return rows.mapInArrow(lean(place), schema)
 
 
 def document_shards(docs: DataFrame, shards: int = 8, seed: int = 7) -> DataFrame:

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from ldpspark.llm.components import components
 from ldpspark.llm.jaccard_join import measured
 from ldpspark.llm.merging import id_filter, only_ids
-from ldpspark.llm.staging import small_batches, stage
+from ldpspark.llm.staging import lean, small_batches, stage
 from ldpspark.llm.textkernel import _BASE, NOT_SPACE, _power, mix, runs, texts_of, word_bounds, word_hashes
 
 MIN_WORDS = 50
@@ -102,7 +102,7 @@ def passages(docs: DataFrame, words: int) -> DataFrame:
                     starts = pa.ListArray.from_arrays(pa.array(np.append(cut, len(i)).astype(np.int32)), pa.array(i - edges[of[i]]))
                     yield pa.RecordBatch.from_arrays([pa.array(one[cut].view(np.int64)), pa.array(two[cut].view(np.int64)), batch["doc_id"].slice(a, b - a).take(pa.array(of[i[cut]])), starts], names=["h1", "h2", "doc_id", "starts"])
 
-    return docs.mapInArrow(work, "h1 long, h2 long, doc_id long, starts array<long>")
+    return docs.mapInArrow(lean(work), "h1 long, h2 long, doc_id long, starts array<long>")
 
 
 def _lines(new_line: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray]:
@@ -138,7 +138,7 @@ def paragraphs(docs: DataFrame, words: int, bands: int, rows: int) -> DataFrame:
                     keys[:, band] = key
                 yield pa.RecordBatch.from_arrays([pa.array(line.view(np.int64)), batch["doc_id"].slice(a, b - a).take(pa.array(of[first])), pa.array(first - edges[of[first]]), pa.array(n), pa.FixedSizeListArray.from_arrays(pa.array(keys.view(np.int64).ravel()), bands).cast(pa.list_(pa.int64()))], names=["line", "doc_id", "start", "n", "keys"])
 
-    return docs.mapInArrow(work, "line long, doc_id long, start long, n long, keys array<long>")
+    return docs.mapInArrow(lean(work), "line long, doc_id long, start long, n long, keys array<long>")
 
 
 def _line_texts(docs: DataFrame, words: int, wanted) -> DataFrame:
@@ -153,7 +153,7 @@ def _line_texts(docs: DataFrame, words: int, wanted) -> DataFrame:
                     texts = [part[starts[i] : ends[i + k - 1]].tobytes().decode() for i, k in zip(first, n)]
                     yield pa.RecordBatch.from_arrays([pa.array(line.view(np.int64)), pa.array(texts)], names=["doc_id", "text"])
 
-    return only_ids(docs.mapInArrow(work, "doc_id long, text string"), "doc_id", wanted).dropDuplicates(["doc_id"])
+    return only_ids(docs.mapInArrow(lean(work), "doc_id long, text string"), "doc_id", wanted).dropDuplicates(["doc_id"])
 
 
 def repeated_spans(docs: DataFrame, min_words: int = MIN_WORDS, share: tuple[int, int] = (3, 4), recall: float = 0.99) -> DataFrame:
@@ -220,4 +220,4 @@ def without_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
             columns[at] = pa.array(out, pa.string())
             yield pa.RecordBatch.from_arrays([c for i, c in enumerate(columns) if i != cut], names=[n for i, n in enumerate(batch.schema.names) if i != cut])
 
-    return joined.mapInArrow(work, docs.schema)
+    return joined.mapInArrow(lean(work), docs.schema)

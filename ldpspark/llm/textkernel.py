@@ -10,7 +10,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 
-RUN_BYTES = 1 << 20
+RUN_BYTES = 1 << 18
 U = np.uint64
 
 _rng = np.random.Generator(np.random.PCG64(20240607))

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ldpspark.llm.staging import small_batches
+from ldpspark.llm.staging import lean, small_batches
 
 #: Fixed names of the record format.
 VERSION = b"WARC/1.1"
@@ -143,7 +143,7 @@ def derivatives(pages: DataFrame, date: str = "2024-01-01T00:00:00Z", kinds: tup
             if out:
                 yield batch_of(out)
 
-    return rows.mapInArrow(work, SCHEMA)
+    return rows.mapInArrow(lean(work), SCHEMA)
 
 
 def write_files(records: DataFrame, path: str, rows_per_file: int = 100_000) -> None:
@@ -170,7 +170,7 @@ def write_files(records: DataFrame, path: str, rows_per_file: int = 100_000) ->
     def _row(number: int, part: int, buffer: io.BytesIO) -> pa.RecordBatch:
         return pa.RecordBatch.from_pydict({"file": [f"part-{number:06d}-{part:04d}.warc.gz"], "data": [buffer.getvalue()]})
 
-    records.select("record").mapInArrow(pack, "file string, data binary").write.mode("overwrite").parquet(path)
+    records.select("record").mapInArrow(lean(pack), "file string, data binary").write.mode("overwrite").parquet(path)
 
 
 def digest_rows(records: DataFrame) -> DataFrame:
