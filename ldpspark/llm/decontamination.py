@@ -162,7 +162,7 @@ def phrase_hits(texts: DataFrame, aligned: DataFrame, words: DataFrame, length:
             yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["th"], pa.array(hits, pa.int64()), pa.array(names, pa.list_(pa.string()))], names=["doc_id", "th", "n_hit", "items"])
 
     same = texts["doc_id"].eqNullSafe(listed["doc_id"]) & (texts["th"] == listed["th"])
-    both = texts.join(listed, same).select(texts["doc_id"], texts["th"], "text", "at").dropDuplicates(["doc_id", "th"])
+    both = texts.join(listed.hint("merge"), same).select(texts["doc_id"], texts["th"], "text", "at").dropDuplicates(["doc_id", "th"])
     return both.mapInArrow(lean(work), "doc_id long, th long, n_hit long, items array<string>").where("n_hit > 0")
 
 

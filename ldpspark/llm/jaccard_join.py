@@ -167,7 +167,8 @@ def measured(pairs: DataFrame, texts: DataFrame, size: int = 5) -> DataFrame:
                 either.append(len(x) + len(known[1]) - c)
             yield pa.RecordBatch.from_arrays([batch["a"], batch["b"], pa.array(both, pa.int64()), pa.array(either, pa.int64())], names=["a", "b", "common", "together"])
 
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "text_a", "text_b").mapInArrow(lean(work), "a long, b long, common long, together long")
+    # by sort and merge at every size: a shuffle stands between two Python steps, so that a task never feeds two workers
+    return pairs.join(left.hint("merge"), "a").join(right.hint("merge"), "b").select("a", "b", "text_a", "text_b").mapInArrow(lean(work), "a long, b long, common long, together long")
 
 
 def bounded(pairs: DataFrame, maps: DataFrame) -> DataFrame:
@@ -180,7 +181,7 @@ def bounded(pairs: DataFrame, maps: DataFrame) -> DataFrame:
             least = [apart(x, y) for x, y in zip(batch["odd_a"].to_pylist(), batch["odd_b"].to_pylist())]
             yield pa.RecordBatch.from_arrays([batch["a"], batch["b"], batch["na"], batch["nb"], pa.array(least, pa.int64())], names=["a", "b", "na", "nb", "least"])
 
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "odd_a", "odd_b").mapInArrow(lean(work), "a long, b long, na long, nb long, least long")
+    return pairs.join(left.hint("merge"), "a").join(right.hint("merge"), "b").select("a", "b", "na", "nb", "odd_a", "odd_b").mapInArrow(lean(work), "a long, b long, na long, nb long, least long")
 
 
 def _fold(maps: np.ndarray, words: int) -> np.ndarray:
@@ -350,6 +351,7 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
 
     # only regions that hold a pair of two classes go on: found by bit maps of fixed size, so that the others' rows never move
     opened = only_ids(others.withColumn("pair", F.xxhash64("doc_id", "p")), "pair", id_filter(status.where("open"), "pair"))
+    opened = stage(opened.select("key"), "opened")
     live = only_ids(others, "key", id_filter(opened, "key"))
     far = stage(live.join(status.withColumnRenamed("a", "doc_id").withColumnRenamed("b", "p"), ["doc_id", "p"]), "rings")
     count = lambda c: F.sum(F.when(c, 1).otherwise(0))
