@@ -224,23 +224,25 @@ def _set_hash(s: np.ndarray) -> int:
     return int(s.sum(dtype=np.uint64).astype(np.int64))
 
 
+def common_counts(sets: list[np.ndarray], one: np.ndarray, two: np.ndarray) -> np.ndarray:
+    """Sizes of the shared parts of each of the sets ``one`` with each of the sets ``two``."""
+    values, inverse, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    shared = int((counts > 1).sum())
+    column = np.full(len(values), -1)
+    column[counts > 1] = np.arange(shared)
+    place, of = column[inverse], np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    out = np.zeros((len(one), len(two)), np.float32)
+    for a in range(0, shared, 4096):
+        own = (place >= a) & (place < a + 4096)
+        grid = np.zeros((len(sets), min(4096, shared - a)), np.float32)
+        grid[of[own], place[own] - a] = 1
+        out += grid[one] @ grid[two].T
+    return out.astype(np.int64)
+
+
 def _counted(share: Fraction, size: int):
     """Links of the texts of one or more classes, or of a pair of blocks of one: (rep, links), copies of the other text counted."""
 
-    def common(sets: list[np.ndarray], one: np.ndarray, two: np.ndarray) -> np.ndarray:
-        values, inverse, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
-        shared = int((counts > 1).sum())
-        column = np.full(len(values), -1)
-        column[counts > 1] = np.arange(shared)
-        place, of = column[inverse], np.repeat(np.arange(len(sets)), [len(x) for x in sets])
-        out = np.zeros((len(one), len(two)), np.float32)
-        for a in range(0, shared, 4096):
-            own = (place >= a) & (place < a + 4096)
-            grid = np.zeros((len(sets), min(4096, shared - a)), np.float32)
-            grid[of[own], place[own] - a] = 1
-            out += grid[one] @ grid[two].T
-        return out.astype(np.int64)
-
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
         sets = list(shingle_sets(pa.array(pdf["text"]), size))
         # of rows that repeat an id, the one whose set is meant
@@ -255,7 +257,7 @@ def _counted(share: Fraction, size: int):
             two = one if alone else two
             if not len(one):
                 continue
-            both = common(own, one, two)
+            both = common_counts(own, one, two)
             n = np.array([len(x) for x in own], np.int64)
             link = both * share.denominator >= (n[one][:, None] + n[two][None, :] - both) * share.numerator
             if alone:

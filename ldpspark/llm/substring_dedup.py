@@ -3,8 +3,9 @@
 Two kinds of units are compared over all texts, both as sequences of lower-cased words:
 
 * **paragraphs**, the lines of ``min_words`` or more words: their shingle sets get MinHash signatures, cut into bands that are tuned
-  for high recall at the similarity asked for; colliding paragraphs are joined, their exact Jaccard similarity is
-  computed from the texts, and the links are clustered by components;
+  for high recall at the similarity asked for; the exact Jaccard similarity of colliding paragraphs is computed from the texts,
+  and the links are clustered by components. In each bucket the neighbours in the order of length are compared first; then all pairs
+  of the bucket that are not in one cluster yet, in blocks where the bucket is large;
 * **passages**, the ``min_words`` words from each start of a sentence on, which may begin inside a line and run over its end: equal ones
   are found by a 128-bit hash of the words. They catch what is pasted into otherwise different paragraphs.
 
@@ -17,18 +18,22 @@ from collections.abc import Iterator
 from fractions import Fraction
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ldpspark.llm.components import components
-from ldpspark.llm.jaccard_join import measured
+from ldpspark.llm.jaccard_join import common_counts, measured
 from ldpspark.llm.merging import id_filter, only_ids
-from ldpspark.llm.staging import lean, small_batches, stage
-from ldpspark.llm.textkernel import _BASE, NOT_SPACE, _power, mix, runs, texts_of, word_bounds, word_hashes
+from ldpspark.llm.staging import lean, lean_group, small_batches, stage
+from ldpspark.llm.textkernel import _BASE, NOT_SPACE, _power, mix, runs, shingle_sets, texts_of, word_bounds, word_hashes
 
 MIN_WORDS = 50
 SHINGLE = 5
+#: Buckets of up to so many lines are compared pair by pair, larger ones in blocks of about so many lines by as many.
+SMALL = 16
+BLOCK = 256
 _A = np.random.Generator(np.random.PCG64(77)).integers(0, 1 << 64, (2, 256), dtype=np.uint64) | np.uint64(1)
 _W1 = (_BASE ^ (0x5DEECE66D << 3)) & ((1 << 64) - 1)
 _W2 = (_BASE ^ (0x2545F4914F6CDD1D << 3)) & ((1 << 64) - 1)
@@ -156,6 +161,61 @@ def _line_texts(docs: DataFrame, words: int, wanted) -> DataFrame:
     return only_ids(docs.mapInArrow(lean(work), "doc_id long, text string"), "doc_id", wanted).dropDuplicates(["doc_id"])
 
 
+def _block_links(share: Fraction):
+    """(a, b): one link for each two classes (``c``) that a line of side 0 and a line of side 1 of a pair of blocks link."""
+
+    def work(pdf: pd.DataFrame) -> pd.DataFrame:
+        side, c, line = pdf["side"].to_numpy(), pdf["c"].to_numpy(), pdf["line"].to_numpy()
+        one, two = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+        if not len(one) or not len(two):
+            return pd.DataFrame({"a": [], "b": []}, dtype="int64")
+        sets = list(shingle_sets(pa.array(pdf["text"]), SHINGLE))
+        n = np.array([len(x) for x in sets], np.int64)
+        both = common_counts(sets, one, two)
+        link = both * share.denominator >= (n[one][:, None] + n[two][None, :] - both) * share.numerator
+        i, j = np.nonzero(link & (c[one][:, None] != c[two][None, :]))
+        out = pd.DataFrame({"a": line[one[i]], "b": line[two[j]], "ca": c[one[i]], "cb": c[two[j]]})
+        return out.drop_duplicates(["ca", "cb"])[["a", "b"]].astype("int64")
+
+    return work
+
+
+def line_links(keyed: DataFrame, texts: DataFrame, words: int, need: Fraction) -> DataFrame:
+    """(a, b): links whose components are those of all links between lines that share a key. ``keyed``: (line, n, key), stored."""
+    by = Window.partitionBy("key").orderBy("n", "line")
+    ranked = keyed.withColumn("before", F.lag("line").over(by)).withColumn("p", F.first("line").over(by))
+    pairs = ranked.where("before is not null").select("line", F.explode(F.array_distinct(F.array("p", "before"))).alias("other")).where("line != other")
+    pairs = stage(pairs.select(F.greatest("line", "other").alias("a"), F.least("line", "other").alias("b")).distinct(), "colliding")
+    # every line that shares a key is in one of these pairs
+    held = stage(_line_texts(texts, words, id_filter(pairs.select("a").union(pairs.select("b")), "a")), "line-texts")
+    linked = F.col("common") * need.denominator >= F.col("together") * need.numerator
+    links = stage(measured(pairs, held, SHINGLE).where(linked).select("a", "b"), "near")
+
+    # only pairs of two classes are left; those of the largest class of a bucket need no test among themselves
+    classes = components(links).select(F.col("node").alias("line"), F.col("component").alias("c"))
+    classed = stage(keyed.join(classes, "line", "left").withColumn("c", F.coalesce("c", "line")), "classed")
+    size = classed.groupBy("key", "c").agg(F.count(F.lit(1)).alias("k"))
+    size = size.groupBy("key").agg(F.max(F.struct("k", "c")).alias("top"), F.sum("k").alias("members"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1")
+    open_ = stage(classed.join(size.select("key", F.col("top.c").alias("top"), "members", (F.col("members") - F.col("top.k")).alias("others")), "key"), "open")
+
+    few = open_.where(F.col("members") <= SMALL)
+    u, y = few.where("c != top").select("key", F.col("line").alias("a"), F.col("n").alias("na"), F.col("c").alias("ca")), few.select("key", F.col("line").alias("b"), F.col("n").alias("nb"), F.col("c").alias("cb"))
+    left = u.join(y, "key").where("ca != cb").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    left = stage(left.join(pairs, ["a", "b"], "left_anti"), "small-buckets")
+    more = measured(left, held, SHINGLE).where(linked).select("a", "b")
+
+    many = open_.where(F.col("members") > SMALL)
+    last = lambda c: (F.ceil(F.col(c) / BLOCK) - 1).cast("long")
+    place = lambda c: F.pmod(F.xxhash64("line"), last(c) + 1)
+    zero = F.lit(0).cast("long")
+    row = ["key", "line", "c"]
+    ones = many.where("c != top").select(*row, F.lit(0).alias("side"), place("others").alias("i"), F.explode(F.sequence(zero, last("members"))).alias("j"))
+    twos = many.select(*row, F.lit(1).alias("side"), F.explode(F.sequence(zero, last("others"))).alias("i"), place("members").alias("j"))
+    blocks = stage(ones.unionByName(twos), "blocks").join(held.withColumnRenamed("doc_id", "line").hint("merge"), "line")
+    found = blocks.groupBy("key", "i", "j").applyInPandas(lean_group(_block_links(need)), "a long, b long")
+    return links.unionByName(more).unionByName(found)
+
+
 def repeated_spans(docs: DataFrame, min_words: int = MIN_WORDS, share: tuple[int, int] = (3, 4), recall: float = 0.99) -> DataFrame:
     """Spans that repeat an earlier document's words: ``doc_id``, ``start``, ``end`` (words, end exclusive), ``n_words``, ``keep_doc_ids``.
 
@@ -175,13 +235,8 @@ def repeated_spans(docs: DataFrame, min_words: int = MIN_WORDS, share: tuple[int
     equal = stage(equal, "passages")
 
     lines = stage(paragraphs(texts, min_words, bands, rows), "paragraphs")
-    by = Window.partitionBy("key").orderBy("n", "line")
     keyed = lines.groupBy("line").agg(F.first("n").alias("n"), F.first("keys").alias("keys")).select("line", "n", F.explode("keys").alias("key"))
-    keyed = keyed.withColumn("before", F.lag("line").over(by)).withColumn("p", F.first("line").over(by))
-    pairs = keyed.where("before is not null").select("line", F.explode(F.array_distinct(F.array("p", "before"))).alias("other")).where("line != other")
-    pairs = stage(pairs.select(F.greatest("line", "other").alias("a"), F.least("line", "other").alias("b")).distinct(), "colliding")
-    held = stage(_line_texts(texts, min_words, id_filter(pairs.select("a").union(pairs.select("b")), "a")), "line-texts")
-    links = measured(pairs, held, SHINGLE).where(F.col("common") * need.denominator >= F.col("together") * need.numerator).select("a", "b")
+    links = line_links(stage(keyed, "keyed"), texts, min_words, need)
     cluster = components(links).withColumnRenamed("node", "line")
     clustered = lines.drop("keys").join(cluster, "line", "left").withColumn("component", F.coalesce("component", "line"))
     first = clustered.groupBy("component").agg(F.min(F.struct("doc_id", "start")).alias("k"), F.count(F.lit(1)).alias("c")).where("c > 1")

@@ -16,7 +16,7 @@ from ldpspark.llm import quality as q
 from ldpspark.llm import substring_dedup as sd
 from ldpspark.llm import url_filter as uf
 
-from .helpers import SF, crowded, docs, lower, words
+from .helpers import SF, classes, crowded, docs, lower, words
 
 
 # --- exact dedup
@@ -196,6 +196,28 @@ def test_repeats_of_the_given_table_are_found(spark):
     assert len(want - got) <= 0.05 * len(want)
 
 
+def varied(base, places, tag):
+    out = list(base)
+    for k in places:
+        out[k] = f"{tag}x{k}"
+    return out
+
+
+@pytest.mark.parametrize("small, block", [(16, 256), (8, 16)])
+def test_linked_pairs_among_unlinked_variants_of_one_template(spark, monkeypatch, small, block):
+    monkeypatch.setattr(sd, "SMALL", small, raising=False)
+    monkeypatch.setattr(sd, "BLOCK", block, raising=False)
+    rng, base, rows = random.Random(4), words(400, 12, 10**6), []
+    for f in range(120):
+        own = varied(base, rng.sample(range(400), 8), f"a{f}")
+        rows += [(2 * f, own), (2 * f + 1, varied(own, rng.sample(range(400), 7), f"b{f}"))]
+    want = classes([(i, " ".join(w)) for i, w in rows])
+    spans = sd.repeated_spans(docs(spark, [(i, " ".join(w)) for i, w in rows])).collect()
+    whole = {r["doc_id"] for r in spans if (r["start"], r["end"]) == (0, 400)}
+    linked = {i for i, c in want.items() if i != c}
+    assert len(linked) >= 115 and whole <= linked and len(linked - whole) <= 1
+
+
 # --- URL filter
 
 def test_url_parts_and_rules(spark):
