@@ -83,6 +83,14 @@ def id_filter(ids: DataFrame, column: str) -> np.ndarray:
     return merged(kept.mapInArrow(lean(mark), SLICE_SCHEMA), np.dtype(np.uint8), np.bitwise_or, BITS // 8)
 
 
+def may_hold(packed: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """Whether each id may be in the bit map."""
+    known = np.ones(len(ids), bool)
+    for p in _places(ids):
+        known &= ((packed[(p >> np.uint64(3)).astype(np.int64)] >> (7 - (p & np.uint64(7))).astype(np.uint8)) & 1).astype(bool)
+    return known
+
+
 def only_ids(df: DataFrame, column: str, bits: np.ndarray) -> DataFrame:
     """Rows whose id may be in the bit map: all that are, and few others. Removes them before any shuffle."""
     shared = df.sparkSession.sparkContext.broadcast(bits)
@@ -94,9 +102,7 @@ def only_ids(df: DataFrame, column: str, bits: np.ndarray) -> DataFrame:
             ids = batch.column(at)
             known = np.asarray(ids.is_valid())
             x = pd.Series(ids.fill_null(0).to_numpy(zero_copy_only=False)).to_numpy()
-            for p in _places(x):
-                known = known & ((packed[(p >> np.uint64(3)).astype(np.int64)] >> (7 - (p & np.uint64(7))).astype(np.uint8)) & 1).astype(bool)
-            out = batch.filter(pa.array(known))
+            out = batch.filter(pa.array(known & may_hold(packed, x)))
             if out.num_rows:
                 yield out
 

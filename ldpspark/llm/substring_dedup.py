@@ -6,8 +6,10 @@ Two kinds of units are compared over all texts, both as sequences of lower-cased
   for high recall at the similarity asked for; the exact Jaccard similarity of colliding paragraphs is computed from the texts,
   and the links are clustered by components. In each bucket the neighbours in the order of length are compared first; then all pairs
   of the bucket that are not in one cluster yet, in blocks where the bucket is large;
-* **passages**, the ``min_words`` words from each start of a sentence on, which may begin inside a line and run over its end: equal ones
-  are found by a 128-bit hash of the words. They catch what is pasted into otherwise different paragraphs.
+* **passages**, any ``min_words`` words in a row, which may begin inside a line and run over its end: equal ones
+  are found by a 128-bit hash of the words. They catch what is pasted into otherwise different paragraphs. The anchor of such a window is the
+  least hash of the shorter runs of words in it, so equal windows have equal anchors; windows in a row with one anchor are a
+  segment. Equal segments are matched whole, and only segments that share their anchor with a different one are compared window by window.
 
 In each cluster the occurrence of least document id and position stays; the others are spans to remove.
 """
@@ -25,7 +27,7 @@ from pyspark.sql import functions as F
 
 from ldpspark.llm.components import components
 from ldpspark.llm.jaccard_join import common_counts, measured
-from ldpspark.llm.merging import id_filter, only_ids
+from ldpspark.llm.merging import id_filter, may_hold, only_ids
 from ldpspark.llm.staging import lean, lean_group, small_batches, stage
 from ldpspark.llm.textkernel import _BASE, NOT_SPACE, _power, mix, runs, shingle_sets, texts_of, word_bounds, word_hashes
 
@@ -37,8 +39,6 @@ BLOCK = 256
 _A = np.random.Generator(np.random.PCG64(77)).integers(0, 1 << 64, (2, 256), dtype=np.uint64) | np.uint64(1)
 _W1 = (_BASE ^ (0x5DEECE66D << 3)) & ((1 << 64) - 1)
 _W2 = (_BASE ^ (0x2545F4914F6CDD1D << 3)) & ((1 << 64) - 1)
-_STOPS = np.zeros(256, bool)
-_STOPS[[33, 46, 63]] = True
 
 
 def tuned(share: float, recall: float, most: int = 64) -> tuple[int, int]:
@@ -58,7 +58,7 @@ def tuned(share: float, recall: float, most: int = 64) -> tuple[int, int]:
 
 
 def _layout(column: pa.Array):
-    """Per run of texts: first text, words' hashes, text, line number, whether a sentence starts, and byte bounds with the bytes."""
+    """Per run of texts: first text, words' hashes, text, first words of texts, whether a line starts, and byte bounds with the bytes."""
     raw, offsets = texts_of(column)
     for a, b in runs(offsets):
         part, at = raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
@@ -69,11 +69,8 @@ def _layout(column: pa.Array):
         fresh[1:] = of[1:] != of[:-1]
         new_line = fresh.copy()
         new_line[1:] |= lines[1:] != lines[:-1]
-        opens = new_line.copy()
-        if len(h):
-            opens[1:] |= _STOPS[part[ends[:-1] - 1]]
         edges = np.searchsorted(of, np.arange(b - a + 1))
-        yield a, b, h, of, edges, new_line, opens, starts, ends, part, at
+        yield a, b, h, of, edges, new_line, starts, ends, part, at
 
 
 def _sums(h: np.ndarray, name: str, base: int) -> tuple[np.ndarray, np.ndarray]:
@@ -88,26 +85,109 @@ def _span_hash(h: np.ndarray, i: np.ndarray, n: np.ndarray, name: str, base: int
     return mix((total[i + n] - total[i]) * down[i] + n.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 
 
-def passages(docs: DataFrame, words: int) -> DataFrame:
-    """(h1, h2, doc_id, starts): the ``words`` words from every sentence start on; a passage that a text repeats is one row with all its starts."""
+def _least(x: np.ndarray, width: int) -> np.ndarray:
+    """Least of the ``width`` values from each place on."""
+    have = 1
+    while have < width:
+        step = min(have, width - have)
+        x = np.minimum(x[:-step], x[step:])
+        have += step
+    return x
+
+
+def _segments(h: np.ndarray, of: np.ndarray, edges: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first word, number of windows, anchor) of the segments of a run of texts: at most ``words`` windows, so that any two of them overlap or touch."""
+    none = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint64)
+    if len(h) < words:
+        return none
+    size = max(1, 2 * words // 5)
+    i = np.arange(len(h) - size + 1)
+    anchor = _least(_span_hash(h, i, np.full(len(i), size), "w1", _W1), words - size + 1)
+    i = np.arange(len(anchor))
+    i = i[i + words <= edges[of[i] + 1]]
+    if not len(i):
+        return none
+    anchor = anchor[i]
+    fresh = np.ones(len(i), bool)
+    fresh[1:] = (anchor[1:] != anchor[:-1]) | (of[i[1:]] != of[i[:-1]])
+    cut = np.flatnonzero(fresh)
+    fresh |= (np.arange(len(i)) - np.repeat(cut, np.diff(np.append(cut, len(i))))) % words == 0
+    cut = np.flatnonzero(fresh)
+    return i[cut], np.diff(np.append(cut, len(i))), anchor[cut]
+
+
+def _named(s1: np.ndarray, ids: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """One number for a segment at its place."""
+    return mix(s1 + mix(ids.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + start.astype(np.uint64))).view(np.int64)
+
+
+def segments(docs: DataFrame, words: int) -> DataFrame:
+    """(anchor, s1, s2, doc_id, start, k, own): each segment by its anchor and the hash of its words, with its first word and number of windows."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a, b, h, of, edges, _, opens, *_ in _layout(batch["text"]):
-                i = np.flatnonzero(opens)
-                i = i[i + words <= edges[of[i] + 1]]
+            ids = batch["doc_id"].to_numpy(zero_copy_only=False)
+            for a, _, h, of, edges, *_ in _layout(batch["text"]):
+                i, k, anchor = _segments(h, of, edges, words)
                 if len(i):
-                    n = np.full(len(i), words)
+                    n = k + words - 1
                     one, two = _span_hash(h, i, n, "w1", _W1), _span_hash(h, i, n, "w2", _W2)
-                    order = np.lexsort((i, two, one, of[i]))
-                    i, one, two = i[order], one[order], two[order]
-                    fresh = np.ones(len(i), bool)
-                    fresh[1:] = (one[1:] != one[:-1]) | (two[1:] != two[:-1]) | (of[i[1:]] != of[i[:-1]])
-                    cut = np.flatnonzero(fresh)
-                    starts = pa.ListArray.from_arrays(pa.array(np.append(cut, len(i)).astype(np.int32)), pa.array(i - edges[of[i]]))
-                    yield pa.RecordBatch.from_arrays([pa.array(one[cut].view(np.int64)), pa.array(two[cut].view(np.int64)), batch["doc_id"].slice(a, b - a).take(pa.array(of[i[cut]])), starts], names=["h1", "h2", "doc_id", "starts"])
+                    doc, start = ids[a + of[i]], i - edges[of[i]]
+                    columns = [anchor.view(np.int64), one.view(np.int64), two.view(np.int64), doc, start, k, _named(one, doc, start)]
+                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["anchor", "s1", "s2", "doc_id", "start", "k", "own"])
 
-    return docs.mapInArrow(lean(work), "h1 long, h2 long, doc_id long, starts array<long>")
+    return docs.mapInArrow(lean(work), "anchor long, s1 long, s2 long, doc_id long, start long, k long, own long")
+
+
+def windows(docs: DataFrame, words: int, wanted: np.ndarray) -> DataFrame:
+    """(s1, s2, doc_id, start, h1, h2, at): the windows, by hash and first word ``at``, of each segment whose ``own`` is in the bit map, and of few others."""
+    shared = docs.sparkSession.sparkContext.broadcast(wanted)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids = batch["doc_id"].to_numpy(zero_copy_only=False)
+            for a, _, h, of, edges, *_ in _layout(batch["text"]):
+                i, k, _ = _segments(h, of, edges, words)
+                if not len(i):
+                    continue
+                s1 = _span_hash(h, i, k + words - 1, "w1", _W1)
+                held = may_hold(shared.value, _named(s1, ids[a + of[i]], i - edges[of[i]]))
+                i, k, s1 = i[held], k[held], s1[held]
+                if not len(i):
+                    continue
+                s2 = _span_hash(h, i, k + words - 1, "w2", _W2)
+                at = np.arange(k.sum()) - np.repeat(np.cumsum(k) - k, k) + np.repeat(i, k)
+                n = np.full(len(at), words)
+                one, two = _span_hash(h, at, n, "w1", _W1), _span_hash(h, at, n, "w2", _W2)
+                base = edges[of[at]]
+                columns = [np.repeat(s1, k).view(np.int64), np.repeat(s2, k).view(np.int64), ids[a + of[at]], np.repeat(i, k) - base, one.view(np.int64), two.view(np.int64), at - base]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["s1", "s2", "doc_id", "start", "h1", "h2", "at"])
+
+    return docs.mapInArrow(lean(work), "s1 long, s2 long, doc_id long, start long, h1 long, h2 long, at long")
+
+
+def passages(texts: DataFrame, words: int) -> DataFrame:
+    """(doc_id, start, end, keep): all windows of ``words`` words whose words stand at an earlier place, those of a segment and a keeper as one span."""
+    every = stage(segments(texts, words), "segments")
+    place = F.struct("doc_id", "start", "own")
+    kinds = every.groupBy("anchor", "s1", "s2").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("copies"))
+    own = Window.partitionBy("anchor")
+    kinds = kinds.withColumn("kinds", F.count(F.lit(1)).over(own))
+    # an anchor that occurs once has no equal windows
+    kinds = stage(kinds.where("kinds > 1 or copies > 1"), "kinds")
+
+    mixed = kinds.where("kinds > 1").select(F.col("first.own").alias("own"))
+    same = Window.partitionBy("h1", "h2")
+    each = windows(texts, words, id_filter(mixed, "own")).withColumn("k", F.min(F.struct("doc_id", "at")).over(same))
+    each = each.groupBy("s1", "s2", "doc_id", "start", F.col("k.doc_id").alias("keep")).agg(*[f(F.when(F.struct("doc_id", "at") != F.col("k"), F.col("at"))).alias(n) for f, n in ((F.min, "low"), (F.max, "high"))])
+    each = stage(each, "windows")
+    inner = each.where("low is not null").select("doc_id", F.col("low").alias("start"), (F.col("high") + words).alias("end"), "keep")
+
+    keeps = each.groupBy("s1", "s2").agg(F.collect_set("keep").alias("keeps"))
+    again = kinds.where("copies > 1").join(keeps, ["s1", "s2"], "left").select("anchor", "s1", "s2", "first", F.coalesce("keeps", F.array("first.doc_id")).alias("keeps"))
+    copies = every.join(again, ["anchor", "s1", "s2"]).where((F.col("doc_id") != F.col("first.doc_id")) | (F.col("start") != F.col("first.start")))
+    copies = copies.select("doc_id", "start", (F.col("start") + F.col("k") + words - 1).alias("end"), F.explode("keeps").alias("keep"))
+    return inner.unionByName(copies)
 
 
 def _lines(new_line: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray]:
@@ -151,7 +231,7 @@ def _line_texts(docs: DataFrame, words: int, wanted) -> DataFrame:
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for _, _, h, _, _, new_line, _, starts, ends, part, _ in _layout(batch["text"]):
+            for _, _, h, _, _, new_line, starts, ends, part, _ in _layout(batch["text"]):
                 first, n = _lines(new_line, words)
                 if len(first):
                     line = _span_hash(h, first, n, "w1", _W1)
@@ -228,11 +308,7 @@ def repeated_spans(docs: DataFrame, min_words: int = MIN_WORDS, share: tuple[int
     bands, rows = tuned(float(need), recall)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null")
 
-    same = Window.partitionBy("h1", "h2")
-    equal = passages(texts, min_words).withColumn("k", F.min(F.struct("doc_id", F.col("starts")[0].alias("start"))).over(same)).withColumn("c", F.sum(F.size("starts")).over(same)).where("c > 1")
-    equal = equal.withColumn("start", F.explode("starts"))
-    equal = equal.where(F.struct("doc_id", "start") != F.col("k")).select("doc_id", "start", (F.col("start") + min_words).alias("end"), F.col("k.doc_id").alias("keep"))
-    equal = stage(equal, "passages")
+    equal = passages(texts, min_words)
 
     lines = stage(paragraphs(texts, min_words, bands, rows), "paragraphs")
     keyed = lines.groupBy("line").agg(F.first("n").alias("n"), F.first("keys").alias("keys")).select("line", "n", F.explode("keys").alias("key"))
@@ -263,7 +339,7 @@ def without_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
             for text, own in zip(batch.column(at), batch.column(cut).to_pylist()):
                 value = text.as_py()
                 if own and value:
-                    _, _, _, _, _, _, _, starts, ends, part, _ = next(_layout(pa.array([value])))
+                    _, _, _, _, _, _, starts, ends, part, _ = next(_layout(pa.array([value])))
                     keep = np.ones(len(part), bool)
                     for s in own:
                         lo = starts[s["start"]] if s["start"] < len(starts) else len(part)

@@ -196,6 +196,39 @@ def test_repeats_of_the_given_table_are_found(spark):
     assert len(want - got) <= 0.05 * len(want)
 
 
+def brute_words(rows, n=50):
+    """{id: numbers of the words in a window of n words that stands at an earlier place}."""
+    texts = [(i, [w for w in re.split(r"[\x20\x09-\x0d]+", lower(t or "")) if w]) for i, t in sorted(rows)]
+    first, out = {}, {}
+    for i, w in texts:
+        for a in range(len(w) - n + 1):
+            if first.setdefault(tuple(w[a : a + n]), (i, a)) != (i, a):
+                out.setdefault(i, set()).update(range(a, a + n))
+    return out
+
+
+def test_every_repeat_of_fifty_words_is_found_to_the_word(spark):
+    rng, rows = random.Random(6), []
+    pool = [words(n, 300 + n, 10**6) for n in (50, 51, 52, 60, 75, 120, 300)]
+    pool += [words(3, 9) * 60, ["la"] * 170, words(10, 10) * 11]
+    for i in range(60):
+        out = words(rng.randrange(5, 40), 500 + i, 10**6)
+        for _ in range(3):
+            p = rng.choice(pool)
+            a = rng.randrange(0, max(1, len(p) - 55))
+            out[-1] += ","
+            out += p[a : a + rng.choice((49, 50, 51, 70, 400))] + words(rng.randrange(1, 30), 900 + rng.randrange(10**6), 10**6)
+        rows.append((i, " ".join(out)))
+    got = {}
+    for r in sd.passages(docs(spark, rows).select("doc_id", "text"), 50).collect():
+        got.setdefault(r["doc_id"], set()).update(range(r["start"], r["end"]))
+    assert got == brute_words(rows)
+    found = {}
+    for r in sd.repeated_spans(docs(spark, rows)).collect():
+        found.setdefault(r["doc_id"], set()).update(range(r["start"], r["end"]))
+    assert all(v <= found.get(i, set()) for i, v in got.items())
+
+
 def varied(base, places, tag):
     out = list(base)
     for k in places:
