@@ -4,13 +4,14 @@ Mini-batch descent is one small job per step: the step's users (each takes part
 the current weights, report one coordinate of it as a sign, and the signs are summed per coordinate. What returns to the driver is one number per
 model and coordinate. Many models (folds, budgets) share a step's pass over the data.
 
-Sequential descent, one user per step, cannot be spread over tasks within a model; it is a baseline, runs each model in one group,
-and on at most ``max_users`` users, which its result states.
+Sequential descent, one user per step, cannot be spread over tasks within a model; it is a baseline. The models of a fold read one sorted stream of
+all its users, batch by batch, and carry their weights along, so memory is bounded; the result states the number of users.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -166,43 +167,86 @@ def _noisy(g: np.ndarray, mechanism: str | None, eps: float, rng: np.random.Gene
     raise ValueError(f"unknown mechanism {mechanism!r}")
 
 
+class Walk:
+    """Descent over users in the given order, one per step; ``run`` goes on from where the last call ended."""
+
+    def __init__(self, kind: str, lam: float, gamma0: float, mechanism: str | None = None, eps: float = 1.0, seed: int = 42, tol: float = 0.0) -> None:
+        self.kind, self.lam, self.gamma0, self.mechanism, self.eps, self.tol = kind, lam, gamma0, mechanism, eps, tol
+        self.rng = np.random.default_rng(seed)
+        self.w: np.ndarray | None = None
+        self.half: tuple = ()
+        self.seen, self.stopped = 0, False
+
+    def run(self, x: np.ndarray, y: np.ndarray) -> None:
+        d = x.shape[1]
+        if self.w is None:
+            self.w = np.zeros(d)
+            if self.mechanism == "halfspace":
+                inside, other = C.halfspace_cdf(d)
+                self.half = (C.halfspace_prob(d, self.eps), np.array(inside), np.array(other), C.halfspace_scale(d, self.eps))
+        w = self.w
+        for k in range(0 if self.stopped else len(x)):
+            g = _slope(self.kind, float(x[k] @ w), float(y[k])) * x[k] + self.lam * w
+            self.seen += 1
+            move = step_size(self.seen, self.gamma0) * _noisy(g, self.mechanism, self.eps, self.rng, self.half)
+            w = w - move
+            if self.tol and np.abs(move).max() < self.tol:
+                self.stopped = True
+                break
+        self.w = w
+        if not np.isfinite(w).all():
+            raise ArithmeticError("weights are no longer finite; take a smaller gamma0")
+
+
 def fold_users(x: np.ndarray, y: np.ndarray, kind: str, lam: float, gamma0: float, mechanism: str | None = None, eps: float = 1.0, seed: int = 42, tol: float = 0.0) -> np.ndarray:
     """Descent over users in the given order, one per step; weights of the last step."""
-    d = x.shape[1]
-    w = np.zeros(d)
-    rng = np.random.default_rng(seed)
-    half: tuple = ()
-    if mechanism == "halfspace":
-        inside, other = C.halfspace_cdf(d)
-        half = (C.halfspace_prob(d, eps), np.array(inside), np.array(other), C.halfspace_scale(d, eps))
-    for k in range(len(x)):
-        g = _slope(kind, float(x[k] @ w), float(y[k])) * x[k] + lam * w
-        move = step_size(k + 1, gamma0) * _noisy(g, mechanism, eps, rng, half)
-        w = w - move
-        if tol and np.abs(move).max() < tol:
-            break
-    if not np.isfinite(w).all():
-        raise ArithmeticError("weights are no longer finite; take a smaller gamma0")
-    return w
+    walk = Walk(kind, lam, gamma0, mechanism, eps, seed, tol)
+    walk.run(x, y)
+    return walk.w
 
 
-def sgd(users: DataFrame, models: list[Model], kind: str, lam: float = 1e-4, gamma0: float | None = None, mechanism: str | None = None, max_users: int = 5000, seed: int = 42) -> DataFrame:
-    """(model, users, weights) of sequential descent: each model sees its users in the order of a keyed number, the first ``max_users`` of them.
+def sgd(users: DataFrame, models: list[Model], kind: str, lam: float = 1e-4, gamma0: float | None = None, mechanism: str | None = None, max_users: int | None = None, seed: int = 42) -> DataFrame:
+    """(model, users, weights) of sequential descent: each model sees its users in the order of a keyed number, all of them or the first ``max_users``.
 
     ``gamma0`` defaults to 1, but to 1/(2d) for exact linear regression, which diverges on wide data at 1.
     """
-    spark = users.sparkSession
-    table = spark.createDataFrame([(m.name, m.fold, m.eps) for m in models], "model string, mfold int, eps double")
-    n = users.count()
-    # what the visiting order can reach, with a margin against its randomness; the exact cut is made per model
-    reach = min(1.0, 2.0 * max_users / max(1, n) + 50 / max(1, n))
-    part = users.where(F.col("ub") < reach).join(F.broadcast(table), F.col("fold") != F.col("mfold"))
-
-    def work(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["ub", "ukey"]).head(max_users)
-        x = np.array(pdf["x"].tolist(), np.float64)
-        g = gamma0 if gamma0 is not None else (1.0 if mechanism or kind != "linear" else 1 / (2 * x.shape[1]))
-        w = fold_users(x, pdf["y"].to_numpy(np.float64), kind, lam, g, mechanism, float(pdf["eps"].iloc[0]), seed)
-        return pd.DataFrame({"model": [pdf["model"].iloc[0]], "users": [len(pdf)], "weights": [w.tolist()]})
-
-    return part.select("model", "eps", "ub", "ukey", "x", "y").groupBy("model").applyInPandas(work, "model string, users long, weights array<double>")
+    folds: dict[int, list[tuple[str, float]]] = {}
+    for m in models:
+        folds.setdefault(m.fold, []).append((m.name, m.eps))
+    table = users.sparkSession.createDataFrame([(f,) for f in folds], "mfold int")
+    part = users
+    if max_users is not None:
+        n = users.count()
+        # what the visiting order can reach, with a margin against its randomness; the exact cut is made per model
+        part = users.where(F.col("ub") < min(1.0, 2.0 * max_users / max(1, n) + 50 / max(1, n)))
+    part = part.join(F.broadcast(table), F.col("fold") != F.col("mfold")).select("mfold", "ub", "ukey", "x", "y")
+
+    def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        now: int | None = None
+        walks: list[tuple[str, Walk]] = []
+        seen = 0
+
+        def done() -> pd.DataFrame:
+            return pd.DataFrame({"model": [name for name, _ in walks], "users": [seen] * len(walks), "weights": [w.w.tolist() for _, w in walks]})
+
+        for pdf in frames:
+            for fold, own in pdf.groupby("mfold", sort=True):
+                if fold != now:
+                    if walks:
+                        yield done()
+                    g = gamma0 if gamma0 is not None else (1.0 if mechanism or kind != "linear" else 1 / (2 * len(own["x"].iloc[0])))
+                    now, seen = fold, 0
+                    walks = [(name, Walk(kind, lam, g, mechanism, eps, seed)) for name, eps in folds[int(fold)]]
+                if max_users is not None:
+                    own = own.head(max_users - seen)
+                if not len(own):
+                    continue
+                x, y = np.array(own["x"].tolist(), np.float64), own["y"].to_numpy(np.float64)
+                for _, walk in walks:
+                    walk.run(x, y)
+                seen += len(own)
+        if walks:
+            yield done()
+
+    ordered = part.repartition(4 * len(folds), "mfold").sortWithinPartitions("mfold", "ub", "ukey")
+    return ordered.mapInPandas(work, "model string, users long, weights array<double>")

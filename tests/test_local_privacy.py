@@ -182,6 +182,34 @@ def test_exact_descent_nears_least_squares():
         descent.fold_users(np.ones((2000, 85)), np.ones(2000), "linear", 0.0, 5.0)
 
 
+@pytest.mark.parametrize("mechanism", [None, "halfspace", "laplace", "one_coordinate"])
+def test_sequential_descent_sees_all_users_over_batches(spark, mechanism):
+    rng = np.random.default_rng(8)
+    rows = [(f"u{i}", [float(v) for v in rng.uniform(-1, 1, 3)], float(rng.choice([-1, 1]))) for i in range(2500)]
+    users = descent.prepared(spark.createDataFrame(rows, "ukey string, x array<double>, y double"), 2)
+    all_users = sorted(users.collect(), key=lambda r: (r["ub"], r["ukey"]))
+    models = [descent.Model(f"{e}/{f}", 3, e, 1, f) for f in (0, 1) for e in (1.0, 2.0)]
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 100)
+    try:
+        got = {r["model"]: r for r in descent.sgd(users, models, "logistic", 1e-3, 0.5, mechanism).collect()}
+        few = {r["model"]: r for r in descent.sgd(users, models, "logistic", 1e-3, 0.5, mechanism, max_users=64).collect()}
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    for m in models:
+        own = [r for r in all_users if r["fold"] != m.fold]
+        for found, n in ((got[m.name], len(own)), (few[m.name], 64)):
+            x, y = np.array([r["x"] for r in own[:n]]), np.array([r["y"] for r in own[:n]])
+            assert found["users"] == n
+            assert np.allclose(found["weights"], descent.fold_users(x, y, "logistic", 1e-3, 0.5, mechanism, m.eps), atol=1e-12)
+
+
+@pytest.mark.parametrize("name", ["sgd_exact_whole_svm", "sgd_halfspace_linear", "sgd_laplace", "sgd_one_coordinate"])
+def test_registered_descent_takes_the_whole_table(spark, name):
+    from ldpspark import queries
+
+    assert {r["users"] for r in queries.QUERIES[name](spark, SF2).collect()} == {spark.read.parquet(f"{SF2}/lineitem.parquet").count()}
+
+
 def test_order_of_methods_in_linear_regression(spark):
     from ldpspark.erm.crossval import cross_validated
 
