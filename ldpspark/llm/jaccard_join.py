@@ -360,8 +360,9 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     keys = far.groupBy("key").agg(count(F.col("open")).alias("opens"), count(F.col("edge")).alias("edges")).where("opens > 0")
     # members of the ball matter only where the ring between t and 2t has someone of another class
     rest = far.join(keys, "key").where(F.col("open") | ~F.col("inside") | (F.col("edges") > 0))
-    width = rest.groupBy("key").agg(F.count(F.lit(1)).alias("others"), F.bit_xor(F.xxhash64("doc_id", "inside")).alias("like"), F.bit_xor(F.xxhash64("inside", "doc_id", F.lit(1))).alias("like2"))
-    # regions of the same members are one
+    total = lambda h: F.sum(h.cast("decimal(20,0)"))
+    width = rest.groupBy("key").agg(F.count(F.lit(1)).alias("others"), total(F.xxhash64("doc_id", "n", "inside")).alias("like"), total(F.xxhash64("inside", "n", "doc_id", F.lit(1))).alias("like2"))
+    # regions of the same members are one; sums tell rows that stand twice from none, and decimals don't overflow
     width = width.where("others > 1").groupBy("like", "like2", "others").agg(F.min("key").alias("key"))
     rest = stage(rest.join(width.select("key", "others"), "key"), "rest")
 

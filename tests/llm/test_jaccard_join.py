@@ -71,6 +71,13 @@ def test_classes_are_those_of_brute_force(spark, monkeypatch, small, block):
     assert all(got[i]["n_shingles"] == len(shingles(t)) for i, t in rows)
 
 
+def test_classes_hold_where_every_row_stands_twice(spark):
+    rows = family()
+    got = jj.similar_classes(docs(spark, rows + rows)).collect()
+    assert len(got) == 2 * len(rows)
+    assert {r["doc_id"]: r["component_id"] for r in got} == classes(rows)
+
+
 def test_nulls_repeated_rows_and_empty_table(spark):
     t = " ".join(words(30, 3))
     rows = [(7, t), (7, t), (2, t), (None, t), (None, None), (9, None), (10, "")]
