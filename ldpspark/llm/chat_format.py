@@ -119,9 +119,26 @@ def examples(written: DataFrame) -> DataFrame:
 
 
 def example_texts(written: DataFrame) -> DataFrame:
-    """Examples cut out of conversations of one part: ``conv_id``, ``context``, ``reply`` (both escaped). Output grows with the square of a conversation's turns."""
-    spans = written.where("part = 0").select("conv_id", "formatted", F.explode("spans").alias("s"))
-    return spans.select("conv_id", F.expr("substring(formatted, 1, cast(s.start as int))").alias("context"), F.expr("substring(formatted, cast(s.start as int) + 1, cast(s.end - s.start as int))").alias("reply"))
+    """Examples cut out: ``conv_id``, ``context`` (all parts before and what precedes the reply in its own), ``reply`` (both escaped).
+
+    Output grows with the square of a conversation's turns, and a context is one string, of 2 GB at most.
+    """
+
+    def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        now: object = None
+        began = False
+        before = ""
+        for pdf in frames:
+            for conv, text, spans in zip(pdf["conv_id"], pdf["formatted"], pdf["spans"]):
+                conv = None if pd.isna(conv) else int(conv)
+                if not began or conv != now:
+                    now, began, before = conv, True, ""
+                for s in spans:
+                    yield pd.DataFrame({"conv_id": pd.array([conv], "Int64"), "context": [before + text[: s["start"]]], "reply": [text[s["start"] : s["end"]]]})
+                before += text
+
+    ordered = written.select("conv_id", "part", "formatted", "spans").repartition("conv_id").sortWithinPartitions("conv_id", "part")
+    return ordered.mapInPandas(lean(work), "conv_id long, context string, reply string")
 
 
 def digests(written: DataFrame) -> DataFrame:

@@ -51,6 +51,19 @@ def test_digests_are_of_what_was_said(spark, piece):
     assert cf.digests(cf.formatted(conversations(spark, []))).count() == 0
 
 
+@pytest.mark.parametrize("piece", [1 << 22, 40, 1])
+def test_replies_of_later_parts_are_examples_too(spark, piece):
+    turns = CONV + [(6, i, ("user", "assistant")[i % 2], f"said <{i}> \U0001f600") for i in range(12)]
+    written = cf.formatted(conversations(spark, turns), piece_chars=piece)
+    made = cf.example_texts(written).collect()
+    assert len(made) == sum(r["n_examples"] for r in cf.digests(written).collect())
+    whole = "".join(cf.write_turn(r, t)[0] for c, _, r, t in turns if c == 6)
+    own = sorted((r["context"], r["reply"]) for r in made if r["conv_id"] == 6)
+    assert len(own) == 6 and all(whole.startswith(c + r) for c, r in own)
+    spans = sorted((r["conv_id"] or -1, r["loss_start"], r["prefix_chars"]) for r in cf.examples(written).collect())
+    assert sorted((r["conv_id"] or -1, len(r["context"]), len(r["context"] + r["reply"])) for r in made) == spans
+
+
 def test_examples_are_prefixes_with_one_reply(spark):
     written = cf.formatted(conversations(spark, CONV[:5]))
     made = sorted((r["context"], r["reply"]) for r in cf.example_texts(written).collect())
