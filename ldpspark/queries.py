@@ -657,7 +657,7 @@ def _(spark, sf):
         eps = 4.0 / m
         g = C.batch_size(85, eps, n, 24)
         data = stored(participating(base, m, mode="xx"), "users")
-        model = minibatch(data, [Model("m", 85, eps, max(1, n * m // g))], "logistic", LAM, max_steps=24)[0]
+        model = minibatch(data, [Model("m", 85, eps, max(1, n * m // g))], "logistic", LAM)[0]
         error = losses.evaluate(base, losses.weights(model.weights), "logistic").first()["error"]
         rows.append((m, eps, g, len(model.history), error))
     return lit_table(spark, rows, "participations int, eps_each double, g long, steps int, error double")

@@ -210,6 +210,22 @@ def test_registered_descent_takes_the_whole_table(spark, name):
     assert {r["users"] for r in queries.QUERIES[name](spark, SF2).collect()} == {spark.read.parquet(f"{SF2}/lineitem.parquet").count()}
 
 
+def test_participations_train_on_all_their_reports(spark, monkeypatch):
+    from ldpspark import queries
+
+    steps = []
+
+    def trained(data, models, kind, lam, max_steps=None):
+        steps.append(min(models[0].steps, max_steps or models[0].steps))
+        models[0].weights = [0.0] * models[0].dim
+        return models
+
+    monkeypatch.setattr(queries, "minibatch", trained)
+    rows = queries.QUERIES["w16_participation"](spark, SF2).collect()
+    n = spark.read.parquet(f"{SF2}/lineitem.parquet").count()
+    assert steps == [n * r["participations"] // r["g"] for r in rows]
+
+
 def test_order_of_methods_in_linear_regression(spark):
     from ldpspark.erm.crossval import cross_validated
 
