@@ -20,10 +20,10 @@ def _named(eps: float, fold: int) -> str:
     return f"{eps:g}/{fold}"
 
 
-def cross_validated(features: DataFrame, kind: str, n: int, dim: int, eps_grid: list[float], folds: int = 10, lam: float = 1e-4, r: int = 20, floor_share: int = 1000, methods: tuple[str, ...] = ("sgd_halfspace", "mgd", "mgd_projected", "sgd_exact"), seed: int = 42, mode: str = "xx", max_users: int = 2000, exact_users: int = 20_000, gamma0: float = 1.0) -> DataFrame:
+def cross_validated(features: DataFrame, kind: str, n: int, dim: int, eps_grid: list[float], folds: int = 10, lam: float = 1e-4, r: int = 20, floor_share: int = 1000, methods: tuple[str, ...] = ("sgd_halfspace", "mgd", "mgd_projected", "sgd_exact"), seed: int = 42, mode: str = "xx", max_users: int | None = None, exact_users: int | None = None, gamma0: float = 1.0) -> DataFrame:
     """(method, eps, folds, error, users): error averaged over the folds. Users of a fold never train its models.
 
-    Sequential descent sees at most ``max_users`` users a model, exact descent ``exact_users``. Projection is for linear regression only and is left out otherwise. The folds and budgets of one method train together.
+    Sequential descent sees all users of its folds, or at most ``max_users`` a model, exact descent ``exact_users``. Projection is for linear regression only and is left out otherwise. The folds and budgets of one method train together.
     """
     from ldpspark.sources.stored import stored
 

@@ -581,7 +581,7 @@ for _name, _spec, _kind in _STUDIES:
         n = lines(spark, sf)
         data = ex.learning_view(spark, sf, spec, kind)
         grid = [e for e in ex.scaled_grid(n, spec.name) if C.batch_size(spec.one_hot_dimension, e, n - n // 10, 24) <= n - n // 10]
-        return cross_validated(data, kind, n, spec.one_hot_dimension, grid, ex.FOLDS, ex.LAMBDA, ex.REDUCED, floor_share=24, max_users=1000)
+        return cross_validated(data, kind, n, spec.one_hot_dimension, grid, ex.FOLDS, ex.LAMBDA, ex.REDUCED, floor_share=24)
 
 
 _TYPES = ("click", "error", "purchase", "signup", "view")

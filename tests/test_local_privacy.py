@@ -226,6 +226,23 @@ def test_participations_train_on_all_their_reports(spark, monkeypatch):
     assert steps == [n * r["participations"] // r["g"] for r in rows]
 
 
+def test_cross_validation_trains_on_all_users_of_the_folds(spark, monkeypatch):
+    from ldpspark.erm import crossval
+
+    seen = []
+
+    def kept(*args):
+        out = descent.sgd(*args)
+        seen.extend(r["users"] for r in out.collect())
+        return out
+
+    monkeypatch.setattr(crossval, "sgd", kept)
+    rows = [(f"u{i}", [0.1, -0.2], 1.0 if i % 3 else -1.0) for i in range(25_000)]
+    data = spark.createDataFrame(rows, "ukey string, x array<double>, y double")
+    crossval.cross_validated(data, "svm", 25_000, 2, [1.0], folds=10, methods=("sgd_halfspace", "sgd_exact")).collect()
+    assert sum(seen) == 2 * 9 * 25_000
+
+
 def test_order_of_methods_in_linear_regression(spark):
     from ldpspark.erm.crossval import cross_validated
 
