@@ -9,21 +9,28 @@ The distance 1 - |x n y| / |x u y| is a metric. The join works on that alone:
 * **Windows.** A partner within distance t can live elsewhere. By the triangle inequality through
   the empty set and the bound on the shared part, it holds one of the text's first
   |x| - ceil((1-t)|x|) + 1 shingles in that order; the text is replicated to exactly these regions.
-* **Recursion.** In each region the member of least id is the next pivot p and every member's distance
-  to it is computed exactly. Members within t of p are linked to it, and so to each other's class.
+* **Recursion.** Equal sets are one set from the start. In each region the member of least id is the next pivot p and every member's
+  distance to it is computed exactly. Members within t of p are linked to it, and so to each other's class.
   A member u beyond t goes on with the other such members, and with the members y inside
   the ball only if d(u, p) <= 2t and |d(u, p) - d(y, p)| <= t. (Distances are first bounded from below by
-  parity maps, which settle most pairs that are not linked without their texts.) These rests are joined exactly: small
-  ones pair by pair, larger ones as blocks of at most ``BLOCK`` by ``BLOCK`` texts.
+  parity maps, which settle most pairs that are not linked without their texts.) Rests of at most ``SMALL`` members are joined
+  pair by pair. A larger rest gets ``PIVOTS`` pivots, of different classes where it can: links to them merge classes, every member
+  lives in the Voronoi region of its nearest pivot and is replicated to the region of pivot j if d(u, p_j) - d(u, p_home) <= 2t and
+  d(u, p_j) is within t of that region's radius; only pairs with one end at home are joined there. Regions of one class end,
+  the others recur with pivots of their own.
+* **Dense rests.** Where the windows would replicate a rest instead of parting it, all its members lie within about 2t of each other and
+  no pivot can tell them apart. What is not of its largest class is then compared with the rest in blocks, by sizes and parity maps.
 
 Every link between different texts lies inside one class of the result, and classes are made of
 links only: a pair is left out only where the triangle inequality excludes it or where both ends are
-linked to a pivot already.
+linked to a pivot already. Numbers of links are counted within classes; texts within t/2 of one pivot are linked to each
+other by the triangle inequality, and are counted without being compared.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import functools
+from collections.abc import Callable, Iterator
 from fractions import Fraction
 
 import numpy as np
@@ -39,6 +46,10 @@ from ldpspark.llm.textkernel import shingle_sets
 
 CELLS = 1 << 20
 SMALL = 16
+PIVOTS = 4
+LEVELS = 6
+#: A rest is dense if its regions would hold this many times its rows.
+SPREAD = 1.5
 BLOCK = 512
 #: Different sets of a class whose links are counted at once against as many.
 COUNTED = 256
@@ -81,9 +92,8 @@ def _facts(docs: DataFrame, size: int) -> DataFrame:
             held: list[np.ndarray] = []
             rows = 0
             for s in shingle_sets(batch["text"], size):
-                n.append(len(s))
-                one.append(int(s.sum(dtype=np.uint64)))
-                two.append(int((s * (s >> np.uint64(7) | np.uint64(1))).sum(dtype=np.uint64)))
+                for kept, value in zip((n, one, two), _digest(s)):
+                    kept.append(value)
                 odd.append(parity(s))
                 held.append(s)
                 rows += len(s)
@@ -94,7 +104,7 @@ def _facts(docs: DataFrame, size: int) -> DataFrame:
                 cells += np.bincount((np.concatenate(held) >> np.uint64(44)).astype(np.int64), minlength=CELLS)
             seen = seen or any(n)
             k = len(n)
-            yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(n, pa.int64()), pa.array(np.array(one, np.uint64).view(np.int64)), pa.array(np.array(two, np.uint64).view(np.int64)), pa.array(odd, pa.binary()), pa.nulls(k, pa.int32()), pa.nulls(k, pa.binary())], names=["doc_id", "n", "h1", "h2", "odd", "slice", "cells"])
+            yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(odd, pa.binary()), pa.nulls(k, pa.int32()), pa.nulls(k, pa.binary())], names=["doc_id", "n", "h1", "h2", "odd", "slice", "cells"])
         if seen:
             i, blobs = zip(*slices_of(cells))
             k = len(i)
@@ -103,12 +113,18 @@ def _facts(docs: DataFrame, size: int) -> DataFrame:
     return docs.mapInArrow(lean(work), f"doc_id long, n long, h1 long, h2 long, odd binary, {SLICE_SCHEMA}")
 
 
+def _digest(s: np.ndarray) -> tuple[int, int, int]:
+    """Size and 128-bit hash of a set, equal for equal sets only."""
+    return len(s), int(s.sum(dtype=np.uint64).view(np.int64)), int((s * (s >> np.uint64(7) | np.uint64(1))).sum(dtype=np.uint64).view(np.int64))
+
+
 def _regions(docs: DataFrame, size: int, share: Fraction, counts: np.ndarray) -> DataFrame:
-    """(key, doc_id, n): each text with the regions it lives in or is replicated to."""
+    """(key, doc_id, n): each text with the regions it lives in or is replicated to. Of equal sets in a task the first one goes."""
     order = docs.sparkSession.sparkContext.broadcast(np.minimum(counts, (1 << 22) - 1).astype(np.uint32))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weight = order.value
+        seen: set[tuple[int, int, int]] = set()
         for batch in batches:
             ids = np.asarray(batch["doc_id"].fill_null(0))
             usable = np.asarray(batch["doc_id"].is_valid())
@@ -117,8 +133,9 @@ def _regions(docs: DataFrame, size: int, share: Fraction, counts: np.ndarray) ->
             rows = 0
             for i, s in enumerate(shingle_sets(batch["text"], size)):
                 n = len(s)
-                if not n or not usable[i]:
+                if not n or not usable[i] or (own := _digest(s)) in seen:
                     continue
+                seen.add(own)
                 k = n - _needed(n, share) + 1
                 if k < n:
                     rank = (weight[(s >> np.uint64(44)).astype(np.int64)].astype(np.uint64) << np.uint64(42)) | (s >> np.uint64(22))
@@ -192,19 +209,14 @@ def _fold(maps: np.ndarray, words: int) -> np.ndarray:
 
 
 def _block_pairs(share: Fraction):
-    """Pairs of two classes (``c``) inside a pair of blocks of one region that sizes and parity maps leave possible."""
+    """Pairs of two classes (``c``) of a text of side 0 and one of side 1 that sizes and parity maps leave possible."""
     p, q = share.numerator, share.denominator
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
-        empty = pd.DataFrame({"a": [], "b": []}, dtype="int64")
-        if pdf["c"].nunique() < 2:
-            return empty
-        here = int(pdf["kh"].iloc[0])
-        sides = [{k: (g["doc_id"].to_numpy(), g["c"].to_numpy(), g["n"].to_numpy(), np.array([np.frombuffer(x, np.uint64) for x in g["odd"]]), [frozenset(x) for x in g["ks"]]) for k, g in part.groupby(part["odd"].str.len())} for part in (pdf[pdf["side"] == 0], pdf[pdf["side"] == 1])]
-        one, two = sides if sides[1] else (sides[0], sides[0])
-        out = [empty]
-        for la, (ia, ca, na, ma, ka) in one.items():
-            for lb, (ib, cb, nb, mb, kb) in two.items():
+        out = [pd.DataFrame({"a": [], "b": []}, dtype="int64")]
+        sides = [{k: (g["doc_id"].to_numpy(), g["c"].to_numpy(), g["n"].to_numpy(), np.array([np.frombuffer(x, np.uint64) for x in g["odd"]])) for k, g in part.groupby(part["odd"].str.len())} for part in (pdf[pdf["side"] == 0], pdf[pdf["side"] == 1])]
+        for la, (ia, ca, na, ma) in sides[0].items():
+            for lb, (ib, cb, nb, mb) in sides[1].items():
                 words = min(la, lb) // 8
                 fa, fb = _fold(ma, words), _fold(mb, words)
                 for k in range(len(ia)):
@@ -212,14 +224,28 @@ def _block_pairs(share: Fraction):
                     if len(could):
                         least = np.bitwise_count(fb[could] ^ fa[k]).sum(axis=1, dtype=np.int64)
                         could = could[least * (q + p) <= (na[k] + nb[could]) * (q - p)]
-                        # a pair of several regions comes from the first of them only
-                        could = could[[min(ka[k] & kb[x]) == here for x in could]]
                         out.append(pd.DataFrame({"a": np.maximum(ia[k], ib[could]), "b": np.minimum(ia[k], ib[could])}))
         return pd.concat(out).drop_duplicates().astype("int64")
 
     return work
 
 
+def in_blocks(rows: DataFrame, key: str, ones: str, block: int) -> DataFrame:
+    """``rows`` dealt so that each row where ``ones`` holds (side 0) meets every row of its ``key`` (side 1) once, in group (key, i, j).
+
+    Only the rows of ``ones`` are weighed against all others: a key of m rows and o such rows makes about 2 m o / block rows.
+    """
+    some = F.coalesce(F.expr(ones), F.lit(False))
+    size = rows.groupBy(key).agg(F.count(F.lit(1)).alias("m"), F.sum(F.when(some, 1).otherwise(0)).alias("o")).where("o > 0 and m > 1")
+    each = rows.join(size, key)
+    last = lambda c: (F.ceil(F.col(c) / block) - 1).cast("long")
+    place = lambda c: F.pmod(F.xxhash64("doc_id", "n"), last(c) + 1)
+    span = lambda c: F.explode(F.sequence(F.lit(0).cast("long"), last(c)))
+    one = each.where(some).select(*rows.columns, F.lit(0).alias("side"), place("o").alias("i"), span("m").alias("j"))
+    two = each.select(*rows.columns, F.lit(1).alias("side"), span("o").alias("i"), place("m").alias("j"))
+    return one.unionByName(two)
+
+
 def _set_hash(s: np.ndarray) -> int:
     return int(s.sum(dtype=np.uint64).astype(np.int64))
 
@@ -241,57 +267,138 @@ def common_counts(sets: list[np.ndarray], one: np.ndarray, two: np.ndarray) -> n
 
 
 def _counted(share: Fraction, size: int):
-    """Links of the texts of one or more classes, or of a pair of blocks of one: (rep, links), copies of the other text counted."""
+    """(doc_id, h1, links): links of the texts of side 0 with those of side 1 of their class (among themselves, if none), and of side 1's core with side 0; copies counted."""
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
         sets = list(shingle_sets(pa.array(pdf["text"]), size))
         # of rows that repeat an id, the one whose set is meant
         right = np.array([_set_hash(x) == h for x, h in zip(sets, pdf["h1"])], bool)
-        pdf = pdf.assign(at=np.arange(len(pdf)))[right].drop_duplicates(["c", "rep", "h1", "side"])
-        out: dict[int, int] = {}
+        pdf = pdf.assign(at=np.arange(len(pdf)))[right].drop_duplicates(["c", "doc_id", "h1", "side"])
+        found = [(np.zeros(0, np.int64),) * 3]
         for _, g in pdf.groupby("c"):
             own = [sets[k] for k in g["at"]]
-            rep, copies, side = g["rep"].to_numpy(), g["copies"].to_numpy(), g["side"].to_numpy()
+            rep, copies, side, h1, core = (g[k].to_numpy() for k in ("doc_id", "copies", "side", "h1", "core"))
             one, two = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
-            alone = not len(two)
-            two = one if alone else two
+            two = two if len(two) else one
             if not len(one):
                 continue
             both = common_counts(own, one, two)
             n = np.array([len(x) for x in own], np.int64)
             link = both * share.denominator >= (n[one][:, None] + n[two][None, :] - both) * share.numerator
-            if alone:
-                np.fill_diagonal(link, False)
-            for r, k in zip(rep[one], link @ copies[two]):
-                out[int(r)] = out.get(int(r), 0) + int(k)
-            if not alone:
-                for r, k in zip(rep[two], link.T @ copies[one]):
-                    out[int(r)] = out.get(int(r), 0) + int(k)
-        return pd.DataFrame({"rep": list(out), "links": list(out.values())}, dtype="int64")
+            link &= (rep[one][:, None] != rep[two][None, :]) | (h1[one][:, None] != h1[two][None, :])
+            inner = core[two].astype(bool)
+            found += [(rep[one], h1[one], link @ copies[two]), (rep[two][inner], h1[two][inner], link[:, inner].T @ copies[one])]
+        out = pd.DataFrame({k: np.concatenate([f[i] for f in found]) for i, k in enumerate(("doc_id", "h1", "links"))})
+        return out.groupby(["doc_id", "h1"], as_index=False)["links"].sum().astype("int64")
 
     return work
 
 
+def _cores(several: DataFrame, texts: DataFrame, size: int, t: Fraction) -> DataFrame:
+    """(c, doc_id, d): members of large classes within t/2 of the pivot, of ``PIVOTS`` tried, that has most such members."""
+    large = several.where(F.col("k") > COUNTED)
+    tried = [F.min(F.struct(F.xxhash64("h1", "h2", F.lit(i)).alias("h"), "doc_id"))["doc_id"].alias(f"p{i}") for i in range(PIVOTS)]
+    pivots = large.groupBy("c").agg(*tried).select("c", F.explode(F.array_distinct(F.array(*[f"p{i}" for i in range(PIVOTS)]))).alias("p"))
+    pairs = stage(large.join(pivots, "c").select("c", F.col("doc_id").alias("a"), F.col("p").alias("b")).distinct(), "core-pairs")
+    held = only_ids(texts, "doc_id", id_filter(pairs.select("a").union(pairs.select("b")), "a"))
+    # an id with several texts is in no core: its distances differ
+    near = measured(pairs.select("a", "b"), held, size).groupBy("a", "b").agg(F.max(F.col("together") - F.col("common")).alias("apart"), F.min("together").alias("together"), F.count(F.lit(1)).alias("texts"))
+    inside = stage(pairs.join(near.where((F.col("texts") == 1) & (2 * t.denominator * F.col("apart") <= t.numerator * F.col("together"))), ["a", "b"]).select("c", "a", "b"), "cores")
+    best = inside.groupBy("c", "b").agg(F.count(F.lit(1)).alias("m")).groupBy("c").agg(F.max(F.struct("m", "b"))["b"].alias("b"))
+    return inside.join(best, ["c", "b"]).select("c", F.col("a").alias("doc_id"), F.lit(True).alias("core"))
+
+
 def link_counts(rows: DataFrame, texts: DataFrame, size: int, share: Fraction) -> DataFrame:
     """(c, h1, h2, n_links): exact number of rows that each text of a class is linked with, itself aside.
 
-    ``rows`` holds (doc_id, n, h1, h2, c). Equal sets are one, with their number of copies. Small classes are counted many to a group; a class of
-    more than ``COUNTED`` different sets is cut into blocks, and each pair of blocks is a group of its own.
+    ``rows`` holds (doc_id, n, h1, h2, c). Equal sets are one, with their number of copies. Small classes are counted many to a group. Of a class of
+    more than ``COUNTED`` different sets, those within t/2 of one pivot (the core) are linked to each other and counted by a sum; the others are
+    compared with all, in pairs of blocks.
     """
-    sets = rows.where("n > 0 and doc_id is not null").groupBy("c", "h1", "h2").agg(F.count(F.lit(1)).alias("copies"), F.min("doc_id").alias("rep"))
+    sets = rows.where("n > 0 and doc_id is not null").groupBy("c", "h1", "h2").agg(F.count(F.lit(1)).alias("copies"), F.min("doc_id").alias("doc_id"), F.first("n").alias("n"))
     sets = stage(sets, "sets")
     width = sets.groupBy("c").agg(F.count(F.lit(1)).alias("k")).where("k > 1")
     several = stage(sets.join(width, "c"), "several")
+    known = texts.where("doc_id is not null")
+    cores = _cores(several, known, size, 1 - share)
+    several = stage(several.join(cores, ["c", "doc_id"], "left").withColumn("core", F.coalesce("core", F.lit(False))), "cored")
     groups = max(1, several.count() // COUNTED)
-    last = F.ceil(F.col("k") / COUNTED) - 1
-    block = F.pmod(F.xxhash64("rep"), last + 1)
-    group = F.when(last > 0, F.concat(F.lit("c"), F.col("c").cast("string"))).otherwise(F.concat(F.lit("b"), F.pmod(F.xxhash64("c"), F.lit(groups)).cast("string")))
-    each = several.withColumns({"block": block, "g": group, "other": F.explode(F.sequence(F.lit(0).cast("long"), last.cast("long")))})
-    each = each.select("c", "rep", "h1", "copies", "g", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), F.when(F.col("block") <= F.col("other"), 0).otherwise(1).alias("side"))
-    held = only_ids(texts.where("doc_id is not null"), "doc_id", id_filter(several, "rep")).withColumnRenamed("doc_id", "rep")
-    found = each.join(held, "rep").groupBy("g", "i", "j").applyInPandas(lean_group(_counted(share, size)), "rep long, links long")
-    found = found.groupBy("rep").agg(F.sum("links").alias("links"))
-    return sets.join(found, "rep", "left").select("c", "h1", "h2", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
+    large = F.col("k") > COUNTED
+    row = ["c", "doc_id", "n", "h1", "copies", "core"]
+    some = several.where(~large).select(*row, F.lit(0).alias("side"), F.lit(0).cast("long").alias("i"), F.lit(0).cast("long").alias("j"), F.concat(F.lit("b"), F.pmod(F.xxhash64("c"), F.lit(groups)).cast("string")).alias("g"))
+    many = in_blocks(several.where(large).select(*row), "c", "not core", COUNTED).withColumn("g", F.concat(F.lit("c"), F.col("c").cast("string")))
+    each = stage(some.unionByName(many), "counted")
+    held = only_ids(known, "doc_id", id_filter(each, "doc_id"))
+    found = each.join(held, "doc_id").groupBy("g", "i", "j").applyInPandas(lean_group(_counted(share, size)), "doc_id long, h1 long, links long")
+    found = found.groupBy("doc_id", "h1").agg(F.sum("links").alias("links"))
+    within = several.where("core").groupBy("c").agg(F.sum("copies").alias("within"))
+    out = sets.join(found, ["doc_id", "h1"], "left").join(several.select("c", "h1", "h2", "core"), ["c", "h1", "h2"], "left").join(within, "c", "left")
+    total = F.coalesce("links", F.lit(0)) + F.when(F.col("core"), F.col("within")).otherwise(F.col("copies")) - 1
+    return out.select("c", "h1", "h2", total.cast("long").alias("n_links"))
+
+
+def parted(rest: DataFrame, steps: list[DataFrame], named: DataFrame, resolved: Callable[[DataFrame, str], DataFrame], t: float) -> tuple[DataFrame, DataFrame]:
+    """(cells, dense): what is left of large rests after recursion by pivots; links found on the way are added to ``steps``.
+
+    ``rest`` holds (key, doc_id, n), ``named`` (doc_id, c) the classes of the links in ``steps``. ``cells``: (key, doc_id, n, c, home) of at most ``SMALL`` members;
+    ``dense``: (key, doc_id, n, c, top) of those that windows don't part, with the largest class ``top``.
+
+    Distances are intervals [lo, hi]. A member lives with the pivot of least hi; where no hi is known, with all such members. Let x live with
+    pivot i, and y lie within t of x. Then d(y, p_i) <= t + d(x, p_i), so y lies within t of the region's radius; and d(y, p_i) - d(y, p_k) <= 2t + d(x, p_i) -
+    d(x, p_k) for every pivot k, so its windows leave out no partner, whatever the intervals.
+    """
+    schema = "key long, doc_id long, n long, c long"
+    spark = rest.sparkSession
+    cells = [spark.createDataFrame([], f"{schema}, home boolean")]
+    dense = [spark.createDataFrame([], f"{schema}, top long")]
+
+    def classed(rows: DataFrame) -> DataFrame:
+        return rows.drop("c").join(named, "doc_id", "left").withColumn("c", F.coalesce("c", "doc_id"))
+
+    def opened(rows: DataFrame, name: str) -> DataFrame:
+        """Rows of keys where someone at home meets another class, with the number of rows and the largest class of the key."""
+        kinds = rows.groupBy("key", "c").agg(F.count(F.lit(1)).alias("k"), F.max("home").alias("host"))
+        keys = kinds.groupBy("key").agg(F.sum("k").alias("members"), F.max(F.struct("k", "c"))["c"].alias("top"), F.count(F.lit(1)).alias("kinds"), F.max("host").alias("host")).where("kinds > 1 and host")
+        return stage(rows.drop("members", "top").join(keys.select("key", "members", "top"), "key"), name)
+
+    live = opened(classed(rest.withColumn("home", F.lit(True))), "level-0")
+    for level in range(1, LEVELS + 1):
+        small = F.col("members") <= SMALL
+        cells.append(live.where(small).select("key", "doc_id", "n", "c", "home"))
+        live = live.where(~small)
+        if live.isEmpty():
+            break
+        # pivots of random classes, so that small classes have theirs too
+        salt = lambda c, i: F.xxhash64(c, "key", F.lit(level * PIVOTS + i))  # noqa: B023, E731
+        tried = [F.min(F.struct(salt("c", i).alias("x"), salt("doc_id", i).alias("y"), "doc_id"))["doc_id"].alias(f"p{i}") for i in range(PIVOTS)]
+        pivots = live.where("home").groupBy("key").agg(*tried).select("key", F.explode(F.array_distinct(F.array(*[f"p{i}" for i in range(PIVOTS)]))).alias("p"))
+        met = live.join(pivots, "key").withColumns({"a": F.greatest("doc_id", "p"), "b": F.least("doc_id", "p")})
+        met = stage(met.select("key", "doc_id", "n", "home", "p", "a", "b"), f"level-{level}-met")
+        tested = resolved(met.where("a != b").select("a", "b").distinct(), f"level-{level}")
+        steps.append(tested.where("link").select("a", "b"))
+        named = stage(components(functools.reduce(DataFrame.unionByName, steps)), "level-classes").select(F.col("node").alias("doc_id"), F.col("component").alias("c"))
+
+        own = F.col("a") == F.col("b")
+        far = met.join(tested, ["a", "b"], "left").select("key", "doc_id", "n", "home", "p", *[F.when(own, 0.0).otherwise(F.col(c)).alias(c) for c in ("lo", "hi")])
+        near = far.groupBy("key", "doc_id").agg(F.min(F.struct("hi", "lo", "p")).alias("near"), F.min("lo").alias("least"))
+        far = stage(far.join(near, ["key", "doc_id"]).withColumn("lives", F.col("home") & (F.col("p") == F.col("near.p")) & (F.col("hi") < 1)), f"level-{level}-distances")
+        bounds = far.where("lives").groupBy("key", "p").agg(F.max("hi").alias("radius"), F.max(F.col("hi") - F.col("least")).alias("slack"))
+        window = (F.col("lo") <= F.col("radius") + t) & (F.col("lo") - F.col("near.hi") <= 2 * t + F.col("slack"))
+        inside = far.join(bounds, ["key", "p"]).where(F.col("lives") | window)
+        lone = far.where(~F.col("home") | (F.col("near.hi") >= 1)).select("key", "doc_id", "n", "home").distinct()
+        row = ["doc_id", "n", F.col("key").alias("parent")]
+        parts = inside.select(*row, F.xxhash64("key", "p").alias("key"), F.col("lives").alias("home")).unionByName(lone.select(*row, F.xxhash64("key", F.lit("lone")).alias("key"), "home"))
+        parts = opened(classed(parts), f"level-{level}-parts")
+
+        after = parts.groupBy("parent").agg(F.count(F.lit(1)).alias("rows"), F.max("members").alias("widest"))
+        grown = live.select(F.col("key").alias("parent"), "members").distinct().join(after, "parent")
+        whole = (F.col("rows") > SPREAD * F.col("members")) | (F.col("widest") > 0.8 * F.col("members")) | F.lit(level == LEVELS)
+        grown = stage(grown.select("parent", whole.alias("whole")), f"level-{level}-growth")
+        left = live.join(grown.where("whole").select(F.col("parent").alias("key")), "key", "left_semi")
+        dense.append(opened(classed(left), f"level-{level}-dense").select("key", "doc_id", "n", "c", "top"))
+        live = stage(parts.join(grown.where("not whole").select("parent"), "parent", "left_semi").drop("parent"), f"level-{level}")
+    join = lambda parts: functools.reduce(DataFrame.unionByName, parts)
+    return stage(classed(join(cells)), "small-cells"), stage(join(dense), "dense")
 
 
 def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3, 4), count_links: bool = False) -> DataFrame:
@@ -313,8 +420,14 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     counts = merged(facts.where("cells is not null").select("slice", "cells"), np.dtype(np.int64), np.add, CELLS)
     facts = facts.where("cells is null").drop("slice", "cells")
 
+    # equal sets are one: its least id stands for all
+    known = facts.where("n > 0 and doc_id is not null").select("doc_id", "n", "h1", "h2")
+    sets = known.groupBy("n", "h1", "h2").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("rows"))
+    sets = stage(sets, "reps")
+    copies = stage(known.join(sets.where("rows > 1"), ["n", "h1", "h2"]).where("doc_id != rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).distinct(), "copies")
+
     w = Window.partitionBy("key")
-    region = _regions(texts, size, need, counts)
+    region = _regions(only_ids(texts, "doc_id", id_filter(sets, "rep")), size, need, counts)
     region = region.withColumn("p", F.min(F.struct("doc_id", "n")).over(w)).withColumn("members", F.count(F.lit(1)).over(w))
     region = stage(region.where("members > 1").select("key", "doc_id", "n", F.col("p.doc_id").alias("p"), F.col("p.n").alias("pn")), "regions")
 
@@ -326,14 +439,18 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
         """Pairs with the interval [lo, hi] of their distance, which is one exact value wherever a link is possible."""
         pairs = stage(pairs, f"{name}-pairs")
         some = maps if name == "all" else only_ids(maps, "doc_id", id_filter(pairs.select("a").union(pairs.select("b")), "a"))
-        bound = stage(bounded(pairs, some).dropDuplicates(["a", "b"]), f"{name}-bounds")
         # |x sym y| <= (1-s)/(1+s) (|x|+|y|) for every pair of similarity s or more
         may = F.col("least") * (need.denominator + need.numerator) <= (F.col("na") + F.col("nb")) * (need.denominator - need.numerator)
-        left = stage(bound.where(may).select("a", "b"), f"{name}-possible")
+        low = 2 * F.col("least") / (F.col("na") + F.col("nb") + F.col("least"))
+        bound = bounded(pairs, some).select("a", "b", may.alias("may"), low.alias("low"))
+        bound = stage(bound.groupBy("a", "b").agg(F.max("may").alias("may"), F.min("low").alias("low"), F.count(F.lit(1)).alias("texts")), f"{name}-bounds")
+        left = bound.where("may").select("a", "b")
         held = only_ids(near, "doc_id", id_filter(left.select("a").union(left.select("b")), "a"))
         exact = measured(left, held, size).groupBy("a", "b").agg(F.min(1 - F.col("common") / F.col("together")).alias("d"), F.max(F.col("common") * need.denominator >= F.col("together") * need.numerator).alias("link"))
-        low = 2 * F.col("least") / (F.col("na") + F.col("nb") + F.col("least"))
-        return stage(bound.join(exact, ["a", "b"], "left").select("a", "b", F.coalesce("d", low).alias("lo"), F.coalesce("d", F.lit(1.0)).alias("hi"), F.coalesce("link", F.lit(False)).alias("link")), f"{name}-distances")
+        # an id of several texts is no point of the metric: its distances say nothing of others
+        one = F.col("texts") == 1
+        bound = bound.join(exact, ["a", "b"], "left").select("a", "b", F.when(one, F.coalesce("d", "low")).otherwise(0.0).alias("lo"), F.when(one, F.coalesce("d", F.lit(1.0))).otherwise(1.0).alias("hi"), F.coalesce("link", F.lit(False)).alias("link"))
+        return stage(bound, f"{name}-distances")
 
     others = region.where(F.col("doc_id") != F.col("p"))
     fits = (F.col("n") * need.denominator >= F.col("pn") * need.numerator) & (F.col("pn") * need.denominator >= F.col("n") * need.numerator)
@@ -342,7 +459,7 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     linked = tested.where("link")
 
     # what is one class already needs no further test
-    first = components(linked.select("a", "b"))
+    first = stage(components(linked.select("a", "b")), "first-classes")
     status = met.join(tested, ["a", "b"], "left").join(first.select(F.col("node").alias("a"), F.col("component").alias("c")), "a", "left").join(first.select(F.col("node").alias("b"), F.col("component").alias("pc")), "b", "left")
     status = status.withColumn("c", F.coalesce("c", "a")).withColumn("pc", F.coalesce("pc", "b"))
     # beyond a factor 3/4 in size no distance was computed; the sizes bound it from below
@@ -365,6 +482,8 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     # regions of the same members are one; sums tell rows that stand twice from none, and decimals don't overflow
     width = width.where("others > 1").groupBy("like", "like2", "others").agg(F.min("key").alias("key"))
     rest = stage(rest.join(width.select("key", "others"), "key"), "rest")
+    steps = [linked.select("a", "b")]
+    cells, dense = parted(rest.where(F.col("others") > SMALL).select("key", "doc_id", "n"), steps, first.select(F.col("node").alias("doc_id"), F.col("component").alias("c")), resolved, float(t) + eps)
 
     few = rest.where(F.col("others") <= SMALL)
     u = few.where("open").select("key", F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("lo").alias("la"), F.col("hi").alias("ha"), F.col("c").alias("ca"))
@@ -372,18 +491,19 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     window = (F.col("la") - F.col("hb") <= float(t) + eps) & (F.col("lb") - F.col("ha") <= float(t) + eps)
     close = window & (~F.col("ball") | (F.col("la") <= 2 * float(t) + eps)) & (F.col("na") * need.denominator >= F.col("nb") * need.numerator) & (F.col("nb") * need.denominator >= F.col("na") * need.numerator)
     extra = u.join(y, "key").where(close & (F.col("ca") != F.col("cb"))).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    many = rest.where(F.col("others") > SMALL)
-    last = F.greatest(F.lit(1), F.ceil(F.col("others") / BLOCK)) - 1
-    ranked = many.withColumn("block", F.floor(F.pmod(F.xxhash64("doc_id"), last + 1)))
-    each = ranked.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), last.cast("long"))))
-    each = each.select("key", F.hash("key").alias("kh"), "doc_id", "c", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), F.when(F.col("block") <= F.col("other"), 0).otherwise(1).alias("side"))
-    each = stage(each, "blocks")
-    held = only_ids(maps, "doc_id", id_filter(each, "doc_id"))
-    shared = many.groupBy("doc_id").agg(F.collect_set(F.hash("key")).alias("ks"))
-    blocks = each.join(held, "doc_id").join(shared, "doc_id").groupBy("key", "i", "j").applyInPandas(lean_group(_block_pairs(need)), "a long, b long")
-    found = resolved(extra.unionByName(blocks).distinct(), "rest").where("link").select("a", "b")
-
-    links = stage(linked.select("a", "b").unionByName(found), "found")
+    fit = (F.col("na") * need.denominator >= F.col("nb") * need.numerator) & (F.col("nb") * need.denominator >= F.col("na") * need.numerator)
+    left = cells.select("key", F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("c").alias("ca"), F.col("home").alias("ha"))
+    right = cells.select("key", F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("c").alias("cb"), F.col("home").alias("hb"))
+    inner = left.join(right, "key").where((F.col("a") > F.col("b")) & (F.col("ca") != F.col("cb")) & (F.col("ha") | F.col("hb")) & fit).select("a", "b").distinct()
+
+    blocks = stage(in_blocks(dense, "key", "c != top", BLOCK).drop("n", "top").distinct(), "blocks")
+    held = only_ids(maps, "doc_id", id_filter(blocks, "doc_id"))
+    blocks = blocks.join(held, "doc_id").groupBy("key", "i", "j").applyInPandas(lean_group(_block_pairs(need)), "a long, b long")
+    found = resolved(extra.unionByName(inner).unionByName(blocks).distinct(), "rest").where("link").select("a", "b")
+
+    links = copies.unionByName(found)
+    for step in steps:
+        links = links.unionByName(step)
     classes = components(links)
     out = facts.join(classes.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("c", F.coalesce("component", "doc_id"))
     base = [F.col("doc_id"), F.col("n").alias("n_shingles"), F.col("c").alias("component_id")]

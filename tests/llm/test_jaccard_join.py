@@ -57,10 +57,14 @@ def family(seed=5):
     return [(i * 3 + 1, t) for i, t in enumerate(rows)]
 
 
-@pytest.mark.parametrize("small, block", [(jj.SMALL, jj.BLOCK), (1, 8)])
-def test_classes_are_those_of_brute_force(spark, monkeypatch, small, block):
+# rests pair by pair; parted by pivots, several levels deep; blocks only
+@pytest.mark.parametrize("small, block, spread", [(jj.SMALL, jj.BLOCK, jj.SPREAD), (1, 8, 1e9), (1, 8, 0.0)])
+def test_classes_are_those_of_brute_force(spark, monkeypatch, small, block, spread):
     monkeypatch.setattr(jj, "SMALL", small)
     monkeypatch.setattr(jj, "BLOCK", block)
+    monkeypatch.setattr(jj, "SPREAD", spread)
+    monkeypatch.setattr(jj, "LEVELS", 3)
+    monkeypatch.setattr(jj, "COUNTED", 256 if small > 1 else 4)
     rows = family()
     got = {r["doc_id"]: r for r in jj.similar_classes(crowded(docs(spark, rows)), count_links=True).collect()}
     want = classes(rows)
@@ -78,6 +82,31 @@ def test_classes_hold_where_every_row_stands_twice(spark):
     assert {r["doc_id"]: r["component_id"] for r in got} == classes(rows)
 
 
+def test_wide_regions_of_one_passage_and_tight_groups(spark, monkeypatch):
+    """One region of many groups far from each other, whose pivots part them, and an outlier of each."""
+    monkeypatch.setattr(jj, "SMALL", 4)
+    monkeypatch.setattr(jj, "COUNTED", 8)
+    rng = random.Random(9)
+    shared = words(30, 500)
+    rows = []
+    for f in range(10):
+        base = words(70, 600 + f)
+        rows += [" ".join(shared + edited(base, rng, rng.choice((0, 1, 2, 3, 5)))) for _ in range(9)]
+    rng.shuffle(rows)
+    rows = [(i, t) for i, t in enumerate(rows)]
+    got = {r["doc_id"]: r for r in jj.similar_classes(docs(spark, rows), share=(1, 2), count_links=True).collect()}
+    sets = {i: shingles(t) for i, t in rows}
+    assert {i: r["component_id"] for i, r in got.items()} == classes(rows, 1, 2)
+    assert {i: r["n_links"] for i, r in got.items()} == {i: sum(j != i and 2 * len(x & y) >= len(x | y) for j, y in sets.items()) for i, x in sets.items()}
+
+
+def test_id_of_several_texts_is_linked_by_any(spark):
+    one, two = " ".join(words(40, 61)), " ".join(words(40, 62))
+    rows = [(5, one), (5, two), (8, one + " x"), (9, two + " y"), (11, " ".join(words(40, 63)))]
+    got = {r["doc_id"]: r["component_id"] for r in jj.similar_classes(docs(spark, rows)).collect()}
+    assert got == {5: 5, 8: 5, 9: 5, 11: 11}
+
+
 def test_nulls_repeated_rows_and_empty_table(spark):
     t = " ".join(words(30, 3))
     rows = [(7, t), (7, t), (2, t), (None, t), (None, None), (9, None), (10, "")]
