@@ -3,26 +3,35 @@
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 _paths: list[tuple[object, str]] = []
 
 
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """``df`` written to the folder that ``spark.checkpoint.dir`` names (a temporary one only where unset), and read back."""
-    sc = df.sparkSession.sparkContext
-    folder = sc.getConf().get("spark.checkpoint.dir", None)
-    if not folder:
+def shared_dir(spark: SparkSession) -> str:
+    """The folder named by ``spark.checkpoint.dir``. Where that is unset, a temporary one, in local mode only: executors elsewhere could not see it."""
+    sc = spark.sparkContext
+    named = sc.getConf().get("spark.checkpoint.dir", None)
+    if not named:
         if sc._jsc.sc().getCheckpointDir().isEmpty():
+            if not re.fullmatch(r"local(\[.*\])?", sc.master):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
             sc.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
-        folder = sc._jsc.sc().getCheckpointDir().get()
-    path = f"{folder.rstrip('/')}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    _paths.append((sc, path))
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+        named = sc._jsc.sc().getCheckpointDir().get()
+    return named.rstrip("/")
+
+
+def stored(df: DataFrame, name: str, by: str | None = None) -> DataFrame:
+    """``df`` written to the shared folder, in folders of the column ``by`` if given, and read back."""
+    spark = df.sparkSession
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
+    _paths.append((spark.sparkContext, path))
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def _clear() -> None:
