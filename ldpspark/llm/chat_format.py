@@ -112,10 +112,11 @@ def formatted(conversations: DataFrame, role: str = "assistant", piece_chars: in
 
 
 def examples(written: DataFrame) -> DataFrame:
-    """One row per reply: ``conv_id``, ``example``, ``prefix_chars`` (context and reply), ``loss_start`` (offset of the reply in the prefix)."""
-    spans = written.select("conv_id", "part", F.posexplode("spans").alias("i", "s"))
+    """One row per reply: ``conv_id``, ``part``, ``example`` (from 0 within the part), ``start`` and ``end`` of the reply in the part, ``prefix_chars`` (context and
+    reply), ``loss_start`` (offset of the reply in the prefix)."""
+    spans = written.select("conv_id", "part", F.posexplode("spans").alias("example", "s"))
     ends = F.col("s.at") + (F.col("s.end") - F.col("s.start"))
-    return spans.select("conv_id", F.concat_ws("-", "part", "i").alias("example"), ends.alias("prefix_chars"), F.col("s.at").alias("loss_start"))
+    return spans.select("conv_id", "part", "example", F.col("s.start").alias("start"), F.col("s.end").alias("end"), ends.alias("prefix_chars"), F.col("s.at").alias("loss_start"))
 
 
 def example_texts(written: DataFrame) -> DataFrame:
@@ -142,37 +143,43 @@ def example_texts(written: DataFrame) -> DataFrame:
 
 
 def digests(written: DataFrame) -> DataFrame:
-    """What can be read back from the written form, per conversation.
+    """What can be read back from the written form and its examples, per conversation.
 
-    ``n_turns``, ``turns_sha256`` (role, newline, text, newline of each turn), ``loss_chars`` and ``loss_sha256`` (unescaped text under the
-    mask), ``formatted_chars``, ``n_examples``. Parts are read in order, one at a time.
+    ``n_turns``, ``turns_sha256`` (role, newline, text, newline of each turn), ``loss_chars`` and ``loss_sha256`` (unescaped replies of all
+    examples), ``formatted_chars``, ``n_examples``. Each example is a row of its own; it follows the part that its reply is cut from, and its prefix
+    must end where the reply does. Parts are read in order, one at a time.
     """
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         now: object = None
         began = False
         state: list = []
+        text = ""
         done: list[tuple] = []
 
         def close() -> None:
             done.append((now, state[0], state[1].hexdigest(), state[2], state[3].hexdigest(), state[4], state[5]))
 
         for pdf in frames:
-            for conv, text, spans in zip(pdf["conv_id"], pdf["formatted"], pdf["spans"]):
+            for conv, example, piece, start, end, prefix in zip(pdf["conv_id"], pdf["example"], pdf["formatted"], pdf["start"], pdf["end"], pdf["prefix_chars"]):
                 conv = None if pd.isna(conv) else int(conv)
                 if not began or conv != now:
                     if began:
                         close()
                     now, began, state = conv, True, [0, hashlib.sha256(), 0, hashlib.sha256(), 0, 0]
-                for who, body in read_turns(text):
-                    state[0] += 1
-                    state[1].update(f"{who}\n{body}\n".encode())
-                for s in spans:
-                    loss = unescape(text[s["start"] : s["end"]])
-                    state[2] += len(loss)
-                    state[3].update(loss.encode())
-                    state[5] += 1
-                state[4] += len(text)
+                if example < 0:
+                    text = piece
+                    for who, body in read_turns(text):
+                        state[0] += 1
+                        state[1].update(f"{who}\n{body}\n".encode())
+                    state[4] += len(text)
+                    continue
+                if state[4] - len(text) + end != prefix:
+                    raise ValueError(f"an example of conversation {conv} does not end with its reply")
+                loss = unescape(text[int(start) : int(end)])
+                state[2] += len(loss)
+                state[3].update(loss.encode())
+                state[5] += 1
             if done:
                 yield _frame(done)
                 done = []
@@ -183,5 +190,8 @@ def digests(written: DataFrame) -> DataFrame:
     def _frame(rows: list[tuple]) -> pd.DataFrame:
         return pd.DataFrame(rows, columns=["conv_id", "n_turns", "turns_sha256", "loss_chars", "loss_sha256", "formatted_chars", "n_examples"]).astype({"conv_id": "Int64"})
 
-    ordered = written.repartition("conv_id").sortWithinPartitions("conv_id", "part")
+    none = F.lit(-1).cast("long")
+    pieces = written.select("conv_id", "part", F.lit(-1).alias("example"), "formatted", none.alias("start"), none.alias("end"), none.alias("prefix_chars"))
+    replies = examples(written).select("conv_id", "part", "example", F.lit(None).cast("string").alias("formatted"), "start", "end", "prefix_chars")
+    ordered = pieces.unionByName(replies).repartition("conv_id").sortWithinPartitions("conv_id", "part", "example")
     return ordered.mapInPandas(lean(work), "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long, n_examples long")
