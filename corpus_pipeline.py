@@ -8,6 +8,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from ldpspark.llm import decontamination, jaccard_join, mixing, quality, sharding
 from ldpspark.llm.staging import stage
@@ -39,7 +40,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def shard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The mix with shard and slot of each row."""
-    return sharding.shuffled(docs, ["doc_id", "source", "n_chars"])
+    return sharding.shuffled(docs, ["doc_id", "source", "n_chars", "lang", F.md5(F.col("text").cast("string"))])
 
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]

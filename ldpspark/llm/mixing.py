@@ -81,19 +81,22 @@ def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, limit:
     Rows that agree in id, source and size share the copies that ``mixed`` gives them, dealt out by the order of their texts. Without such
     rows the texts move once, to meet their number of copies.
     """
-    plan = mixed(docs, weights, limit, seed).groupBy(F.col("doc_id").alias("_id"), F.col("source").alias("_source"), F.col("size").alias("_size"))
-    plan = stage(plan.agg(F.sum("copies").alias("_copies"), F.count(F.lit(1)).alias("_rows")).where("_copies > 0"), "copies")
-    own = docs.withColumn("_len", F.coalesce(F.regexp_count(F.col("text").cast("string"), F.lit(WORD)), F.lit(0)).cast("long"))
-    match = own["doc_id"].cast("long").eqNullSafe(plan["_id"]) & own["source"].cast("string").eqNullSafe(plan["_source"]) & (own["_len"] == plan["_size"])
-    single, repeated = plan.where("_rows = 1"), plan.where("_rows > 1")
+    plan = mixed(docs, weights, limit, seed).groupBy(F.col("doc_id").alias("id"), F.col("source").alias("origin"), F.col("size").alias("words"))
+    plan = stage(plan.agg(F.sum("copies").alias("copies"), F.count(F.lit(1)).alias("rows")).where("copies > 0"), "copies")
+    text = F.col("text").cast("string")
+    size = F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
+    # the row travels as one struct, so that none of its names meets one of ours
+    own = docs.select(F.col("doc_id").cast("long").alias("own_id"), F.col("source").cast("string").alias("own_origin"), size.alias("own_words"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    match = own["own_id"].eqNullSafe(plan["id"]) & own["own_origin"].eqNullSafe(plan["origin"]) & (own["own_words"] == plan["words"])
+    single, repeated = plan.where("rows = 1"), plan.where("rows > 1")
     # one plan at every size: by sort and merge, never by a broadcast of the plan, which grows with the documents
-    taken = own.join(single.hint("merge"), match)
+    taken = own.join(single.hint("merge"), match).select("row", "copies")
     if not repeated.isEmpty():
-        several = own.join(repeated, match)
-        nth = F.row_number().over(Window.partitionBy("_id", "_source", "_size").orderBy("text"))
-        share = F.floor(F.col("_copies") / F.col("_rows")) + F.when(nth <= F.col("_copies") % F.col("_rows"), 1).otherwise(0)
-        taken = taken.unionByName(several.withColumn("_copies", share.cast("long")).where("_copies > 0"))
-    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies")))).select(*[F.col(f"`{c}`") for c in docs.columns])
+        several = own.join(repeated.hint("merge"), match)
+        nth = F.row_number().over(Window.partitionBy("id", "origin", "words").orderBy(F.col("row.text").cast("string")))
+        share = F.floor(F.col("copies") / F.col("rows")) + F.when(nth <= F.col("copies") % F.col("rows"), 1).otherwise(0)
+        taken = taken.unionByName(several.select("row", share.cast("long").alias("copies")).where("copies > 0"))
+    return taken.select("row", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select("row.*")
 
 
 ORACLE = r"""

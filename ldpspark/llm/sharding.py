@@ -7,7 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -51,50 +51,51 @@ class Permutation:
         return self._walk(places, self.keys[::-1], True)
 
 
-def numbered(df: DataFrame, order: list[str], column: str = "row_number") -> tuple[DataFrame, int]:
-    """``df`` with gapless global row numbers from 0 in the given order, and the number of rows.
+def numbered(df: DataFrame, order: list[str | Column]) -> tuple[DataFrame, int]:
+    """(row, number): the rows of ``df`` as structs with gapless global numbers from 0 in the given order; and the number of rows.
 
     Ranges are dealt out by Spark's range partitioning and sorted; a range's offset is the sum of the counts before it.
-    Equal rows are interchangeable. Nulls come first.
+    Rows equal in ``order`` are interchangeable. Nulls come first.
     """
 
     def number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, n = TaskContext.get().partitionId(), 0
         for batch in batches:
             k = batch.num_rows
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.full(k, part, np.int32)), pa.array(np.arange(n, n + k))], names=[*batch.schema.names, "_part", "_nth"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.full(k, part, np.int32)), pa.array(np.arange(n, n + k))], names=["row", "part", "nth"])
             n += k
 
-    schema = T.StructType([*df.schema.fields, T.StructField("_part", T.IntegerType()), T.StructField("_nth", T.LongType())])
-    parts = stage(df.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(lean(number), schema), "ranges")
-    sizes = parts.groupBy("_part").agg(F.count(F.lit(1)).alias("_size"))
-    before = F.sum("_size").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("_size")
+    keys = [f"o{i}" for i in range(len(order))]
+    packed = df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row"), *[(F.col(f"`{o}`") if isinstance(o, str) else o).alias(k) for o, k in zip(order, keys)])
+    schema = T.StructType([packed.schema["row"], T.StructField("part", T.IntegerType()), T.StructField("nth", T.LongType())])
+    ranged = packed.repartitionByRange(*keys).sortWithinPartitions(*keys).select("row")
+    parts = stage(ranged.mapInArrow(lean(number), schema), "ranges")
+    sizes = parts.groupBy("part").agg(F.count(F.lit(1)).alias("size"))
+    before = F.sum("size").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("size")
     # one row for each partition of the table
-    offsets = sizes.select("_part", before.alias("_before"))
-    out = parts.join(F.broadcast(offsets), "_part").withColumn(column, F.col("_before") + F.col("_nth"))
-    return out.drop("_part", "_nth", "_before"), parts.count()
+    offsets = sizes.select("part", before.alias("before"))
+    return parts.join(F.broadcast(offsets), "part").select("row", (F.col("before") + F.col("nth")).alias("number")), parts.count()
 
 
-def shuffled(df: DataFrame, order: list[str], shards: int = 8, seed: int = 7) -> DataFrame:
+def shuffled(df: DataFrame, order: list[str | Column], shards: int = 8, seed: int = 7) -> DataFrame:
     """``df`` with ``shard`` and ``slot``: place p of the permuted row numbers is shard p mod ``shards``, slot p div ``shards``.
 
     Counts of shards differ by one at most and slots are gapless from 0. Where a row went, and which row is at
-    a slot, follow from ``Permutation`` alone. An empty table gives an empty result.
+    a slot, follow from ``Permutation`` alone. Columns of ``df`` named ``shard`` or ``slot`` give way to the new ones; all others stay as they are.
+    Rows equal in ``order`` are interchangeable. An empty table gives an empty result.
     """
     small_batches(df.sparkSession)
-    rows, n = numbered(df, order, "_row")
-    at = rows.columns.index("_row")
+    df = df.select(*[F.col(f"`{c}`") for c in df.columns if c.lower() not in ("shard", "slot")])
+    rows, n = numbered(df, order)
     permutation = Permutation(n, seed)
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            p = permutation.apply(np.asarray(batch.column(at)))
-            columns = [c for i, c in enumerate(batch.columns) if i != at]
-            names = [c for i, c in enumerate(batch.schema.names) if i != at]
-            yield pa.RecordBatch.from_arrays([*columns, pa.array((p % shards).astype(np.int32)), pa.array(p // shards)], names=[*names, "shard", "slot"])
+            p = permutation.apply(np.asarray(batch.column(1)))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array((p % shards).astype(np.int32)), pa.array(p // shards)], names=["row", "shard", "slot"])
 
-    schema = T.StructType([f for f in rows.schema.fields if f.name != "_row"] + [T.StructField("shard", T.IntegerType()), T.StructField("slot", T.LongType())])
-    return rows.mapInArrow(lean(place), schema)
+    schema = T.StructType([rows.schema["row"], T.StructField("shard", T.IntegerType()), T.StructField("slot", T.LongType())])
+    return rows.mapInArrow(lean(place), schema).select("row.*", "shard", "slot")
 
 
 def document_shards(docs: DataFrame, shards: int = 8, seed: int = 7) -> DataFrame:

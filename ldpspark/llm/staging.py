@@ -2,29 +2,14 @@
 
 from __future__ import annotations
 
-import atexit
 import ctypes
-import tempfile
-import uuid
 from collections.abc import Callable
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-_written: list[tuple[object, str]] = []
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder named by ``spark.checkpoint.dir``; a temporary one only where that is unset (local tests)."""
-    sc = spark.sparkContext
-    named = sc.getConf().get("spark.checkpoint.dir", None)
-    if not named:
-        current = sc._jsc.sc().getCheckpointDir()
-        if current.isEmpty():
-            sc.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
-            current = sc._jsc.sc().getCheckpointDir()
-        named = current.get()
-    return named.rstrip("/")
+from ldpspark.sources.ship import ship
+from ldpspark.sources.stored import stored
 
 
 def lean(work: Callable) -> Callable:
@@ -62,27 +47,14 @@ def _release() -> None:
 
 
 def small_batches(spark: SparkSession, size: str = "4m") -> None:
-    """Bounds the bytes of an Arrow batch between the JVM and Python, so that long texts don't fill an executor's memory."""
+    """Makes a session ready for texts in Python steps: the package on the executors, and a bound on the bytes of an Arrow batch, so that long texts don't fill their memory.
+
+    The bound stays set in the session, as plans that are made later need it too.
+    """
+    ship(spark)
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", size)
 
 
 def stage(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as a table in the shared folder and read it back."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/stage-{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    _written.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def _drop_all() -> None:
-    for spark, path in _written:
-        try:
-            jvm = spark.sparkContext._jvm
-            p = jvm.org.apache.hadoop.fs.Path(path)
-            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
-        except Exception:  # the session may be gone at exit; the folder belongs to the cluster then
-            return
-
-
-atexit.register(_drop_all)
+    return stored(df, f"stage-{name}")

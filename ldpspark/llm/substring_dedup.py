@@ -329,14 +329,16 @@ def repeated_spans(docs: DataFrame, min_words: int = MIN_WORDS, share: tuple[int
 
 def without_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
     """``docs`` with the words of the spans cut out of ``text``; what stands between other words is left as it was. Columns unchanged."""
-    cuts = spans.groupBy(F.col("doc_id").alias("_id")).agg(F.sort_array(F.collect_list(F.struct("start", "end"))).alias("_cuts"))
-    joined = docs.join(cuts, docs["doc_id"].cast("long") == cuts["_id"], "left").drop("_id")
-    at, cut = joined.columns.index("text"), joined.columns.index("_cuts")
+    cuts = spans.groupBy(F.col("doc_id").alias("id")).agg(F.sort_array(F.collect_list(F.struct("start", "end"))).alias("cuts"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("own"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    joined = rows.join(cuts, rows["own"] == cuts["id"], "left").select("row", "cuts")
+    at = docs.columns.index("text")
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
+            row = batch.column(0)
             out = []
-            for text, own in zip(batch.column(at), batch.column(cut).to_pylist()):
+            for text, own in zip(row.field(at), batch.column(1).to_pylist()):
                 value = text.as_py()
                 if own and value:
                     _, _, _, _, _, _, starts, ends, part, _ = next(_layout(pa.array([value])))
@@ -347,8 +349,7 @@ def without_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
                         keep[lo:hi] = False
                     value = part[keep].tobytes().decode()
                 out.append(value)
-            columns = list(batch.columns)
-            columns[at] = pa.array(out, pa.string())
-            yield pa.RecordBatch.from_arrays([c for i, c in enumerate(columns) if i != cut], names=[n for i, n in enumerate(batch.schema.names) if i != cut])
+            columns = [pa.array(out, pa.string()) if i == at else row.field(i) for i in range(row.type.num_fields)]
+            yield pa.RecordBatch.from_arrays(columns, names=[row.type.field(i).name for i in range(row.type.num_fields)])
 
     return joined.mapInArrow(lean(work), docs.schema)

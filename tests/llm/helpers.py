@@ -9,6 +9,12 @@ DOCS = "doc_id long, text string, lang string, source string, n_chars long"
 SF = "/root/testdata/sf0.001"
 
 
+CROWD = (
+    "key n h _id _part shard_ component slice cells th size norm row part nth before number o0 o1 own_id own_origin own_words copies rows words id origin "
+    "cuts own _row _nth _before _copies _copy _len _size _rows _cuts _source _score0 _superseded _th score c a b p pn members start end skey span"
+).split()
+
+
 def docs(spark, rows):
     """rows: (doc_id, text[, source])."""
     full = [(r[0], r[1], "en", r[2] if len(r) > 2 else "src0", len(r[1]) if r[1] is not None else None) for r in rows]
@@ -19,7 +25,7 @@ def crowded(df):
     """The same rows with further columns whose names the operators use inside."""
     from pyspark.sql import functions as F
 
-    return df.withColumns({c: F.lit(1) for c in ("key", "n", "h", "_id", "_part", "shard_", "component", "slice", "cells", "th", "size", "norm")})
+    return df.withColumns({c: F.lit(1) for c in CROWD})
 
 
 def lower(text):

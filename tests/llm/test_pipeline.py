@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from ldpspark.llm import mixing, quality
 from ldpspark.llm import queries as llm_queries
 
-from .helpers import SF, classes
+from .helpers import CROWD, SF, classes, crowded
 from .test_text_filters import brute_hits
 
 
@@ -51,6 +51,18 @@ def test_stages_bear_an_empty_table(spark):
         assert empty.count() == 0
 
 
+def test_stages_keep_columns_whose_names_are_used_inside(spark):
+    names = [*CROWD, "shard", "slot", "copy_number"]
+    full = crowded(spark.read.parquet(f"{SF}/documents.parquet")).withColumns({c: F.lit(-9) for c in names})
+    for name, work in cp.STAGES:
+        out = work(spark, full, SF)
+        kept = [c for c in full.columns if c not in ("shard", "slot")] + ["shard", "slot"] if name == "sharding" else full.columns
+        assert out.columns == kept
+        odd = [c for c in names if c not in ("shard", "slot")]
+        assert out.where(" or ".join(f"`{c}` != -9 or `{c}` is null" for c in odd)).count() == 0
+        assert out.count() > 100
+
+
 def test_ten_queries_are_registered():
     numbers = sorted(int(name[2:].split("_")[0]) for name in llm_queries.QUERIES)
     assert numbers == list(range(1, 11))
