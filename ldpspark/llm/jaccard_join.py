@@ -40,7 +40,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ldpspark.llm.components import components
-from ldpspark.llm.merging import SLICE_SCHEMA, id_filter, merged, only_ids, slices_of
+from ldpspark.llm.merging import SLICE_SCHEMA, id_filter, may_hold, merged, only_ids, slices_of
 from ldpspark.llm.staging import lean, lean_group, small_batches, stage
 from ldpspark.llm.textkernel import shingle_sets
 
@@ -118,8 +118,9 @@ def _digest(s: np.ndarray) -> tuple[int, int, int]:
     return len(s), int(s.sum(dtype=np.uint64).view(np.int64)), int((s * (s >> np.uint64(7) | np.uint64(1))).sum(dtype=np.uint64).view(np.int64))
 
 
-def _regions(docs: DataFrame, size: int, share: Fraction, counts: np.ndarray) -> DataFrame:
-    """(key, doc_id, n): each text with the regions it lives in or is replicated to. Of equal sets in a task the first one goes."""
+def _regions(docs: DataFrame, size: int, share: Fraction, counts: np.ndarray, wanted: np.ndarray) -> DataFrame:
+    """(key, doc_id, n): each text whose id is in the bit map with the regions it lives in or is replicated to. Of equal sets in a task the first one goes."""
+    shared = docs.sparkSession.sparkContext.broadcast(wanted)
     order = docs.sparkSession.sparkContext.broadcast(np.minimum(counts, (1 << 22) - 1).astype(np.uint32))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -127,13 +128,14 @@ def _regions(docs: DataFrame, size: int, share: Fraction, counts: np.ndarray) ->
         seen: set[tuple[int, int, int]] = set()
         for batch in batches:
             ids = np.asarray(batch["doc_id"].fill_null(0))
-            usable = np.asarray(batch["doc_id"].is_valid())
+            usable = np.asarray(batch["doc_id"].is_valid()) & may_hold(shared.value, ids)
+            batch, ids = batch.filter(pa.array(usable)), ids[usable]
             keys: list[np.ndarray] = []
             who: list[np.ndarray] = []
             rows = 0
             for i, s in enumerate(shingle_sets(batch["text"], size)):
                 n = len(s)
-                if not n or not usable[i] or (own := _digest(s)) in seen:
+                if not n or (own := _digest(s)) in seen:
                     continue
                 seen.add(own)
                 k = n - _needed(n, share) + 1
@@ -427,7 +429,7 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     copies = stage(known.join(sets.where("rows > 1"), ["n", "h1", "h2"]).where("doc_id != rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).distinct(), "copies")
 
     w = Window.partitionBy("key")
-    region = _regions(only_ids(texts, "doc_id", id_filter(sets, "rep")), size, need, counts)
+    region = _regions(texts, size, need, counts, id_filter(sets, "rep"))
     region = region.withColumn("p", F.min(F.struct("doc_id", "n")).over(w)).withColumn("members", F.count(F.lit(1)).over(w))
     region = stage(region.where("members > 1").select("key", "doc_id", "n", F.col("p.doc_id").alias("p"), F.col("p.n").alias("pn")), "regions")
 
