@@ -5,9 +5,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ldpspark.erm.descent import Model, minibatch, prepared, sgd, steps_for
+from ldpspark.erm.descent import Model, prepared, sgd, sliced, train
 from ldpspark.erm.losses import evaluate
 from ldpspark.erm.projection import matrix, projected
+from ldpspark.functions import constants as C
+from ldpspark.sources.stored import stored
 
 
 def tested(users: DataFrame, weights: DataFrame, kind: str) -> DataFrame:
@@ -17,36 +19,38 @@ def tested(users: DataFrame, weights: DataFrame, kind: str) -> DataFrame:
 
 
 def _named(eps: float, fold: int) -> str:
-    return f"{eps:g}/{fold}"
+    return f"{eps!r}/{fold}"
 
 
 def cross_validated(features: DataFrame, kind: str, n: int, dim: int, eps_grid: list[float], folds: int = 10, lam: float = 1e-4, r: int = 20, floor_share: int = 1000, methods: tuple[str, ...] = ("sgd_halfspace", "mgd", "mgd_projected", "sgd_exact"), seed: int = 42, mode: str = "xx", max_users: int | None = None, exact_users: int | None = None, gamma0: float = 1.0) -> DataFrame:
-    """(method, eps, folds, error, users): error averaged over the folds. Users of a fold never train its models.
+    """(method, eps, folds, error, users, trained, steps): error averaged over the folds. Users of a fold never train its models.
 
     Sequential descent sees all users of its folds, or at most ``max_users`` a model, exact descent ``exact_users``. Projection is for linear regression only and is left out otherwise. The folds and budgets of one method train together.
+    ``users`` are those tested, ``trained`` and ``steps`` the mean number of users and of steps behind a model. A budget whose batch asks for more users than there are makes one step of all.
     """
-    from ldpspark.sources.stored import stored
-
-    users = stored(prepared(features, folds, seed, mode), "users")
-    trained = n - n // folds
+    users = sliced(prepared(features, folds, seed, mode))
+    size_of = {f["fold"]: f["n"] for f in users.groupBy("fold").agg(F.count(F.lit(1)).alias("n")).collect()}
+    spark = users.sparkSession
     found = None
     for method in methods:
         if method == "mgd_projected" and kind != "linear":
             continue
         data, size = users, dim
         if method == "mgd_projected":
-            data, size = stored(projected(users, matrix(r, dim, seed)), "projected"), r
+            data, size = sliced(projected(users.drop("slice"), matrix(r, dim, seed)), "projected"), r
         grid = [0.0] if method == "sgd_exact" else eps_grid
+        trained = {f: sum(size_of.values()) - size_of.get(f, 0) for f in range(folds)}
         if method.startswith("mgd"):
-            models = [Model(_named(e, f), size, e, max(1, steps_for(trained, size, e, floor_share)), f) for e in grid for f in range(folds)]
-            minibatch(data, models, kind, lam, gamma0)
-            rows = [(m.name, m.fold, [float(w) for w in m.weights]) for m in models]
-            weights = data.sparkSession.createDataFrame(rows, "model string, mfold int, w array<double>")
+            steps = lambda e, f: max(1, trained[f] // C.batch_size(size, e, trained[f], floor_share)) if trained[f] else 1  # noqa: B023, E731
+            models = train(data, [Model(_named(e, f), size, e, steps(e, f), f) for e in grid for f in range(folds)], kind, lam, gamma0)
+            rows = [(m.name, m.fold, [float(w) for w in m.weights], trained[m.fold], len(m.history)) for m in models]
+            weights = spark.createDataFrame(rows, "model string, mfold int, w array<double>, trained long, steps long")
         else:
             models = [Model(_named(e, f), size, e, 1, f) for e in grid for f in range(folds)]
             mechanism = "halfspace" if method == "sgd_halfspace" else None
             out = stored(sgd(data, models, kind, lam, None, mechanism, max_users if mechanism else exact_users, seed), "weights")
-            weights = out.select("model", F.substring_index("model", "/", -1).cast("int").alias("mfold"), F.col("weights").alias("w"))
-        error = tested(data, weights, kind).select(F.lit(method).alias("method"), F.substring_index("model", "/", 1).cast("double").alias("eps"), "users", "error")
+            weights = out.select("model", F.substring_index("model", "/", -1).cast("int").alias("mfold"), F.col("weights").alias("w"), F.col("users").alias("trained"), F.col("users").alias("steps"))
+        error = tested(data, weights, kind).join(F.broadcast(weights.select("model", "trained", "steps")), "model")
+        error = error.select(F.lit(method).alias("method"), F.substring_index("model", "/", 1).cast("double").alias("eps"), "users", "error", "trained", "steps")
         found = error if found is None else found.unionByName(error)
-    return found.groupBy("method", "eps").agg(F.count(F.lit(1)).alias("folds"), F.avg("error").alias("error"), F.sum("users").alias("users"))
+    return found.groupBy("method", "eps").agg(F.count(F.lit(1)).alias("folds"), F.avg("error").alias("error"), F.sum("users").alias("users"), F.avg("trained").alias("trained"), F.avg("steps").alias("steps"))

@@ -2,10 +2,14 @@
 
 Mini-batch descent is one small job per step: the step's users (each takes part once) compute their gradient at
 the current weights, report one coordinate of it as a sign, and the signs are summed per coordinate. What returns to the driver is one number per
-model and coordinate. Many models (folds, budgets) share a step's pass over the data.
+model and coordinate. Many models (folds, budgets) share a step's pass over the data. Users are stored in ``SLICES`` ranges of their place in the batches, so
+that a step reads the ranges of its own users only (``sliced``).
 
-Sequential descent, one user per step, cannot be spread over tasks within a model; it is a baseline. The models of a fold read one sorted stream of
-all its users, batch by batch, and carry their weights along, so memory is bounded; the result states the number of users.
+A batch of fewer than ``STREAMED`` users is less work than a job costs. Models of such batches train on one sorted stream of a fold's users, which carries
+sums and weights along (``streamed``); ``train`` sends each model to the form that its batch asks for. Both forms take the same steps.
+
+Sequential descent, one user per step, cannot be spread over tasks within a model; it is a baseline. The models of a fold, one per budget, step together through one
+sorted stream of all its users, batch by batch, so memory is bounded; the result states the number of users.
 """
 
 from __future__ import annotations
@@ -22,6 +26,13 @@ from pyspark.sql import functions as F
 from ldpspark.erm.losses import dot, slope
 from ldpspark.functions import constants as C
 from ldpspark.functions.rng import uniform
+from ldpspark.sources.ship import ship
+from ldpspark.sources.stored import stored
+
+
+SLICES = 32
+#: Users of a batch below which models train on a stream.
+STREAMED = 50_000
 
 
 def step_size(step: int, gamma0: float = 1.0) -> float:
@@ -61,11 +72,20 @@ def prepared(features: DataFrame, folds: int = 0, seed: int = 42, mode: str = "m
     return out.withColumn("fold", fold)
 
 
-def lay_out(users: DataFrame, steps: int, path: str) -> DataFrame:
-    """Users written by batch: a step then reads its own 1/steps of the data. One shuffle for the whole training."""
-    cut = users.withColumn("batch", F.least(F.floor(F.col("ub") * steps), F.lit(steps - 1)).cast("int"))
-    cut.repartition(F.col("batch"), F.pmod(F.xxhash64("ukey"), F.lit(8))).write.partitionBy("batch").parquet(path)
-    return users.sparkSession.read.parquet(path)
+def sliced(users: DataFrame, name: str = "users") -> DataFrame:
+    """``users`` of ``prepared``, stored in folders of ``slice``, equal ranges of ``ub``: a step of any training reads the ranges it needs. One shuffle for all trainings."""
+    cut = users.withColumn("slice", F.least(F.floor(F.col("ub") * SLICES), F.lit(SLICES - 1)).cast("int"))
+    return stored(cut.repartition(F.col("slice"), F.pmod(F.xxhash64("ukey"), F.lit(8))), name, "slice")
+
+
+def _slices(models: list[Model], step: int) -> list[int]:
+    """Ranges of ``ub`` that hold users of a step."""
+    out: set[int] = set()
+    for m in models:
+        # a margin against the rounding of ub * steps
+        lo, hi = (step - 1e-9) / m.steps * SLICES, ((step + 1 if step + 1 < m.steps else m.steps) + 1e-9) / m.steps * SLICES
+        out.update(range(max(0, math.floor(lo)), min(SLICES, math.floor(hi) + 1)))
+    return sorted(out)
 
 
 def gradient_sums(users: DataFrame, models: list[Model], step: int, kind: str, lam: float) -> DataFrame:
@@ -75,8 +95,8 @@ def gradient_sums(users: DataFrame, models: list[Model], step: int, kind: str, l
     rows = [(m.name, m.fold, m.steps, m.eps, 1 / (2 * C.report_scale(m.eps)), [float(w) for w in m.weights]) for m in live]
     table = F.broadcast(spark.createDataFrame(rows, "model string, mfold int, steps int, eps double, tilt double, w array<double>"))
     batch = F.least(F.floor(F.col("ub") * F.col("steps")), F.col("steps") - 1)
-    if "batch" in users.columns:  # laid out for one number of steps
-        users = users.where(F.col("batch") == step)
+    if "slice" in users.columns:
+        users = users.where(F.col("slice").isin(_slices(live, step)))
     at = users.join(table, (F.col("fold") != F.col("mfold")) & (batch == step))
     j = F.floor(F.col("uj") * F.size("w")).cast("int")
     at = at.withColumn("j", j).withColumn("g", slope(kind, dot(F.col("x"), F.col("w")), F.col("y")))
@@ -105,7 +125,7 @@ def update(model: Model, sums: dict[int, tuple[int, int]], step: int, gamma0: fl
 def minibatch(users: DataFrame, models: list[Model], kind: str, lam: float = 1e-4, gamma0: float = 1.0, tol: float = 0.0, max_steps: int | None = None) -> list[Model]:
     """Trains the models to their number of steps, until a step moves less than ``tol``, or ``max_steps``.
 
-    ``users`` comes from ``prepared`` (x, y, draws and fold) and should be stored: each step reads it. A model with m participations per user is m
+    ``users`` comes from ``prepared`` (x, y, draws and fold) and should be ``sliced``: each step reads its part of it. A model with m participations per user is m
     frames with their own draws and eps/m each; see ``participating``.
     """
     last = max((m.steps for m in models), default=0)
@@ -121,6 +141,98 @@ def minibatch(users: DataFrame, models: list[Model], kind: str, lam: float = 1e-
     return models
 
 
+def streamed(users: DataFrame, models: list[Model], kind: str, lam: float = 1e-4, gamma0: float = 1.0, tol: float = 0.0) -> list[Model]:
+    """The training of ``minibatch`` on one sorted stream of users for each fold: for batches too small for a job each."""
+    ship(users.sparkSession)
+    folds: dict[int, list[Model]] = {}
+    for m in models:
+        folds.setdefault(m.fold, []).append(m)
+
+    def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        now: int | None = None
+        own: list[Batches] = []
+        for pdf in frames:
+            for fold, part in pdf.groupby("mfold", sort=True):
+                if fold != now:
+                    if own:
+                        yield _trained(own)
+                    now, own = fold, [Batches(m, kind, lam, gamma0, tol) for m in folds[int(fold)]]
+                x = np.array(part["x"].tolist(), np.float64)
+                y, ub, uj, ut = (part[c].to_numpy(np.float64) for c in ("y", "ub", "uj", "ut"))
+                for b in own:
+                    b.run(x, y, ub, uj, ut)
+        if own:
+            yield _trained(own)
+
+    rows = {r["model"]: r for r in _by_fold(users, list(folds), ["ub", "ukey"], ["uj", "ut"]).mapInPandas(work, "model string, weights array<double>, history array<double>, stopped boolean").collect()}
+    for m in models:
+        if m.name in rows:
+            r = rows[m.name]
+            m.weights, m.history, m.stopped = list(r["weights"]), list(r["history"]), r["stopped"]
+    return models
+
+
+def _trained(own: list[Batches]) -> pd.DataFrame:
+    for b in own:
+        b.close()
+    done = [b.model for b in own]
+    return pd.DataFrame({"model": [m.name for m in done], "weights": [[float(w) for w in m.weights] for m in done], "history": [[float(h) for h in m.history] for m in done], "stopped": [bool(m.stopped) for m in done]})
+
+
+def _by_fold(users: DataFrame, folds: list[int], order: list[str], more: list[str]) -> DataFrame:
+    """Users of every fold's models (all folds but theirs), each fold's in one task and in order."""
+    table = users.sparkSession.createDataFrame([(f,) for f in folds], "mfold int")
+    part = users.join(F.broadcast(table), F.col("fold") != F.col("mfold")).select("mfold", "ub", "ukey", "x", "y", *more)
+    return part.repartition(4 * len(folds), "mfold").sortWithinPartitions("mfold", *order)
+
+
+class Batches:
+    """Mini-batch descent of one model over users that come in order of ``ub``; ``run`` goes on from where the last call ended."""
+
+    def __init__(self, model: Model, kind: str, lam: float, gamma0: float, tol: float) -> None:
+        self.model, self.kind, self.lam, self.gamma0, self.tol = model, kind, lam, gamma0, tol
+        self.step = 0
+        self.tilt = 1 / (2 * C.report_scale(model.eps))
+        self.total, self.count = np.zeros(model.dim, np.int64), np.zeros(model.dim, np.int64)
+
+    def close(self) -> None:
+        """Takes the step of the users seen since the last one."""
+        if self.count.any() and not self.model.stopped:
+            update(self.model, {int(j): (int(self.total[j]), int(self.count[j])) for j in np.flatnonzero(self.count)}, self.step, self.gamma0, self.tol)
+        self.total[:], self.count[:] = 0, 0
+
+    def run(self, x: np.ndarray, y: np.ndarray, ub: np.ndarray, uj: np.ndarray, ut: np.ndarray) -> None:
+        m = self.model
+        batch = np.minimum((ub * m.steps).astype(np.int64), m.steps - 1)
+        cut = np.flatnonzero(np.diff(batch)) + 1
+        for a, b in zip(np.concatenate(([0], cut)), np.concatenate((cut, [len(ub)]))):
+            if a == b:
+                continue
+            if batch[a] != self.step:
+                self.close()
+                self.step = int(batch[a])
+            if m.stopped:
+                return
+            w = np.asarray(m.weights)
+            j = np.floor(uj[a:b] * m.dim).astype(np.int64)
+            g = _slopes(self.kind, x[a:b] @ w, y[a:b]) * x[np.arange(a, b), j] + self.lam * w[j]
+            sign = np.where(ut[a:b] < 0.5 + np.clip(g, -1, 1) * self.tilt, 1, -1)
+            self.total += np.bincount(j, sign, m.dim).astype(np.int64)
+            self.count += np.bincount(j, minlength=m.dim)
+
+
+def train(users: DataFrame, models: list[Model], kind: str, lam: float = 1e-4, gamma0: float = 1.0, tol: float = 0.0) -> list[Model]:
+    """Trains each model by jobs or on a stream, whichever its batch asks for."""
+    n = users.count()
+    small = [m for m in models if n / m.steps < STREAMED]
+    large = [m for m in models if n / m.steps >= STREAMED]
+    if small:
+        streamed(users, small, kind, lam, gamma0, tol)
+    if large:
+        minibatch(users, large, kind, lam, gamma0, tol)
+    return models
+
+
 def participating(features: DataFrame, times: int, folds: int = 0, seed: int = 42, mode: str = "md5") -> DataFrame:
     """Each user ``times`` over, with fresh draws each; to be trained with eps / ``times``."""
     again = features.withColumn("turn", F.explode(F.sequence(F.lit(0), F.lit(times - 1))))
@@ -130,79 +242,84 @@ def participating(features: DataFrame, times: int, folds: int = 0, seed: int = 4
     return out.withColumn("fold", fold).drop("own", "turn")
 
 
-def _slope(kind: str, s: float, y: float) -> float:
+def _slopes(kind: str, s: np.ndarray, y: np.ndarray | float) -> np.ndarray:
     if kind == "linear":
         return 2 * (s - y)
     if kind == "logistic":
-        return -y / (1 + math.exp(min(y * s, 700)))
-    return -y if y * s < 1 else 0.0
-
-
-def _halfspace(t: np.ndarray, rng: np.random.Generator, p: float, inside: np.ndarray, other: np.ndarray, scale: float) -> np.ndarray:
-    d = len(t)
-    v = np.where(rng.random(d) < (1 + t) / 2, 1.0, -1.0)
-    cdf = inside if rng.random() < p else other
-    a = int(np.searchsorted(cdf, rng.random(), "right"))
-    out = -v
-    own = rng.permutation(d)[:a]
-    out[own] = v[own]
-    return scale * out
-
-
-def _noisy(g: np.ndarray, mechanism: str | None, eps: float, rng: np.random.Generator, half: tuple) -> np.ndarray:
-    if mechanism is None:
-        return g
-    g = np.clip(g, -1, 1)
-    d = len(g)
-    if mechanism == "laplace":
-        return g + rng.laplace(0, 2 * d / eps, d)
-    if mechanism == "halfspace":
-        return _halfspace(g, rng, *half)
-    if mechanism == "one_coordinate":
-        c = C.report_scale(eps)
-        j = int(rng.integers(d))
-        out = np.zeros(d)
-        out[j] = c * d if rng.random() < 0.5 + g[j] / (2 * c) else -c * d
-        return out
-    raise ValueError(f"unknown mechanism {mechanism!r}")
+        return -y / (1 + np.exp(np.minimum(y * s, 700)))
+    return np.where(y * s < 1, -y, 0.0)
 
 
 class Walk:
-    """Descent over users in the given order, one per step; ``run`` goes on from where the last call ended."""
+    """Descent over users in the given order, one per step, of one model for each budget; ``run`` goes on from where the last call ended.
 
-    def __init__(self, kind: str, lam: float, gamma0: float, mechanism: str | None = None, eps: float = 1.0, seed: int = 42, tol: float = 0.0) -> None:
-        self.kind, self.lam, self.gamma0, self.mechanism, self.eps, self.tol = kind, lam, gamma0, mechanism, eps, tol
+    A user takes the same draws in all models, in a fixed number, so that the models don't depend on each other or on how users are cut into calls.
+    """
+
+    def __init__(self, kind: str, lam: float, gamma0: float, mechanism: str | None = None, eps: list[float] | tuple[float, ...] = (1.0,), seed: int = 42, tol: float = 0.0) -> None:
+        if mechanism not in (None, "halfspace", "laplace", "one_coordinate"):
+            raise ValueError(f"unknown mechanism {mechanism!r}")
+        self.kind, self.lam, self.gamma0, self.mechanism, self.tol = kind, lam, gamma0, mechanism, tol
+        self.eps = np.array(eps, np.float64)
         self.rng = np.random.default_rng(seed)
         self.w: np.ndarray | None = None
-        self.half: tuple = ()
-        self.seen, self.stopped = 0, False
+        self.seen = 0
+        self.going = np.ones(len(eps), bool)
+
+    def _noise(self, n: int, d: int):
+        """What the reports of ``n`` users need beside their gradients: a function of (user, clamped gradients)."""
+        scale = np.array([C.report_scale(e) for e in self.eps])[:, None]
+        if self.mechanism == "laplace":
+            u = self.rng.random((n, d)) - 0.5
+            unit = -np.sign(u) * np.log(np.maximum(1 - 2 * np.abs(u), 1e-300)) * 2 * d
+            return lambda k, g: g + unit[k] / self.eps[:, None]
+        if self.mechanism == "one_coordinate":
+            u = self.rng.random((n, 2))
+            at = np.minimum((u[:, 0] * d).astype(np.int64), d - 1)
+
+            def one(k: int, g: np.ndarray) -> np.ndarray:
+                out = np.zeros_like(g)
+                out[:, at[k]] = np.where(u[k, 1] < 0.5 + g[:, at[k]] / (2 * scale[:, 0]), 1, -1) * scale[:, 0] * d
+                return out
+
+            return one
+        u = self.rng.random((n, 2 * d + 2))
+        rank = u[:, d : 2 * d].argsort(1).argsort(1)
+        inside, other = (np.searchsorted(np.array(c), u[:, 2 * d], "right") for c in C.halfspace_cdf(d))
+        chance = np.array([C.halfspace_prob(d, e) for e in self.eps])
+        own = np.where(u[:, 2 * d + 1, None] < chance, inside[:, None], other[:, None])
+        size = np.array([C.halfspace_scale(d, e) for e in self.eps])[:, None]
+        return lambda k, g: np.where((u[k, :d] < (1 + g) / 2) == (rank[k] < own[k][:, None]), size, -size)
 
     def run(self, x: np.ndarray, y: np.ndarray) -> None:
         d = x.shape[1]
         if self.w is None:
-            self.w = np.zeros(d)
-            if self.mechanism == "halfspace":
-                inside, other = C.halfspace_cdf(d)
-                self.half = (C.halfspace_prob(d, self.eps), np.array(inside), np.array(other), C.halfspace_scale(d, self.eps))
+            self.w = np.zeros((len(self.eps), d))
         w = self.w
-        for k in range(0 if self.stopped else len(x)):
-            g = _slope(self.kind, float(x[k] @ w), float(y[k])) * x[k] + self.lam * w
-            self.seen += 1
-            move = step_size(self.seen, self.gamma0) * _noisy(g, self.mechanism, self.eps, self.rng, self.half)
-            w = w - move
-            if self.tol and np.abs(move).max() < self.tol:
-                self.stopped = True
-                break
-        self.w = w
-        if not np.isfinite(w).all():
-            raise ArithmeticError("weights are no longer finite; take a smaller gamma0")
+        old = np.seterr(over="ignore", invalid="ignore")  # weights that grow beyond all bounds are told of below
+        for a in range(0, len(x), 4096):
+            noisy = self._noise(min(4096, len(x) - a), d) if self.mechanism else None
+            for k in range(a, min(a + 4096, len(x))):
+                if not self.going.any():
+                    break
+                g = _slopes(self.kind, w @ x[k], y[k])[:, None] * x[k] + self.lam * w
+                if noisy:
+                    g = noisy(k - a, np.clip(g, -1, 1))
+                self.seen += 1
+                move = step_size(self.seen, self.gamma0) * g
+                w -= move * self.going[:, None]
+                if self.tol:
+                    self.going &= np.abs(move).max(1) >= self.tol
+            if not np.isfinite(w).all():
+                raise ArithmeticError("weights are no longer finite; take a smaller gamma0")
+        np.seterr(**old)
 
 
 def fold_users(x: np.ndarray, y: np.ndarray, kind: str, lam: float, gamma0: float, mechanism: str | None = None, eps: float = 1.0, seed: int = 42, tol: float = 0.0) -> np.ndarray:
     """Descent over users in the given order, one per step; weights of the last step."""
-    walk = Walk(kind, lam, gamma0, mechanism, eps, seed, tol)
+    walk = Walk(kind, lam, gamma0, mechanism, [eps], seed, tol)
     walk.run(x, y)
-    return walk.w
+    return walk.w[0]
 
 
 def sgd(users: DataFrame, models: list[Model], kind: str, lam: float = 1e-4, gamma0: float | None = None, mechanism: str | None = None, max_users: int | None = None, seed: int = 42) -> DataFrame:
@@ -210,43 +327,40 @@ def sgd(users: DataFrame, models: list[Model], kind: str, lam: float = 1e-4, gam
 
     ``gamma0`` defaults to 1, but to 1/(2d) for exact linear regression, which diverges on wide data at 1.
     """
+    ship(users.sparkSession)
     folds: dict[int, list[tuple[str, float]]] = {}
     for m in models:
         folds.setdefault(m.fold, []).append((m.name, m.eps))
-    table = users.sparkSession.createDataFrame([(f,) for f in folds], "mfold int")
     part = users
     if max_users is not None:
         n = users.count()
         # what the visiting order can reach, with a margin against its randomness; the exact cut is made per model
         part = users.where(F.col("ub") < min(1.0, 2.0 * max_users / max(1, n) + 50 / max(1, n)))
-    part = part.join(F.broadcast(table), F.col("fold") != F.col("mfold")).select("mfold", "ub", "ukey", "x", "y")
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         now: int | None = None
-        walks: list[tuple[str, Walk]] = []
+        walk: Walk | None = None
         seen = 0
 
         def done() -> pd.DataFrame:
-            return pd.DataFrame({"model": [name for name, _ in walks], "users": [seen] * len(walks), "weights": [w.w.tolist() for _, w in walks]})
+            names = [name for name, _ in folds[int(now)]]
+            return pd.DataFrame({"model": names, "users": [seen] * len(names), "weights": walk.w.tolist()})
 
         for pdf in frames:
             for fold, own in pdf.groupby("mfold", sort=True):
                 if fold != now:
-                    if walks:
+                    if walk:
                         yield done()
                     g = gamma0 if gamma0 is not None else (1.0 if mechanism or kind != "linear" else 1 / (2 * len(own["x"].iloc[0])))
                     now, seen = fold, 0
-                    walks = [(name, Walk(kind, lam, g, mechanism, eps, seed)) for name, eps in folds[int(fold)]]
+                    walk = Walk(kind, lam, g, mechanism, [eps for _, eps in folds[int(fold)]], seed)
                 if max_users is not None:
                     own = own.head(max_users - seen)
                 if not len(own):
                     continue
-                x, y = np.array(own["x"].tolist(), np.float64), own["y"].to_numpy(np.float64)
-                for _, walk in walks:
-                    walk.run(x, y)
+                walk.run(np.array(own["x"].tolist(), np.float64), own["y"].to_numpy(np.float64))
                 seen += len(own)
-        if walks:
+        if walk:
             yield done()
 
-    ordered = part.repartition(4 * len(folds), "mfold").sortWithinPartitions("mfold", "ub", "ukey")
-    return ordered.mapInPandas(work, "model string, users long, weights array<double>")
+    return _by_fold(part, list(folds), ["ub", "ukey"], []).mapInPandas(work, "model string, users long, weights array<double>")

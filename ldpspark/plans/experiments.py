@@ -14,9 +14,8 @@ from pyspark.sql import functions as F
 from ldpspark.functions import constants as C
 from ldpspark.operators import categorical as cat
 from ldpspark.operators import estimate as est
-from ldpspark.operators import measure as mea
-from ldpspark.operators import mixed as mix
 from ldpspark.operators import numeric as num
+from ldpspark.plans import replay
 from ldpspark.plans.schema import TupleSpec, features
 from ldpspark.plans.views import users
 from ldpspark.sources.stored import stored
@@ -38,52 +37,35 @@ def with_runs(df: DataFrame, runs: int) -> DataFrame:
     return df.withColumn("run", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))))
 
 
-def frequency_errors(spark: SparkSession, sf_dir: str, spec: TupleSpec, grid: list[float], runs: int, mode: str = "xx", n: int | None = None) -> DataFrame:
-    """(method, eps, runs, mean_linf) of the sampler and of the hybrid's categories, over all values of all categories."""
+def both_grids(n: int, study: str) -> list[tuple[str, float]]:
+    """(grid, budget): the study's budgets as printed, and scaled to equal eps sqrt(n)."""
+    return [("printed", e) for e in EPS_GRID] + [("scaled", e) for e in scaled_grid(n, study)]
+
+
+def frequency_errors(spark: SparkSession, sf_dir: str, spec: TupleSpec, grid: list[float], runs: int = RUNS, n: int | None = None) -> DataFrame:
+    """(method, eps, runs, mean_linf) of the sampler and of the hybrid's categories, over all values of all categories. The hybrid's matrices have their own rule's rows for ``n`` users."""
     data = stored(users(spark, sf_dir, spec), "users")
     n = n or data.count()
-    exact = stored(est.exact_histogram(data, [(c.name, c.k) for c in spec.categoricals]), "exact")
-    many = with_runs(data, runs)
-    parts = []
-    for eps in grid:
-        totals = mix.sums(mix.mixed_report(many, spec, eps, run=F.col("run"), mode=mode), "run")
-        ours = mix.mixed_frequencies(totals, spec, eps, "run", mode=mode)
-        split = mix.split_sums(mix.split_report(many, spec, eps, n=n, beta=BETA, run=F.col("run"), mode=mode), "run")
-        base = mix.mixed_frequencies(split, spec, eps / spec.d, "run", oracle="projection", mode=mode, factor=1.0)
-        for label, found in (("mixed", ours), ("hybrid", base)):
-            errors = mea.linf(found, exact, ["attr", "code"], ["run"])
-            parts.append(mea.averaged(errors.withColumns({"method": F.lit(label), "eps": F.lit(eps)}), ["method", "eps"]))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    places = spark.createDataFrame([(x[1], x[3], i) for i, x in enumerate(spec.domain())], "attr string, code int, at int")
+    exact = est.exact_histogram(data, [(c.name, c.k) for c in spec.categoricals]).join(F.broadcast(places), ["attr", "code"]).select(F.lit(True).alias("codes"), "at", "exact")
+    found = replay.run_errors(data, stored(exact, "exact"), spec, grid, runs, n, BETA, (replay.MIXED_CODES, replay.SPLIT_CODES))
+    return found.select(F.when(F.col("kind") == replay.MIXED_CODES, "mixed").otherwise("hybrid").alias("method"), "eps", "runs", "mean_linf")
 
 
-def mean_errors(spark: SparkSession, sf_dir: str, spec: TupleSpec, grid: list[float], runs: int, reading: str = "numeric_only", mode: str = "xx") -> DataFrame:
+def mean_errors(spark: SparkSession, sf_dir: str, spec: TupleSpec, grid: list[float], runs: int = RUNS, readings: tuple[str, ...] = ("numeric_only",)) -> DataFrame:
     """(reading, method, eps, runs, mean_linf) of numeric means.
 
     ``mixed``: the tuple of all attributes, as the text describes; ``numeric_only``: the numbers alone with the whole budget, as the printed figures imply.
     """
     data = stored(users(spark, sf_dir, spec), "users")
     names = [a.name for a in spec.numerics]
-    exact = stored(est.exact_mean(data, names), "exact")
-    many = with_runs(data, runs)
-    parts = []
-    for eps in grid:
-        own = spec if reading == "mixed" else spec.only(categoricals=False)
-        totals = mix.sums(mix.mixed_report(many, own, eps, run=F.col("run"), mode=mode), "run")
-        half = num.halfspace_report(many, names, eps * own.dn / own.d, "repaired", run=F.col("run"), mode=mode)
-        scale = C.halfspace_scale(len(names), eps * own.dn / own.d)
-        pairs = F.array(*[F.struct(F.lit(n).alias("attr"), (scale * F.col(f"s{i}") / F.col("n")).alias("estimate")) for i, n in enumerate(names)])
-        sums = half.groupBy("run").agg(F.count(F.lit(1)).alias("n"), *[F.sum(F.col("signs")[i]).alias(f"s{i}") for i in range(len(names))])
-        base = sums.select("run", F.explode(pairs).alias("x")).select("run", "x.*")
-        for label, found in (("mixed", mix.mixed_means(totals, own, eps, "run")), ("hybrid", base)):
-            errors = mea.linf(found, exact, ["attr"], ["run"])
-            parts.append(mea.averaged(errors.withColumns({"reading": F.lit(reading), "method": F.lit(label), "eps": F.lit(eps)}), ["reading", "method", "eps"]))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    places = spark.createDataFrame([(x, i) for i, x in enumerate(names)], "attr string, at int")
+    exact = est.exact_mean(data, names).join(F.broadcast(places), "attr").select(F.lit(False).alias("codes"), "at", "exact")
+    kinds = {"mixed": (replay.MIXED_NUMBERS, replay.SPLIT_NUMBERS), "numeric_only": (replay.ALONE_MIXED, replay.ALONE_SPLIT)}
+    found = replay.run_errors(data, stored(exact, "exact"), spec, grid, runs, data.count(), BETA, tuple(k for r in readings for k in kinds[r]))
+    reading = F.when(F.col("kind").isin(*kinds["mixed"]), "mixed").otherwise("numeric_only")
+    method = F.when(F.col("kind").isin(replay.MIXED_NUMBERS, replay.ALONE_MIXED), "mixed").otherwise("hybrid")
+    return found.select(reading.alias("reading"), method.alias("method"), "eps", "runs", "mean_linf")
 
 
 def learning_view(spark: SparkSession, sf_dir: str, spec: TupleSpec, kind: str) -> DataFrame:

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ldpspark.erm import losses
 from ldpspark.erm.crossval import cross_validated
-from ldpspark.erm.descent import Model, minibatch, participating, prepared, sgd, steps_for
+from ldpspark.erm.descent import Model, minibatch, participating, prepared, sgd, sliced, steps_for, train
 from ldpspark.erm.projection import matrix, project
 from ldpspark.functions import constants as C
 from ldpspark.functions import sqlfuncs
@@ -414,13 +414,13 @@ for _kind in losses.KINDS:
 
     @query(f"mgd_{_kind}", O.descent(_ERM[_kind], _XS, _kind, EPS, 4, LAM))
     def _(spark, sf, kind=_kind):
-        data = stored(prepared(erm(spark, sf, kind)), "users")
+        data = sliced(prepared(erm(spark, sf, kind)))
         return weight_rows(spark, minibatch(data, [Model("mgd", 3, EPS, 4)], kind, LAM)[0].weights)
 
     @query(f"cv_{_kind}")
     def _(spark, sf, kind=_kind):
         data = erm(spark, sf, kind)
-        return cross_validated(data, kind, data.count(), 3, [EPS], folds=10, r=2, floor_share=12)
+        return cross_validated(data, kind, data.count(), 3, [EPS], folds=10, r=2)
 
 
 for _mechanism in ("laplace", "one_coordinate"):
@@ -454,7 +454,7 @@ for _name, _scale, _clip in (("project_features", "one_over_d", False), ("projec
 
 @query("mgd_projected", O.descent(_SMALL_SQL, _px("one_over_d", False), "linear", EPS, 4, LAM))
 def _(spark, sf):
-    data = stored(prepared(wide_features(spark, sf).withColumn("x", project(F.col("x"), _P["one_over_d"]))), "users")
+    data = sliced(prepared(wide_features(spark, sf).withColumn("x", project(F.col("x"), _P["one_over_d"]))))
     return weight_rows(spark, minibatch(data, [Model("mgd-p", 4, EPS, 4)], "linear", LAM)[0].weights)
 
 
@@ -462,11 +462,12 @@ def _(spark, sf):
 def _(spark, sf):
     base, rows = erm(spark, sf, "logistic"), []
     for m in (1, 2, 4):
-        data = stored(participating(base, m), "users")
-        model = minibatch(data, [Model("m", 3, EPS / m, 8)], "logistic", LAM)[0]
+        data = sliced(participating(base, m))
+        # the same batch for all: m participations make m times the steps
+        model = train(data, [Model("m", 3, EPS / m, 8 * m)], "logistic", LAM)[0]
         error = losses.evaluate(base, losses.weights(model.weights), "logistic").first()["error"]
-        rows.append((m, EPS / m, 3 * math.log(3) * 2 * m * m / EPS**2, error))
-    return lit_table(spark, rows, "participations int, eps_each double, acceptable_group double, error double")
+        rows.append((m, EPS / m, 3 * math.log(3) * 2 * m * m / EPS**2, len(model.history), error))
+    return lit_table(spark, rows, "participations int, eps_each double, acceptable_group double, steps int, error double")
 
 
 @query("batch_size_grid", """
@@ -551,26 +552,30 @@ def _(spark, sf):
 
 # --- workloads ----------------------------------------------------------------------------------
 
-W_RUNS = 3
-
-
 def lines(spark: SparkSession, sf: str) -> int:
     return load(spark, sf, "lineitem").count()
 
 
+def named_grid(found: DataFrame, n: int, study: str) -> DataFrame:
+    """Adds which of the two grids a budget belongs to."""
+    names = found.sparkSession.createDataFrame(ex.both_grids(n, study), "grid string, eps double")
+    return found.join(F.broadcast(names), "eps")
+
+
 for _name, _spec in (("w1_freq_wide", LI23), ("w2_freq_narrow", LI18)):
 
     @query(_name)
     def _(spark, sf, spec=_spec):
-        return ex.frequency_errors(spark, sf, spec, ex.scaled_grid(lines(spark, sf), spec.name), W_RUNS)
+        n = lines(spark, sf)
+        return named_grid(ex.frequency_errors(spark, sf, spec, [e for _, e in ex.both_grids(n, spec.name)]), n, spec.name)
 
 
 for _name, _spec in (("w3_mean_wide", LI23), ("w4_mean_narrow", LI18)):
 
     @query(_name)
     def _(spark, sf, spec=_spec):
-        grid = ex.scaled_grid(lines(spark, sf), spec.name)
-        return ex.mean_errors(spark, sf, spec, grid, W_RUNS, "mixed").unionByName(ex.mean_errors(spark, sf, spec, grid, W_RUNS, "numeric_only"))
+        n = lines(spark, sf)
+        return named_grid(ex.mean_errors(spark, sf, spec, [e for _, e in ex.both_grids(n, spec.name)], readings=("mixed", "numeric_only")), n, spec.name)
 
 
 _STUDIES = [("w5_linear_wide", LI23, "linear"), ("w6_logistic_wide", LI23, "logistic"), ("w7_svm_wide", LI23, "svm"), ("w8_linear_narrow", LI18, "linear"), ("w9_logistic_narrow", LI18, "logistic"), ("w10_svm_narrow", LI18, "svm")]
@@ -580,8 +585,10 @@ for _name, _spec, _kind in _STUDIES:
     def _(spark, sf, spec=_spec, kind=_kind):
         n = lines(spark, sf)
         data = ex.learning_view(spark, sf, spec, kind)
-        grid = [e for e in ex.scaled_grid(n, spec.name) if C.batch_size(spec.one_hot_dimension, e, n - n // 10, 24) <= n - n // 10]
-        return cross_validated(data, kind, n, spec.one_hot_dimension, grid, ex.FOLDS, ex.LAMBDA, ex.REDUCED, floor_share=24)
+        grid = [e for _, e in ex.both_grids(n, spec.name)]
+        found = cross_validated(data, kind, n, spec.one_hot_dimension, grid, ex.FOLDS, ex.LAMBDA, ex.REDUCED)
+        exact = found.where("method = 'sgd_exact'").withColumn("grid", F.lit("none"))
+        return named_grid(found.where("method != 'sgd_exact'"), n, spec.name).unionByName(exact)
 
 
 _TYPES = ("click", "error", "purchase", "signup", "view")
@@ -622,8 +629,8 @@ def _(spark, sf):
 def _(spark, sf):
     e = stream.timed(load(spark, sf, "events"))
     x = F.array(F.expr("(2 * (least(greatest(value, 0.0D), 600.0D)) / 600.0D - 1)"), 2 * F.from_json("props", "k int")["k"] / 99 - 1, 2 * F.hour("ts") / 23 - 1, F.lit(1.0))
-    data = stored(prepared(e.select(F.col("event_id").cast("string").alias("ukey"), x.alias("x"), F.when(F.col("event_type") == "error", 1.0).otherwise(-1.0).alias("y")), 10), "users")
-    models = minibatch(data, [Model(str(f), 4, EPS, 16, f) for f in range(10)], "logistic", LAM)
+    data = sliced(prepared(e.select(F.col("event_id").cast("string").alias("ukey"), x.alias("x"), F.when(F.col("event_type") == "error", 1.0).otherwise(-1.0).alias("y")), 10))
+    models = train(data, [Model(str(f), 4, EPS, 16, f) for f in range(10)], "logistic", LAM)
     weights = lit_table(spark, [(m.name, m.fold, m.weights) for m in models], "model string, mfold int, w array<double>")
     from ldpspark.erm.crossval import tested
 
@@ -644,8 +651,8 @@ def _(spark, sf):
     e = stored(load(spark, sf, "events").select(F.col("event_id").cast("string").alias("ukey"), F.from_json("props", "k int")["k"].alias("k")), "events")
     host = F.regexp_extract("url", "://([^/?#]*)", 1)
     p = stored(load(spark, sf, "pages").select(F.col("page_id").cast("string").alias("ukey"), (F.conv(F.substring(F.md5(host), 1, 13), 16, 10).cast("long") % 64).cast("int").alias("host")), "pages")
-    out = ex.domain_sweep(d, [("lang", "lang", 4), ("source", "source", 20)], EPS, 10, m_override=16)
-    return out.unionByName(ex.domain_sweep(p, [("host", "host", 64)], EPS, 10, m_override=64)).unionByName(ex.domain_sweep(e, [("k", "k", 100)], EPS, 10, m_override=128))
+    out = ex.domain_sweep(d, [("lang", "lang", 4), ("source", "source", 20)], EPS, 10)
+    return out.unionByName(ex.domain_sweep(p, [("host", "host", 64)], EPS, 10)).unionByName(ex.domain_sweep(e, [("k", "k", 100)], EPS, 10))
 
 
 @query("w16_participation")
@@ -655,9 +662,9 @@ def _(spark, sf):
     n = base.count()
     for m in (1, 2, 4):
         eps = 4.0 / m
-        g = C.batch_size(85, eps, n, 24)
-        data = stored(participating(base, m, mode="xx"), "users")
-        model = minibatch(data, [Model("m", 85, eps, max(1, n * m // g))], "logistic", LAM)[0]
+        g = C.batch_size(85, eps, n)
+        data = sliced(participating(base, m, mode="xx"))
+        model = train(data, [Model("m", 85, eps, max(1, n * m // g))], "logistic", LAM)[0]
         error = losses.evaluate(base, losses.weights(model.weights), "logistic").first()["error"]
         rows.append((m, eps, g, len(model.history), error))
     return lit_table(spark, rows, "participations int, eps_each double, g long, steps int, error double")

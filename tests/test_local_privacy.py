@@ -16,6 +16,8 @@ from ldpspark.operators import measure as mea
 from ldpspark.operators import mixed as mix
 from ldpspark.operators import numeric as num
 from ldpspark.plans import experiments as ex
+from ldpspark.plans import replay
+from ldpspark.sources.stored import stored
 from ldpspark.plans.schema import validate_tuple
 from ldpspark.plans.views import CAT3, LI18, LI23, NUM4, users
 
@@ -135,7 +137,7 @@ def test_sampling_beats_splitting_by_about_the_root_of_d(spark):
 
 
 def test_mean_errors_match_the_model_of_the_figures(spark):
-    rows = {r["method"]: r["mean_linf"] for r in ex.mean_errors(spark, SF2, LI23, [1.0], 20).collect()}
+    rows = {r["method"]: r["mean_linf"] for r in ex.mean_errors(spark, SF2, LI23, [1.0], 100).collect()}
     model = 1.655 * C.report_scale(1.0) * math.sqrt(6 / 60_000)
     assert 0.75 < rows["mixed"] / model < 1.25 and rows["mixed"] < rows["hybrid"] < 2 * rows["mixed"]
 
@@ -215,12 +217,12 @@ def test_participations_train_on_all_their_reports(spark, monkeypatch):
 
     steps = []
 
-    def trained(data, models, kind, lam, max_steps=None):
-        steps.append(min(models[0].steps, max_steps or models[0].steps))
+    def trained(data, models, kind, lam):
+        steps.append(models[0].steps)
         models[0].weights = [0.0] * models[0].dim
         return models
 
-    monkeypatch.setattr(queries, "minibatch", trained)
+    monkeypatch.setattr(queries, "train", trained)
     rows = queries.QUERIES["w16_participation"](spark, SF2).collect()
     n = spark.read.parquet(f"{SF2}/lineitem.parquet").count()
     assert steps == [n * r["participations"] // r["g"] for r in rows]
@@ -251,14 +253,60 @@ def test_order_of_methods_in_linear_regression(spark):
     assert got["sgd_halfspace"] > 50 * got["mgd"] > 50 * got["mgd_projected"] and got["mgd_projected"] > got["sgd_exact"]
 
 
-def test_laid_out_batches_give_the_same_sums(spark, tmp_path):
+def test_a_step_reads_its_own_slices_and_sums_the_same(spark):
     base = users(spark, SF, NUM4).select("ukey", F.array("quantity", "discount", "tax").alias("x"), F.col("price").alias("y"))
-    ready = descent.prepared(base)
-    laid = descent.lay_out(ready, 3, str(tmp_path / "laid"))
-    model = descent.Model("m", 3, 1.0, 3, weights=[0.1, 0.2, 0.3])
-    for t in range(3):
-        a = sorted(map(tuple, descent.gradient_sums(ready, [model], t, "linear", 1e-4).collect()))
-        assert a == sorted(map(tuple, descent.gradient_sums(laid, [model], t, "linear", 1e-4).collect()))
+    ready = descent.prepared(base, 4)
+    laid = descent.sliced(ready)
+    models = [descent.Model("a", 3, 1.0, 3, weights=[0.1, 0.2, 0.3]), descent.Model("b", 3, 2.0, 50, 1), descent.Model("c", 3, 2.0, 7, 2)]
+    for t in (0, 1, 2, 6, 49):
+        a = descent.gradient_sums(ready, models, t, "linear", 1e-4)
+        b = descent.gradient_sums(laid, models, t, "linear", 1e-4)
+        assert sorted(map(tuple, a.collect())) == sorted(map(tuple, b.collect())) != []
+    assert "PartitionFilters: [isnotnull(slice" in b._jdf.queryExecution().toString() or "PartitionFilters: [slice" in b._jdf.queryExecution().toString()
+    assert descent._slices(models, 49) == [descent.SLICES - 1]
+
+
+@pytest.mark.parametrize("kind", losses.KINDS)
+def test_streamed_training_takes_the_steps_of_the_jobs(spark, kind):
+    data = users(spark, SF, NUM4).select("ukey", F.array("quantity", "discount", "tax").alias("x"), F.signum(F.col("price")).alias("y"))
+    ready = descent.sliced(descent.prepared(data, 3))
+    make = lambda: [descent.Model(f"{e}/{f}", 3, e, s, f) for f in range(3) for e, s in ((1.0, 4), (3.0, 9))]
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 700)
+    try:
+        by_stream = descent.streamed(ready, make(), kind)
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    for a, b in zip(by_stream, descent.minibatch(ready, make(), kind)):
+        assert np.allclose(a.weights, b.weights, atol=1e-12) and len(a.history) == len(b.history) == a.steps
+
+
+def test_replayed_runs_are_those_of_the_mechanisms(spark):
+    """Means and spreads of the sums over many runs: unbiased, and with the variance of one report per user."""
+    data = stored(users(spark, SF, LI23).where("line_no < 2"), "some")
+    n, grid, runs = data.count(), [1.0, 4.0], 200
+    exact = {("codes", i): 0.0 for i in range(len(LI23.domain()))}
+    places = {(x[1], x[3]): i for i, x in enumerate(LI23.domain())}
+    for r in est.exact_histogram(data, [(c.name, c.k) for c in LI23.categoricals]).collect():
+        exact["codes", places[r["attr"], r["code"]]] = r["exact"]
+    numbers = [a.name for a in LI23.numerics]
+    for r in est.exact_mean(data, numbers).collect():
+        exact["numbers", numbers.index(r["attr"])] = r["exact"]
+    scale = {
+        replay.MIXED_NUMBERS: lambda e: C.report_scale(e) * 23, replay.MIXED_CODES: lambda e: C.report_scale(e) * 23, replay.SPLIT_NUMBERS: lambda e: C.halfspace_scale(6, e * 6 / 23),
+        replay.SPLIT_CODES: lambda e: C.report_scale(e / 23), replay.ALONE_MIXED: lambda e: C.report_scale(e) * 6, replay.ALONE_SPLIT: lambda e: C.halfspace_scale(6, e),
+    }
+    found = replay.replayed(data, LI23, grid, runs, n, 0.05, tuple(scale)).groupBy("kind", "e", "at").agg(F.avg("total").alias("m"), F.stddev("total").alias("sd"), F.count(F.lit(1)).alias("runs")).collect()
+    assert {r["runs"] for r in found} == {runs}
+    wide = []
+    for r in found:
+        b = scale[r["kind"]](grid[r["e"]]) / n
+        codes = r["kind"] in (replay.MIXED_CODES, replay.SPLIT_CODES)
+        off = b * r["m"] - exact["codes" if codes else "numbers", r["at"]]
+        # the runs share their random matrices, whose columns are at inner products of about 1 / sqrt(rows)
+        rows = min(C.projection_rows(c.k, n, grid[r["e"]] / 23, 0.05) for c in LI23.categoricals)
+        if abs(off) > 4 * b * r["sd"] / math.sqrt(runs) + (4 / math.sqrt(rows) if r["kind"] == replay.SPLIT_CODES else 0):
+            wide.append((r["kind"], r["e"], r["at"], off, b * r["sd"]))
+    assert not wide
 
 
 def test_projection_keeps_the_cube():
