@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ldpspark.sources.stored import stored
+
 
 def asof_join(left: DataFrame, right: DataFrame, on: str, by: list[str], values: list[str], bucket: Column | None = None) -> DataFrame:
     """Each left row with the ``values`` of the latest right row of its ``by`` at or before ``on``; null where there is none.
@@ -41,9 +43,21 @@ def first_per_user(df: DataFrame, user: list[str], order: list[str]) -> DataFram
     return df.groupBy(*user).agg(best).select(*user, *[F.col("_x")[c].alias(c) for c in (*order, *rest)])
 
 
+def numbered(df: DataFrame, order: list[Column], name: str) -> DataFrame:
+    """Adds ``name``: gapless numbers from 0 in the given order. Ranges are sorted each for itself; a range's first number is the sum of the counts before it."""
+    keys = [f"_o{i}" for i in range(len(order))]
+    ranged = df.withColumns(dict(zip(keys, order))).repartitionByRange(*keys)
+    parts = stored(ranged.withColumn("_part", F.spark_partition_id()), "ranges")
+    sizes = parts.groupBy("_part").agg(F.count(F.lit(1)).alias("_size"))
+    # one row for each range
+    before = F.sum("_size").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("_size")
+    nth = F.row_number().over(Window.partitionBy("_part").orderBy(*keys)) - 1
+    return parts.withColumn("_nth", nth).join(F.broadcast(sizes.select("_part", before.alias("_before"))), "_part").withColumn(name, F.col("_before") + F.col("_nth")).select(*df.columns, name)
+
+
 def batches(df: DataFrame, order: Column, size: int) -> DataFrame:
-    """Adds ``batch``: places along a keyed order, cut into groups of ``size``. For small tables; large ones cut the draw itself (``descent.prepared``)."""
-    return df.withColumn("batch", F.floor((F.row_number().over(Window.orderBy(order)) - 1) / size).cast("int"))
+    """Adds ``batch``: places along a keyed order, cut into groups of ``size``."""
+    return numbered(df, [order], "_place").withColumn("batch", F.floor(F.col("_place") / size).cast("int")).drop("_place")
 
 
 def top_values(estimates: DataFrame, k: int) -> DataFrame:

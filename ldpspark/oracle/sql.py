@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from ldpspark.functions import constants as C
 from ldpspark.functions.rng import uniform_sql as u
 from ldpspark.plans.schema import TupleSpec
@@ -94,10 +96,16 @@ SELECT attr, code, {d(C.report_scale(eps) * spec.d)} * sum(total * (1 - 2 * (bit
 FROM t JOIN {domain(spec)} USING (j) GROUP BY attr, code"""
 
 
-def split_frequencies(spec: TupleSpec, eps: float, oracle: str, m: int = 0) -> str:
+def projection_rows(k: int, eps: float, beta: float, n: str) -> str:
+    """Rows of the random matrix for ``n`` users, an SQL expression."""
+    return f"greatest(1, ceil({d(math.log(k + 1) * math.log(2 / beta))} / ({d(math.log(2 * k / beta))} / ({d(eps * eps)} * {n}))))::BIGINT"
+
+
+def split_frequencies(spec: TupleSpec, eps: float, oracle: str, beta: float = 0.05) -> str:
     """(attr, code, estimate) with the budget split over all attributes."""
     part = eps / spec.d
-    long = " UNION ALL ".join(f"SELECT ukey || '|{spec.dn + i}' AS key, {spec.dn + i} AS j, {m or C.orthogonal_order(c.k)} AS m, {c.name} AS v FROM base" for i, c in enumerate(spec.categoricals))
+    rows = lambda k: C.orthogonal_order(k) if oracle == "orthogonal" else projection_rows(k, part, beta, "users")
+    long = " UNION ALL ".join(f"SELECT ukey || '|{spec.dn + i}' AS key, {spec.dn + i} AS j, {rows(c.k)} AS m, {c.name} AS v FROM base, (SELECT count(*) AS users FROM base)" for i, c in enumerate(spec.categoricals))
     if oracle == "orthogonal":
         sign = lambda v: f"(1 - 2 * (bit_count((s & {v})::BIGINT) % 2))"
     else:

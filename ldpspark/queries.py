@@ -308,11 +308,12 @@ def _(spark, sf):
 
 # --- many attributes ----------------------------------------------------------------------------
 
-for _name, _oracle, _m in (("multi_split", "projection", 32), ("multi_split_orthogonal", "orthogonal", 0)):
+for _name, _oracle in (("multi_split", "projection"), ("multi_split_orthogonal", "orthogonal")):
 
-    @query(_name, O.split_frequencies(CAT3, EPS, _oracle, _m))
-    def _(spark, sf, oracle=_oracle, m=_m):
-        sent = mix.split_report(users(spark, sf, CAT3), CAT3, EPS, oracle=oracle, m_override=m or None)
+    @query(_name, O.split_frequencies(CAT3, EPS, _oracle, BETA))
+    def _(spark, sf, oracle=_oracle):
+        v = users(spark, sf, CAT3)
+        sent = mix.split_report(v, CAT3, EPS, oracle=oracle, n=v.count(), beta=BETA)
         return mix.mixed_frequencies(mix.split_sums(sent), CAT3, EPS / CAT3.d, oracle=oracle, factor=1.0)
 
 
@@ -350,9 +351,10 @@ def _(spark, sf):
     return est.mean_halfspace(numbers, NAMES6, EPS * 6 / 23)
 
 
-@query("hybrid_frequencies", O.split_frequencies(LI23, EPS, "projection", 64))
+@query("hybrid_frequencies", O.split_frequencies(LI23, EPS, "projection", BETA))
 def _(spark, sf):
-    sent = mix.split_report(users(spark, sf, LI23), LI23, EPS, m_override=64)
+    v = users(spark, sf, LI23)
+    sent = mix.split_report(v, LI23, EPS, n=v.count(), beta=BETA)
     return mix.mixed_frequencies(mix.split_sums(sent), LI23, EPS / 23, oracle="projection", factor=1.0)
 
 
@@ -458,7 +460,20 @@ def _(spark, sf):
     return weight_rows(spark, minibatch(data, [Model("mgd-p", 4, EPS, 4)], "linear", LAM)[0].weights)
 
 
-@query("mgd_participation")
+def _participation_sql() -> str:
+    """Descent for 1, 2 and 4 participations, each query's weights tested on all users."""
+    base, parts = _ERM["logistic"], []
+    for m in (1, 2, 4):
+        again = f"(SELECT ukey || '#' || turn.range AS ukey, {', '.join(_XS)}, y FROM {base} o, range({m}) turn)"
+        trained = O.descent(again, _XS, "logistic", EPS / m, 8 * m, LAM)
+        weights = ", ".join(f"max(weight) FILTER (WHERE j = {i}) AS p{i}" for i in range(len(_XS)))
+        score = "(0.0::double" + "".join(f" + {x} * p{i}" for i, x in enumerate(_XS)) + ")"
+        limit = 3 * math.log(3) * 2 * m * m / EPS**2
+        parts.append(f"SELECT {m}::INT AS participations, {O.d(EPS / m)} AS eps_each, {O.d(limit)} AS acceptable_group, {8 * m}::INT AS steps, avg(case when ({score} > 0) = (y > 0) then 0.0::double else 1.0::double end) AS error FROM {base} t, (SELECT {weights} FROM ({trained}) w) p")
+    return " UNION ALL ".join(f"({x})" for x in parts)
+
+
+@query("mgd_participation", _participation_sql())
 def _(spark, sf):
     base, rows = erm(spark, sf, "logistic"), []
     for m in (1, 2, 4):

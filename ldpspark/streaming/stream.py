@@ -13,6 +13,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ldpspark.erm.descent import Model, gradient_sums, prepared, update
+from ldpspark.operators.relops import numbered
+from ldpspark.sources.ship import ship
 
 
 def event_stream(spark: SparkSession, path: str, schema: str, files_per_trigger: int = 1) -> DataFrame:
@@ -54,27 +56,35 @@ def sessions(events: DataFrame, user: str, gap: str) -> DataFrame:
 LEDGER = "user_id long, reports long, spent double, refused long"
 
 
-def budget_gate(reports: DataFrame, limit: float, eps: float) -> DataFrame:
+def budget_gate(reports: DataFrame, limit: float, eps: float, horizon_seconds: int | None = None) -> DataFrame:
     """Running ledger of each user in a stream: (user_id, reports, spent, refused); what would pass ``limit`` is refused.
 
-    State is three numbers per user and times out with event time, so it follows the users of the horizon, not the events.
+    State is three numbers per user. Without a horizon it is kept for ever, as a forgotten user would get a new budget. With one, ``limit`` holds for users who are
+    heard of again within ``horizon_seconds`` of event time ``ts``, which needs a watermark; the ledger of a user silent for longer is dropped.
     """
+    ship(reports.sparkSession)
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
             state.remove()
             return
         n, spent, refused = state.get if state.exists else (0, 0.0, 0)
+        last = 0
         for pdf in frames:
             for _ in range(len(pdf)):
                 if spent + eps <= limit + 1e-12:
                     n, spent = n + 1, spent + eps
                 else:
                     refused += 1
+            if horizon_seconds is not None and len(pdf):
+                last = max(last, int(pdf["ts"].max().timestamp() * 1000))
         state.update((n, spent, refused))
+        if horizon_seconds is not None:
+            state.setTimeoutTimestamp(max(last + horizon_seconds * 1000, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame([(key[0], n, spent, refused)], columns=["user_id", "reports", "spent", "refused"])
 
-    return reports.groupBy("user_id").applyInPandasWithState(step, LEDGER, "reports long, spent double, refused long", "update", "NoTimeout")
+    timeout = "NoTimeout" if horizon_seconds is None else "EventTimeTimeout"
+    return reports.groupBy("user_id").applyInPandasWithState(step, LEDGER, "reports long, spent double, refused long", "update", timeout)
 
 
 class StreamTrainer:
@@ -96,9 +106,10 @@ class StreamTrainer:
         return json.loads(text[0][0])
 
     def __call__(self, frame: DataFrame, batch: int) -> None:
-        """Users of the batch in the order of arrival (``ts``, ``ukey``); each group of ``group`` users sees the weights of the groups before it."""
+        """Users of the batch in the order of ``ts``, if there is one, and ``ukey``; each group of ``group`` users sees the weights of the groups before it."""
         state = self._state(batch - 1)
-        users = prepared(frame, mode="xx").persist()
+        order = [F.col(c) for c in ("ts", "ukey") if c in frame.columns]
+        users = numbered(prepared(frame, mode="xx"), order, "seq").persist()
         try:
             n = users.count()
             spans, done = [], 0

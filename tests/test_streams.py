@@ -61,10 +61,24 @@ def test_budget_gate_refuses_what_passes_the_limit(spark, tmp_path):
         assert last[r["user_id"]]["reports"] == min(4, r["count"]) and last[r["user_id"]]["refused"] == max(0, r["count"] - 4)
 
 
+def test_budget_gate_forgets_who_is_silent_for_a_horizon(spark, tmp_path):
+    make = lambda r, d: spark.createDataFrame(r, "event_id int, ts string, user_id long").withColumn("ts", F.col("ts").cast("timestamp_ntz")).coalesce(1).write.parquet(f"{tmp_path}/g/{d}")
+    make([(1, "2024-01-01 00:00:00", 1), (2, "2024-01-01 01:00:00", 1), (3, "2024-01-01 01:00:00", 2)], "a")
+    events = stream.timed(spark.readStream.schema("event_id int, ts timestamp_ntz, user_id long").parquet(f"{tmp_path}/g/*"), "1 hour")
+    q = stream.budget_gate(events, 0.25, 0.25, 86_400).writeStream.outputMode("update").format("memory").queryName("forgets").start()
+    for day, part in (("10", "b"), ("12", "c")):
+        q.processAllAvailable()
+        make([(4, f"2024-01-{day} 00:00:00", 3 if part == "b" else 1)], part)
+    q.processAllAvailable()
+    q.stop()
+    got = [(r["user_id"], r["reports"], r["refused"]) for r in spark.table("forgets").collect()]
+    assert sorted(got) == [(1, 1, 0), (1, 1, 1), (2, 1, 0), (3, 1, 0)]
+
+
 def test_stream_trainer_replays_to_the_same_weights(spark, tmp_path):
     rng = np.random.default_rng(1)
     rows = [(f"u{i}", i, [float(v) for v in rng.uniform(-1, 1, 3)], float(rng.choice([-1, 1]))) for i in range(250)]
-    frames = [spark.createDataFrame([(k, n, x, y) for n, (k, _, x, y) in enumerate(part)], "ukey string, seq int, x array<double>, y double") for part in (rows[:130], rows[130:])]
+    frames = [spark.createDataFrame([(k, n, x, y) for n, (k, _, x, y) in enumerate(part)], "ukey string, ts int, x array<double>, y double") for part in (rows[:130], rows[130:])]
     trainer = stream.StreamTrainer(spark, str(tmp_path / "model"), 3, 1.0, 100, "logistic")
     trainer(frames[0], 0)
     trainer(frames[1], 1)
