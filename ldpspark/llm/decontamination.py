@@ -7,6 +7,7 @@
 4. Posting lists are intersected along offset-adjusted positions: a window stays possible at an alignment only
    if both its anchors are posted there.
 5. What is left is compared word by word on the whole text, which gives the hit words exactly.
+6. Proximity matches come from the same lists: texts where both anchors of a window stand at nearly their distance.
 
 What goes to the executors at once is one bit map of fixed size (``merging.BITS``); terms that it lets
 through by chance drop out in the joins.
@@ -27,6 +28,8 @@ from ldpspark.llm.textkernel import ALNUM, runs, texts_of, word_bounds, word_has
 
 LENGTH = 13
 ANCHORS = 2
+#: Words by which the distance of two anchors may differ from theirs in the window.
+SLACK = 5
 
 
 def tokens(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
@@ -99,7 +102,7 @@ def anchored(grams: DataFrame, counts: DataFrame, anchors: int = ANCHORS) -> Dat
     by = Window.partitionBy("ik", "start")
     known = grams.join(counts, "term", "left").withColumn("n", F.coalesce("n", F.lit(0)))
     known = known.withColumn("least", F.min("n").over(by)).where("least > 0")
-    return known.withColumn("nth", F.row_number().over(by.orderBy("n", "term", "pos"))).where(F.col("nth") <= anchors).select("ik", "start", "pos", "term")
+    return known.withColumn("nth", F.row_number().over(by.orderBy("n", "pos"))).where(F.col("nth") <= anchors).select("ik", "start", "pos", "term")
 
 
 def postings(docs: DataFrame, bits: np.ndarray) -> DataFrame:
@@ -166,21 +169,23 @@ def phrase_hits(texts: DataFrame, aligned: DataFrame, words: DataFrame, length:
     return both.mapInArrow(lean(work), "doc_id long, th long, n_hit long, items array<string>").where("n_hit > 0")
 
 
-def proximity_matches(index: DataFrame, anchors: DataFrame, slack: int = 5) -> DataFrame:
-    """(doc_id, ik, start, off_by): window anchors posted at distances up to ``slack`` words from their true distance.
+def proximity_matches(index: DataFrame, anchors: DataFrame, length: int = LENGTH, slack: int = SLACK) -> DataFrame:
+    """(doc_id, th, ik, off_by): texts that hold the two anchors of some window of an item up to ``slack`` words off their true distance; the least ``off_by``.
 
-    Positions are joined by cells of the text of the width of the window, so a frequent term meets only its neighbourhood.
+    Windows in a row mostly share their anchors, and are one here. Positions are joined by cells of the text of the width of the window, so that a frequent term meets only
+    its neighbourhood. A window of one term has no such match.
     """
     pair = anchors.groupBy("ik", "start").agg(F.array_sort(F.collect_list(F.struct("pos", "term"))).alias("p")).where(F.size("p") >= 2)
-    pair = pair.select("ik", "start", F.col("p")[0]["term"].alias("term_a"), F.col("p")[1]["term"].alias("term_b"), (F.col("p")[1]["pos"] - F.col("p")[0]["pos"]).alias("gap"))
-    width = LENGTH + slack
+    pair = pair.select("ik", F.col("p")[0]["term"].alias("term_a"), F.col("p")[1]["term"].alias("term_b"), (F.col("p")[1]["pos"] - F.col("p")[0]["pos"]).alias("gap")).distinct()
+    width = length + slack
     posted = index.where("term is not null")
-    a = posted.select("doc_id", "th", F.col("term").alias("term_a"), F.col("pos").alias("pos_a")).join(pair, "term_a")
-    a = a.withColumn("cell", F.explode(F.array(*[F.floor(F.col("pos_a") / width) + i for i in (-1, 0, 1)])))
-    b = posted.select("doc_id", "th", F.col("term").alias("term_b"), F.col("pos").alias("pos_b"), F.floor(F.col("pos") / width).alias("cell"))
+    cell = F.floor(F.col("pos") / width)
+    a = posted.select("doc_id", "th", F.col("term").alias("term_a"), F.col("pos").alias("pos_a"), cell.alias("cell")).join(pair, "term_a")
+    b = posted.select("doc_id", "th", F.col("term").alias("term_b"), F.col("pos").alias("pos_b"), F.explode(F.array(*[cell + i for i in (-1, 0, 1)])).alias("cell"))
     off = F.abs(F.col("pos_b") - F.col("pos_a") - F.col("gap"))
-    near = a.join(b, ["doc_id", "th", "term_b", "cell"]).where(off <= slack)
-    return near.groupBy("doc_id", "ik", "start").agg(F.min(off).alias("off_by"))
+    same = a["doc_id"].eqNullSafe(b["doc_id"]) & (a["th"] == b["th"]) & (a["term_b"] == b["term_b"]) & (a["cell"] == b["cell"])
+    near = a.join(b, same & (off <= slack)).select(a["doc_id"], a["th"], "ik", off.alias("off_by"))
+    return near.groupBy("doc_id", "th", "ik").agg(F.min("off_by").alias("off_by"))
 
 
 def build_index(docs: DataFrame, items: DataFrame, length: int = LENGTH) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
@@ -196,8 +201,9 @@ def build_index(docs: DataFrame, items: DataFrame, length: int = LENGTH) -> tupl
     return texts, words, anchors, index
 
 
-def contamination(docs: DataFrame, items: DataFrame, length: int = LENGTH) -> DataFrame:
-    """Hit words and items of every text: ``doc_id``, ``n_words``, ``n_hit``, ``n_items``, ``items``, ``contaminated``, ``th``.
+def contamination(docs: DataFrame, items: DataFrame, length: int = LENGTH, proximity: bool = False) -> DataFrame:
+    """Hit words and items of every text: ``doc_id``, ``n_words``, ``n_hit``, ``n_items``, ``items``, ``contaminated``, ``th``; with ``proximity`` also ``n_near``,
+    the number of items of which the text holds two anchors of a window at nearly their distance (``proximity_matches``).
 
     ``contaminated``: some hit, and at least a twentieth of the words. Null or empty text has no words. An item with fewer words
     than ``length`` is one window; one without words, or with null text, has none. Rows that repeat an id are judged each
@@ -211,12 +217,19 @@ def contamination(docs: DataFrame, items: DataFrame, length: int = LENGTH) -> Da
     out = facts.join(hits, facts["doc_id"].eqNullSafe(hits["hit_id"]) & (facts["th"] == hits["hit_th"]), "left")
     n_hit = F.coalesce("n_hit", F.lit(0)).cast("long")
     items_found = F.coalesce("items", F.array().cast("array<string>"))
-    return out.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size(items_found).cast("long").alias("n_items"), items_found.alias("items"), ((n_hit > 0) & (20 * n_hit >= F.col("n_words"))).alias("contaminated"), "th")
+    found = out.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size(items_found).cast("long").alias("n_items"), items_found.alias("items"), ((n_hit > 0) & (20 * n_hit >= F.col("n_words"))).alias("contaminated"), "th")
+    if not proximity:
+        return found
+    named = proximity_matches(index, anchors, length).join(words.select("ik", "item_id"), "ik")
+    near = named.groupBy("doc_id", "th").agg(F.countDistinct("item_id").alias("n_near")).withColumnsRenamed({"doc_id": "near_id", "th": "near_th"})
+    both = found.join(near, found["doc_id"].eqNullSafe(near["near_id"]) & (found["th"] == near["near_th"]), "left").drop("near_id", "near_th")
+    return both.withColumn("n_near", F.coalesce("n_near", F.lit(0)).cast("long"))
 
 
 def digested(found: DataFrame) -> DataFrame:
     """The result with the items as one digest of their sorted ids."""
-    return found.select("doc_id", "n_words", "n_hit", "n_items", F.sha2(F.concat_ws(",", F.sort_array("items")), 256).alias("items_sha256"), "contaminated")
+    near = [c for c in ("n_near",) if c in found.columns]
+    return found.select("doc_id", "n_words", "n_hit", "n_items", F.sha2(F.concat_ws(",", F.sort_array("items")), 256).alias("items_sha256"), "contaminated", *near)
 
 
 def decontaminated(docs: DataFrame, items: DataFrame, length: int = LENGTH) -> DataFrame:
@@ -235,8 +248,14 @@ dw AS (SELECT doc_id, k, p, array_to_string(list_slice(ws, p, p + k - 1), ' ') A
        FROM (SELECT doc_id, ws, k, unnest(range(1, len(ws) - k + 2)) AS p FROM d, (SELECT DISTINCT k FROM iw) WHERE len(ws) >= k)),
 m AS (SELECT doc_id, item_id, p, k FROM dw JOIN iw USING (k, g)),
 h AS (SELECT doc_id, count(DISTINCT w) AS n_hit FROM (SELECT doc_id, unnest(range(p, p + k)) AS w FROM (SELECT DISTINCT doc_id, p, k FROM m)) GROUP BY doc_id),
-t AS (SELECT doc_id, count(*) AS n_items, string_agg(s, ',' ORDER BY s) AS ids FROM (SELECT DISTINCT doc_id, item_id::VARCHAR AS s FROM m) GROUP BY doc_id)
+t AS (SELECT doc_id, count(*) AS n_items, string_agg(s, ',' ORDER BY s) AS ids FROM (SELECT DISTINCT doc_id, item_id::VARCHAR AS s FROM m) GROUP BY doc_id),
+iv AS (SELECT item_id, s, s + o AS pos, ws[s + o] AS t FROM (SELECT item_id, ws, s, unnest(range(0, least(len(ws), 13))) AS o FROM (SELECT *, unnest(range(1, greatest(len(ws) - 13, 0) + 2)) AS s FROM i WHERE len(ws) > 0))),
+pos AS MATERIALIZED (SELECT doc_id, p, t FROM (SELECT doc_id, unnest(ws) AS t, unnest(range(1, len(ws) + 1)) AS p FROM d) WHERE t IN (SELECT t FROM iv)),
+c AS (SELECT t, count(*) AS n FROM pos GROUP BY t),
+ranked AS (SELECT item_id, s, pos, iv.t, min(coalesce(n, 0)) OVER (PARTITION BY item_id, s) AS least, row_number() OVER (PARTITION BY item_id, s ORDER BY coalesce(n, 0), pos) AS nth FROM iv LEFT JOIN c ON iv.t = c.t),
+pair AS (SELECT DISTINCT item_id, ta, tb, gap FROM (SELECT item_id, s, arg_min(t, pos) AS ta, arg_max(t, pos) AS tb, max(pos) - min(pos) AS gap FROM ranked WHERE least > 0 AND nth <= 2 GROUP BY item_id, s HAVING count(*) = 2)),
+near AS (SELECT a.doc_id, count(DISTINCT pair.item_id) AS n_near FROM pos a JOIN pair ON a.t = pair.ta JOIN pos b ON b.doc_id = a.doc_id AND b.t = pair.tb AND b.p BETWEEN a.p + gap - 5 AND a.p + gap + 5 GROUP BY a.doc_id)
 SELECT doc_id, len(ws)::BIGINT AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(ids, '')) AS items_sha256,
-       coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(ws) AS contaminated
-FROM d LEFT JOIN h USING (doc_id) LEFT JOIN t USING (doc_id)
+       coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(ws) AS contaminated, coalesce(n_near, 0) AS n_near
+FROM d LEFT JOIN h USING (doc_id) LEFT JOIN t USING (doc_id) LEFT JOIN near USING (doc_id)
 """

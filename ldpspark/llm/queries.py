@@ -41,7 +41,7 @@ def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return decontamination.digested(decontamination.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
+    return decontamination.digested(decontamination.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), proximity=True))
 
 
 def op8_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
