@@ -195,3 +195,16 @@ def digests(written: DataFrame) -> DataFrame:
     replies = examples(written).select("conv_id", "part", "example", F.lit(None).cast("string").alias("formatted"), "start", "end", "prefix_chars")
     ordered = pieces.unionByName(replies).repartition("conv_id").sortWithinPartitions("conv_id", "part", "example")
     return ordered.mapInPandas(lean(work), "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long, n_examples long")
+
+
+ORACLE = r"""
+WITH c AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -7, 0, 'user', '\### Assistant: </turn> ok' UNION ALL SELECT -7, 1, 'assistant', '\### Assistant: </turn> ok'),
+w AS (SELECT *, 6 + 2 + 9 + length(role) + length(text) + length(regexp_replace(role || text, '[^\\<>#\[\]]', '', 'g')) AS written FROM c)
+SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+       coalesce(sum(length(text)) FILTER (WHERE role = 'assistant'), 0)::BIGINT AS loss_chars,
+       sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
+       sum(written)::BIGINT AS formatted_chars, count(*) FILTER (WHERE role = 'assistant') AS n_examples
+FROM w GROUP BY conv_id
+"""

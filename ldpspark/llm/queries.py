@@ -46,7 +46,7 @@ def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     outcomes = url_filter.outcomes_from_labels(table(spark, sf_dir, "labels"))
-    return url_filter.judged(table(spark, sf_dir, "pages"), outcomes).drop("bad_bound")
+    return url_filter.judged(table(spark, sf_dir, "pages"), outcomes).drop("bad_chance")
 
 
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -71,6 +71,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 ORACLES: dict[str, str] = {
+    "op2_chat_formatting": chat_format.ORACLE,
     "op6_mixing": mixing.ORACLE,
     "op7_decontamination": decontamination.ORACLE,
     "op8_url_filters": url_filter.ORACLE,

@@ -299,6 +299,7 @@ def line_links(keyed: DataFrame, texts: DataFrame, words: int, need: Fraction) -
 def repeated_spans(docs: DataFrame, min_words: int = MIN_WORDS, share: tuple[int, int] = (3, 4), recall: float = 0.99) -> DataFrame:
     """Spans that repeat an earlier document's words: ``doc_id``, ``start``, ``end`` (words, end exclusive), ``n_words``, ``keep_doc_ids``.
 
+    A repeat is an earlier place that does not overlap it: a phrase said over and over in one text only, for fewer than twice ``min_words`` words, may be left out.
     Overlapping and touching spans of a document are one row; ``keep_doc_ids`` lists the documents whose occurrences stay. A document may be its own
     keeper, if it repeats itself. Null or empty texts and texts of fewer than ``min_words`` words have no spans; null ids are left out; rows that repeat
     an id are one document with the spans of each. Further columns are ignored.

@@ -86,6 +86,8 @@ def test_wide_regions_of_one_passage_and_tight_groups(spark, monkeypatch):
     """One region of many groups far from each other, whose pivots part them, and an outlier of each."""
     monkeypatch.setattr(jj, "SMALL", 4)
     monkeypatch.setattr(jj, "COUNTED", 8)
+    names = []
+    monkeypatch.setattr(jj, "stage", lambda df, name, kept=jj.stage: names.append(name) or kept(df, name))
     rng = random.Random(9)
     shared = words(30, 500)
     rows = []
@@ -95,6 +97,7 @@ def test_wide_regions_of_one_passage_and_tight_groups(spark, monkeypatch):
     rng.shuffle(rows)
     rows = [(i, t) for i, t in enumerate(rows)]
     got = {r["doc_id"]: r for r in jj.similar_classes(docs(spark, rows), share=(1, 2), count_links=True).collect()}
+    assert "level-1-parts" in names
     sets = {i: shingles(t) for i, t in rows}
     assert {i: r["component_id"] for i, r in got.items()} == classes(rows, 1, 2)
     assert {i: r["n_links"] for i, r in got.items()} == {i: sum(j != i and 2 * len(x & y) >= len(x | y) for j, y in sets.items()) for i, x in sets.items()}

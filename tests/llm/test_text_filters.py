@@ -276,3 +276,38 @@ def test_reputation_needs_evidence(spark):
     rep = {r["host"]: r for r in uf.host_reputation(pages, votes).collect()}
     assert rep["good.org"]["mean"] < rep["new.org"]["mean"] < rep["one.org"]["mean"] < rep["bad.org"]["mean"]
     assert uf.judged(spark.createDataFrame([], "page_id long, url string"), votes).count() == 0
+
+
+def test_beta_tail_and_public_suffixes(spark):
+    a, b = np.array([1.0, 2.0, 0.5, 3.0, 40.0, 0.01]), np.array([1.0, 1.0, 0.5, 1.0, 7.0, 12.0])
+    x = 0.35
+    got = uf.beta_cdf(a, b, x)
+    assert np.allclose(got[[0, 1, 3]], [x, x**2, x**3]) and abs(got[2] - 2 / np.pi * np.arcsin(np.sqrt(x))) < 1e-12
+    grid = (np.arange(400_000) + 0.5) / 400_000
+    density = lambda p, q: grid ** (p - 1) * (1 - grid) ** (q - 1)
+    assert abs(got[4] - density(40, 7)[grid <= x].sum() / density(40, 7).sum()) < 1e-9 and 0.9 < got[5] < 1
+    assert len(uf.beta_cdf(np.zeros(0), np.zeros(0), x)) == 0
+    hosts = spark.createDataFrame([(h,) for h in ("a.co.uk", "w.b.co.uk", "b.co.uk", "x.y.com", "com", "", "co.uk")], "host string")
+    domain, suffix = uf.registered(hosts["host"])
+    found = {r["host"]: (r["d"], r["s"]) for r in hosts.select("host", domain.alias("d"), suffix.alias("s")).collect()}
+    assert found["a.co.uk"] == ("a.co.uk", "co.uk") and found["w.b.co.uk"] == found["b.co.uk"] == ("b.co.uk", "co.uk")
+    assert found["x.y.com"] == ("y.com", "com") and found["com"] == ("com", "com") and found[""] == ("", "") and found["co.uk"] == ("co.uk", "co.uk")
+
+
+def test_every_repeat_of_the_given_tables_is_found(spark):
+    """All runs of 50 words that stand at an earlier place they don't overlap, by brute force over sf0.01; what is found beyond them lies in near copies of lines, or in loops."""
+    table = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    rows = sorted((r["doc_id"], [w for w in re.split(r"[\x20\x09-\x0d]+", lower(r["text"] or "")) if w]) for r in table.collect())
+    first, repeated = {}, {}
+    for i, ws in rows:
+        for p in range(len(ws) - 49):
+            j, q = first.setdefault(tuple(ws[p : p + 50]), (i, p))
+            if j != i or p - q >= 50:
+                repeated.setdefault(i, set()).update(range(p, p + 50))
+    found = {}
+    for r in sd.repeated_spans(table).collect():
+        found.setdefault(r["doc_id"], set()).update(range(r["start"], r["end"]))
+    assert all(words <= found.get(i, set()) for i, words in repeated.items()) and len(repeated) > 100
+    texts, lines = dict(rows), {i: [len(line.split()) for line in (t or "").split("\n")] for i, t in ((r["doc_id"], r["text"]) for r in table.collect())}
+    beyond = {i for i in found if found[i] - repeated.get(i, set())}
+    assert all(max(lines[i]) >= 50 and len(texts[i]) >= 50 for i in beyond) and len(beyond) < 0.1 * len(rows)
