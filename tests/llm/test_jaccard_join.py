@@ -82,25 +82,25 @@ def test_classes_hold_where_every_row_stands_twice(spark):
     assert {r["doc_id"]: r["component_id"] for r in got} == classes(rows)
 
 
-def test_wide_regions_of_one_passage_and_tight_groups(spark, monkeypatch):
-    """One region of many groups far from each other, whose pivots part them, and an outlier of each."""
+def test_wide_regions_of_common_passages_are_parted_by_pivots(spark, monkeypatch):
+    """Texts put together from a few passages: every shingle is common, and a region holds many groups far from each other."""
     monkeypatch.setattr(jj, "SMALL", 4)
-    monkeypatch.setattr(jj, "COUNTED", 8)
+    monkeypatch.setattr(jj, "COUNTED", 4)
     names = []
     monkeypatch.setattr(jj, "stage", lambda df, name, kept=jj.stage: names.append(name) or kept(df, name))
     rng = random.Random(9)
-    shared = words(30, 500)
+    pool = [words(25, 700 + i) for i in range(12)]
     rows = []
-    for f in range(10):
-        base = words(70, 600 + f)
-        rows += [" ".join(shared + edited(base, rng, rng.choice((0, 1, 2, 3, 5)))) for _ in range(9)]
+    for _ in range(16):
+        base = sum(rng.sample(pool, 5), [])
+        rows += [" ".join(edited(base, rng, rng.choice((0, 1, 2, 3, 4)))) for _ in range(6)]
     rng.shuffle(rows)
     rows = [(i, t) for i, t in enumerate(rows)]
-    got = {r["doc_id"]: r for r in jj.similar_classes(docs(spark, rows), share=(1, 2), count_links=True).collect()}
-    assert "level-1-parts" in names
+    got = {r["doc_id"]: r for r in jj.similar_classes(docs(spark, rows), count_links=True).collect()}
+    assert "level-1-parts" in names and "level-2-met" in names
     sets = {i: shingles(t) for i, t in rows}
-    assert {i: r["component_id"] for i, r in got.items()} == classes(rows, 1, 2)
-    assert {i: r["n_links"] for i, r in got.items()} == {i: sum(j != i and 2 * len(x & y) >= len(x | y) for j, y in sets.items()) for i, x in sets.items()}
+    assert {i: r["component_id"] for i, r in got.items()} == classes(rows)
+    assert {i: r["n_links"] for i, r in got.items()} == {i: sum(j != i and 4 * len(x & y) >= 3 * len(x | y) for j, y in sets.items()) for i, x in sets.items()}
 
 
 def test_id_of_several_texts_is_linked_by_any(spark):
