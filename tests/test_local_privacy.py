@@ -205,13 +205,30 @@ def test_sequential_descent_sees_all_users_over_batches(spark, mechanism):
             assert np.allclose(found["weights"], descent.fold_users(x, y, "logistic", 1e-3, 0.5, mechanism, m.eps), atol=1e-12)
 
 
-@pytest.mark.parametrize("name", ["sgd_exact_whole_svm", "sgd_halfspace_linear", "sgd_laplace", "sgd_one_coordinate"])
+@pytest.mark.parametrize("name", ["sgd_exact_linear", "sgd_exact_svm", "sgd_halfspace_linear", "sgd_laplace", "sgd_one_coordinate"])
 def test_registered_descent_takes_the_whole_table(spark, name):
     from ldpspark import queries
 
     assert {r["users"] for r in queries.QUERIES[name](spark, SF2).collect()} == {spark.read.parquet(f"{SF2}/lineitem.parquet").count()}
 
 
+@pytest.mark.parametrize("kind", ["linear", "logistic", "svm"])
+def test_first_steps_of_exact_descent_equal_recursive_sql(spark, kind):
+    import duckdb
+
+    from ldpspark import queries
+    from ldpspark.oracle import sql
+
+    duck = duckdb.connect()
+    for t in ("lineitem", "orders", "customer"):
+        duck.execute(f"create view {t} as select * from '{SF2}/{t}.parquet'")
+    want = duck.execute(sql.sequential(queries._ERM[kind], queries._XS, kind, 64, queries.LAM, 1 / 6)).fetchall()
+    users = descent.prepared(queries.erm(spark, SF2, kind))
+    got = descent.sgd(users, [descent.Model("exact", 3, queries.EPS, 1)], kind, queries.LAM, 1 / 6, max_users=64).collect()[0]
+    assert got["users"] == 64
+    assert np.allclose(got["weights"], [w for _, w in sorted(want)], atol=2e-9)
+
+
 def test_participations_train_on_all_their_reports(spark, monkeypatch):
     from ldpspark import queries
 
