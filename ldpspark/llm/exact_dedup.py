@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ldpspark.llm.merging import id_filter, only_ids
@@ -23,6 +23,13 @@ def hash128(text: Column) -> Column:
     return F.unhex(F.md5(text))
 
 
+def _grouped(rows: DataFrame, *by: str) -> DataFrame:
+    """Of each group the least id (nulls last), the first of its rows, and the number of rows; combined before the shuffle."""
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "row"))
+    found = rows.groupBy(*by).agg(least.alias("least"), F.count(F.lit(1)).alias("group_size"))
+    return found.select(*by, F.col("least.doc_id").alias("keep_id"), F.col("least.row").alias("keep_row"), "group_size")
+
+
 def exact_groups(docs: DataFrame, digest: Callable[[Column], Column] = hash128) -> DataFrame:
     """Groups of rows with the same normalised text; the row of the least id stays.
 
@@ -31,28 +38,29 @@ def exact_groups(docs: DataFrame, digest: Callable[[Column], Column] = hash128)
     a group of null ids only has a null ``keep_id`` and keeps one row. Further columns are ignored; an
     empty table gives an empty result. ``digest`` makes the group key; texts that share it without
     being equal are told apart by their bytes.
+
+    No task gets the rows of a large group: least ids and texts are combined before they move, and
+    the join back to the rows has one row per key on its other side, so that a hot key may be split.
     """
     small_batches(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), normalised().alias("norm")).withColumn("h", digest(F.col("norm")))
-    slim = stage(rows.select("doc_id", "h", F.unhex(F.sha2("norm", 256)).alias("sha")), "hashes")
-    groups = stage(slim.groupBy("h").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")), "groups")
-
-    several = groups.where("group_size > 1").withColumn("k", F.xxhash64("h"))
-    inside = only_ids(rows.withColumn("k", F.xxhash64("h")), "k", id_filter(several, "k")).drop("k")
-    inside = stage(inside.join(several.select("h", "keep_id"), "h"), "members")
-    first = inside.where(F.col("doc_id").eqNullSafe(F.col("keep_id"))).dropDuplicates(["h"]).select("h", F.col("norm").alias("kept_norm"))
-    unequal = stage(inside.join(first, "h").where(F.col("norm") != F.col("kept_norm")).select("h").distinct(), "collisions")
-
-    plain = slim.join(groups, "h")
-    out = plain.select("doc_id", "keep_id", "group_size", "h", "sha")
-    if not unequal.isEmpty():
-        mixed = inside.drop("keep_id").join(unequal, "h", "left_semi")
-        apart = mixed.groupBy("h", "norm").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
-        regrouped = mixed.join(apart, ["h", "norm"]).select("doc_id", "keep_id", "group_size", F.unhex(F.sha2("norm", 256)).alias("h"), F.unhex(F.sha2("norm", 256)).alias("sha"))
-        out = out.join(unequal, "h", "left_anti").select("doc_id", "keep_id", "group_size", "h", "sha").unionByName(regrouped)
-    nth = F.row_number().over(Window.partitionBy("h", "doc_id").orderBy("sha"))
-    kept = F.col("doc_id").eqNullSafe(F.col("keep_id")) & (nth == 1)
-    return out.select("doc_id", "keep_id", "group_size", kept.alias("kept"), F.lower(F.hex("sha")).alias("text_sha256"))
+    sha = F.unhex(F.sha2("norm", 256)).alias("sha")
+    slim = stage(rows.select("doc_id", "h", sha, F.monotonically_increasing_id().alias("row")), "hashes")
+    groups = stage(_grouped(slim, "h"), "groups")
+
+    several = groups.where("group_size > 1").select(F.xxhash64("h").alias("k"))
+    inside = only_ids(rows.select("h", "norm", F.xxhash64("h").alias("k")), "k", id_filter(several, "k"))
+    # texts of one hash are equal if the least of them is the greatest
+    ends = inside.groupBy("h").agg(F.min("norm").alias("low"), F.max("norm").alias("high"))
+    unequal = stage(ends.where(F.col("low") != F.col("high")).select("h"), "collisions")
+
+    result = ["doc_id", "keep_id", "group_size", (F.col("row") == F.col("keep_row")).alias("kept"), F.lower(F.hex("sha")).alias("text_sha256")]
+    out = slim.join(groups, "h")
+    if unequal.isEmpty():
+        return out.select(*result)
+    mixed = stage(rows.join(unequal, "h", "left_semi").select("doc_id", "h", "norm", sha, F.monotonically_increasing_id().alias("row")), "collided")
+    regrouped = mixed.join(_grouped(mixed, "h", "norm"), ["h", "norm"])
+    return out.join(unequal, "h", "left_anti").select(*result).unionByName(regrouped.select(*result))
 
 
 ORACLE = r"""
