@@ -30,6 +30,8 @@ LENGTH = 13
 ANCHORS = 2
 #: Words by which the distance of two anchors may differ from theirs in the window.
 SLACK = 5
+#: Tasks that share the rows of one frequent term or item.
+SALTS = 16
 
 
 def tokens(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
@@ -124,19 +126,26 @@ def postings(docs: DataFrame, bits: np.ndarray) -> DataFrame:
     return docs.mapInArrow(lean(work), "doc_id long, th long, n_words long, term long, pos long")
 
 
+def spread(many: DataFrame, few: DataFrame, key: str, *by: str) -> DataFrame:
+    """Inner join by ``key``: rows of one key in ``many`` go to SALTS tasks, by the columns ``by``; ``few``, which comes from the items alone, goes to all of them."""
+    dealt = many.withColumn("salt", F.pmod(F.xxhash64(*by), F.lit(SALTS).cast("long")))
+    copies = few.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    return dealt.join(copies, [key, "salt"]).drop("salt")
+
+
 def alignments(index: DataFrame, anchors: DataFrame) -> DataFrame:
     """(doc_id, th, ik, shift): where some window's anchors are all posted at their offsets."""
     places = anchors.select("ik", "pos", "term").distinct().withColumnRenamed("pos", "item_pos")
-    found = index.where("term is not null").join(places, "term")
+    found = spread(index.where("term is not null"), places, "term", "doc_id", "th", "pos")
     found = found.groupBy("doc_id", "th", "ik", (F.col("pos") - F.col("item_pos")).alias("shift")).agg(F.collect_set("item_pos").alias("posted"))
     wanted = anchors.groupBy("ik", "start").agg(F.collect_set("pos").alias("need")).groupBy("ik").agg(F.collect_set("need").alias("needs"))
     met = F.exists("needs", lambda need: F.size(F.array_except(need, F.col("posted"))) == 0)
-    return found.join(wanted, "ik").where(met).select("doc_id", "th", "ik", "shift")
+    return spread(found, wanted, "ik", "doc_id", "th", "shift").where(met).select("doc_id", "th", "ik", "shift")
 
 
 def phrase_hits(texts: DataFrame, aligned: DataFrame, words: DataFrame, length: int = LENGTH) -> DataFrame:
     """(doc_id, th, n_hit, items): words of the text inside any occurring window, and the items whose windows occur."""
-    listed = aligned.join(words, "ik").groupBy("doc_id", "th").agg(F.collect_list(F.struct("item_id", "shift", "words")).alias("at"))
+    listed = spread(aligned, words, "ik", "doc_id", "th").groupBy("doc_id", "th").agg(F.collect_list(F.struct("item_id", "shift", "words")).alias("at"))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -180,7 +189,8 @@ def proximity_matches(index: DataFrame, anchors: DataFrame, length: int = LENGTH
     width = length + slack
     posted = index.where("term is not null")
     cell = F.floor(F.col("pos") / width)
-    a = posted.select("doc_id", "th", F.col("term").alias("term_a"), F.col("pos").alias("pos_a"), cell.alias("cell")).join(pair, "term_a")
+    a = posted.select("doc_id", "th", F.col("term").alias("term_a"), F.col("pos").alias("pos_a"), cell.alias("cell"))
+    a = spread(a, pair, "term_a", "doc_id", "th", "pos_a")
     b = posted.select("doc_id", "th", F.col("term").alias("term_b"), F.col("pos").alias("pos_b"), F.explode(F.array(*[cell + i for i in (-1, 0, 1)])).alias("cell"))
     off = F.abs(F.col("pos_b") - F.col("pos_a") - F.col("gap"))
     same = a["doc_id"].eqNullSafe(b["doc_id"]) & (a["th"] == b["th"]) & (a["term_b"] == b["term_b"]) & (a["cell"] == b["cell"])
@@ -220,7 +230,7 @@ def contamination(docs: DataFrame, items: DataFrame, length: int = LENGTH, proxi
     found = out.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size(items_found).cast("long").alias("n_items"), items_found.alias("items"), ((n_hit > 0) & (20 * n_hit >= F.col("n_words"))).alias("contaminated"), "th")
     if not proximity:
         return found
-    named = proximity_matches(index, anchors, length).join(words.select("ik", "item_id"), "ik")
+    named = spread(proximity_matches(index, anchors, length), words.select("ik", "item_id"), "ik", "doc_id", "th")
     near = named.groupBy("doc_id", "th").agg(F.countDistinct("item_id").alias("n_near")).withColumnsRenamed({"doc_id": "near_id", "th": "near_th"})
     both = found.join(near, found["doc_id"].eqNullSafe(near["near_id"]) & (found["th"] == near["near_th"]), "left").drop("near_id", "near_th")
     return both.withColumn("n_near", F.coalesce("n_near", F.lit(0)).cast("long"))
