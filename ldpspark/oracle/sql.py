@@ -124,6 +124,53 @@ def histogram(source: str, columns: list[tuple[str, int]]) -> str:
     return f"WITH v AS (SELECT * FROM {source} s0) {parts}"
 
 
+def domain_errors(source: str, label: str, k: int, eps: float, beta: float, runs: int) -> str:
+    """(attr, k, oracle, m, rms) of both oracles over several runs: ``source`` gives ukey and the code v."""
+
+    def part(oracle: str) -> str:
+        if oracle == "orthogonal":
+            rows = str(C.orthogonal_order(k))
+            sign = lambda v: f"(1 - 2 * (bit_count((s & {v})::BIGINT) % 2))"
+        else:
+            rows = projection_rows(k, eps, beta, "users")
+            sign = lambda v: f"(case when {u(f'(s::varchar || chr(124) || {v}::varchar)', f'phi:{label}')} < 0.5 then 1 else -1 end)"
+        return f"""
+SELECT '{label}' AS attr, {k} AS k, '{oracle}' AS oracle, any_value(m)::INT AS m, round(sqrt(avg((estimate - exact) * (estimate - exact))), 9) AS rms FROM (
+  SELECT run, code, any_value(m) AS m, {d(C.report_scale(eps))} * sum(total * {sign('code')}) / sum(reports) AS estimate FROM (
+    SELECT run, s, any_value(m) AS m, sum(sign)::BIGINT AS total, count(*) AS reports FROM (
+      SELECT run, m, s, {sign('v')} * (case when {u('ukey', f'flip{label}')} < {d(C.keep_probability(eps))} then 1 else -1 end) AS sign FROM (
+        SELECT *, floor({u('ukey', f'row{label}')} * m)::INT AS s FROM (
+          SELECT ukey || '~' || run::varchar AS ukey, run, v, {rows} AS m FROM {source} s0, (SELECT count(*) AS users FROM {source} s1), (SELECT range AS run FROM range({runs})))))
+    GROUP BY run, s), (SELECT range::INT AS code FROM range({k})) GROUP BY run, code)
+JOIN (SELECT c.range::INT AS code, count(v) / any_value(users)::double AS exact FROM range({k}) c LEFT JOIN {source} s2 ON v = c.range, (SELECT count(*) AS users FROM {source} s3) GROUP BY 1) USING (code)"""
+
+    return part("orthogonal") + " UNION ALL " + part("projection")
+
+
+def dimension_errors(source: str, dims: list[int], eps: float, runs: int) -> str:
+    """(method, d, rms) of three methods on the first d places of ``source``'s vector x, over several runs; half-space up to 16."""
+    parts = []
+    for n in dims:
+        errors = lambda method, rows: f"SELECT '{method}' AS method, {n} AS d, round(sqrt(avg((estimate - exact) * (estimate - exact))), 9) AS rms FROM ({rows}) JOIN truth USING (i)"  # noqa: E731,B023
+        place = lambda salt: u("ukey", f"{salt}:e' || i::varchar || '", run="run")
+        one = one_coordinate("many", [f"x[{i + 1}]" for i in range(n)], eps, run="run", more="run,")
+        sums = f"SELECT run, j AS i, {d(C.report_scale(eps) * n)} * sum(sign) / (SELECT count(*) FROM v) AS estimate FROM {one} r GROUP BY run, j"
+        parts.append(errors("one_coordinate", sums))
+        long = f"(SELECT run, ukey, x, unnest(range({n})) AS i FROM many)"
+        noise = f"{d(2 * n / eps)} * sign({place('lap')} - 0.5) * ln(greatest(1 - 2 * abs({place('lap')} - 0.5), 2::double ** -53))"
+        parts.append(errors("laplace", f"SELECT run, i, avg(x[i + 1] - {noise}) AS estimate FROM {long} GROUP BY run, i"))
+        if n <= 16:
+            at = lambda cdf: " + ".join(f"(case when {u('ukey', 'agree', run='run')} >= {d(x)} then 1 else 0 end)" for x in cdf[:-1]) or "0"
+            inside, other = C.halfspace_cdf(n)
+            agree = f"case when {u('ukey', 'side', run='run')} < {d(C.halfspace_prob(n, eps, 'repaired'))} then {at(inside)} else {at(other)} end"
+            signs = f"SELECT run, i, {agree} AS a, case when {place('round')} < (x[i + 1] + 1) / 2 then 1 else -1 end AS sign, row_number() OVER (PARTITION BY run, ukey ORDER BY {place('subset')}) AS nth FROM {long}"
+            parts.append(errors("half_space", f"SELECT run, i, {d(C.halfspace_scale(n, eps))} * sum(case when nth <= a then sign else -sign end) / count(*) AS estimate FROM ({signs}) GROUP BY run, i"))
+    return f"""
+WITH v AS MATERIALIZED (SELECT * FROM {source} s0), many AS (SELECT ukey, x, run FROM v, (SELECT range AS run FROM range({runs}))),
+truth AS MATERIALIZED (SELECT i, avg(x[i + 1]) AS exact FROM (SELECT x, unnest(range({max(dims)})) AS i FROM v) GROUP BY i)
+{' UNION ALL '.join(parts)}"""
+
+
 def slope(kind: str, score: str, y: str) -> str:
     if kind == "linear":
         return f"(2 * ({score} - {y}))"

@@ -647,12 +647,24 @@ def _(spark, sf):
     return tested(data, weights, "logistic")
 
 
-@query("w14_dimension_sweep")
+_DIMS = [1, 2, 4, 8, 16, 32, 64]
+
+
+@query("w14_dimension_sweep", O.dimension_errors("(SELECT vec_id::varchar AS ukey, embedding::DOUBLE[] AS x FROM embeddings)", _DIMS, EPS, 10))
 def _(spark, sf):
-    return ex.dimension_sweep(spark, sf, [1, 2, 4, 8, 16, 32, 64], EPS, 10)
+    return ex.dimension_sweep(spark, sf, _DIMS, EPS, 10, mode="md5").withColumn("rms", F.round("rms", 9))
+
+
+_HOST_SQL = "cast('0x' || substr(md5(regexp_extract(url, '://([^/?#]*)', 1)), 1, 13) AS BIGINT) % 64"
+_DOMAINS = [
+    ("lang", 4, "(SELECT doc_id::varchar AS ukey, list_position(['de', 'en', 'es', 'fr'], lang) - 1 AS v FROM documents)"),
+    ("source", 20, "(SELECT doc_id::varchar AS ukey, substr(source, 4)::INT AS v FROM documents)"),
+    ("host", 64, f"(SELECT page_id::varchar AS ukey, {_HOST_SQL} AS v FROM pages)"),
+    ("k", 100, "(SELECT event_id::varchar AS ukey, (props->>'k')::INT AS v FROM events)"),
+]
 
 
-@query("w15_domain_sweep")
+@query("w15_domain_sweep", " UNION ALL ".join(O.domain_errors(source, label, k, EPS, BETA, 10) for label, k, source in _DOMAINS))
 def _(spark, sf):
     docs = load(spark, sf, "documents")
     lang = F.array_position(F.array(*[F.lit(x) for x in ("de", "en", "es", "fr")]), F.col("lang")).cast("int") - 1
@@ -661,8 +673,9 @@ def _(spark, sf):
     e = stored(load(spark, sf, "events").select(F.col("event_id").cast("string").alias("ukey"), F.from_json("props", "k int")["k"].alias("k")), "events")
     host = F.regexp_extract("url", "://([^/?#]*)", 1)
     p = stored(load(spark, sf, "pages").select(F.col("page_id").cast("string").alias("ukey"), (F.conv(F.substring(F.md5(host), 1, 13), 16, 10).cast("long") % 64).cast("int").alias("host")), "pages")
-    out = ex.domain_sweep(d, [("lang", "lang", 4), ("source", "source", 20)], EPS, 10)
-    return out.unionByName(ex.domain_sweep(p, [("host", "host", 64)], EPS, 10)).unionByName(ex.domain_sweep(e, [("k", "k", 100)], EPS, 10))
+    sweep = lambda data, columns: ex.domain_sweep(data, columns, EPS, 10, mode="md5")
+    out = sweep(d, [("lang", "lang", 4), ("source", "source", 20)]).unionByName(sweep(p, [("host", "host", 64)])).unionByName(sweep(e, [("k", "k", 100)]))
+    return out.withColumn("rms", F.round("rms", 9))
 
 
 @query("w16_participation")
