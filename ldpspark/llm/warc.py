@@ -6,10 +6,8 @@ Records refer to the response by its record id, and carry its target, date, head
 from __future__ import annotations
 
 import base64
-import gzip
 import hashlib
 import html
-import io
 import re
 import uuid
 from collections.abc import Iterator
@@ -146,31 +144,15 @@ def derivatives(pages: DataFrame, date: str = "2024-01-01T00:00:00Z", kinds: tup
     return rows.mapInArrow(lean(work), SCHEMA)
 
 
-def write_files(records: DataFrame, path: str, rows_per_file: int = 100_000) -> None:
-    """Records as files of gzip members (one per record), one file per task, kept in a table of binary rows.
+def write_files(records: DataFrame, path: str, compression: str = "gzip") -> None:
+    """Records as files under ``path`` that hold nothing else: each part file is a run of whole records, by default one gzip stream.
 
-    Rows of ``path`` hold ``file`` and ``data``; a consumer writes each ``data`` to its store as it is.
+    Written by Spark's own writer and its committer, so that a task that is lost or run twice leaves no half file and no record twice. The writer ends each row
+    by the two line breaks that end a record. It names files ``part-*.txt.gz``; readers of the format look at the content alone.
+    A record with bytes that are no UTF-8 is written as it is. An empty table gives files without records.
     """
-
-    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyspark import TaskContext
-
-        number, part, rows = TaskContext.get().partitionId(), 0, 0
-        buffer = io.BytesIO()
-        for batch in batches:
-            for x in batch["record"].to_pylist():
-                buffer.write(gzip.compress(x, mtime=0))
-                rows += 1
-                if rows >= rows_per_file or buffer.tell() > 1 << 26:
-                    yield _row(number, part, buffer)
-                    part, rows, buffer = part + 1, 0, io.BytesIO()
-        if buffer.tell():
-            yield _row(number, part, buffer)
-
-    def _row(number: int, part: int, buffer: io.BytesIO) -> pa.RecordBatch:
-        return pa.RecordBatch.from_pydict({"file": [f"part-{number:06d}-{part:04d}.warc.gz"], "data": [buffer.getvalue()]})
-
-    records.select("record").mapInArrow(lean(pack), "file string, data binary").write.mode("overwrite").parquet(path)
+    body = F.expr("substring(record, 1, octet_length(record) - 4)").cast("string")
+    records.select(body.alias("value")).write.mode("overwrite").option("lineSep", (CRLF * 2).decode()).option("compression", compression).text(path)
 
 
 def digest_rows(records: DataFrame) -> DataFrame:

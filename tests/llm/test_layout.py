@@ -176,8 +176,18 @@ def test_records_link_and_read_back(spark):
 
 
 def test_files_hold_all_records(spark, tmp_path):
-    pages = spark.createDataFrame([(i, f"http://a/{i}", HTML) for i in range(20)], "page_id long, url string, html string")
+    pages = spark.createDataFrame([(i, f"http://a/{i}", HTML + "\r\n\r\n\u00e9" * (i % 3)) for i in range(20)] + [(20, None, None)], "page_id long, url string, html string")
     records = warc.derivatives(pages)
-    warc.write_files(records, str(tmp_path / "w"), rows_per_file=7)
-    found = [x for r in spark.read.parquet(str(tmp_path / "w")).collect() for x in warc.read_records(gzip.decompress(bytes(r["data"])))]
-    assert sorted(h["WARC-Record-ID"] for h, _ in found) == sorted(r["record_id"] for r in records.collect())
+    odd = warc.record([("WARC-Type", "response"), ("WARC-Record-ID", "<urn:odd>")], b"\xff\xfe\x00\r\n")
+    whole = records.select("record").unionByName(spark.createDataFrame([(bytearray(odd),)], "record binary"))
+    warc.write_files(whole.repartition(3), str(tmp_path / "w"))
+    files = [gzip.decompress(f.read_bytes()) for f in (tmp_path / "w").glob("part-*.gz")]
+    found = [x for data in files for x in warc.read_records(data)]
+    assert sorted(warc.record(list(h.items())[:-1], b) for h, b in found) == sorted(bytes(r["record"]) for r in whole.collect())
+    assert len(found) == 64
+
+
+def test_files_of_no_records(spark, tmp_path):
+    pages = spark.createDataFrame([], "page_id long, url string, html string")
+    warc.write_files(warc.derivatives(pages), str(tmp_path / "w"))
+    assert not any(warc.read_records(gzip.decompress(f.read_bytes())) for f in (tmp_path / "w").glob("part-*.gz"))
