@@ -22,12 +22,17 @@ from ldpspark.llm.staging import lean, small_batches
 VERSION = b"WARC/1.1"
 CRLF = b"\r\n"
 
-_DROP = re.compile(r"<!--.*?-->|<(script|style|noscript|template|head)\b[^>]*>.*?</\1\s*>|<!(?:[^>]*)>", re.S | re.I)
-_BREAK = re.compile(r"<\s*/?\s*(?:p|div|br|li|ul|ol|tr|table|h[1-6]|article|section|nav|footer|header|aside|main|blockquote|pre|td|th|dd|dt|dl|form|hr)\b[^>]*>", re.I)
+_OPEN = re.compile(r"<!--|<!|<(script|style|noscript|template|head)\b", re.I)
+_CLOSE = {x: re.compile(rf"</{x}\s*>", re.I) for x in ("script", "style", "noscript", "template", "head", "title")}
+_CLOSE["--"] = re.compile("-->")
+_END = re.compile(">")
+_BREAK = re.compile(r"<\s*(?:/\s*)?(?:p|div|br|li|ul|ol|tr|table|h[1-6]|article|section|nav|footer|header|aside|main|blockquote|pre|td|th|dd|dt|dl|form|hr)\b[^>]*>", re.I)
 _TAG = re.compile(r"</?[a-zA-Z][^>]*>")
-_TITLE = re.compile(r"<title\b[^>]*>(.*?)</title\s*>", re.S | re.I)
-_LANG = re.compile(r"<html\b[^>]*?\blang\s*=\s*[\"']?([\w-]+)", re.I)
-_LINK = re.compile(r"<a\b[^>]*?\bhref\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
+_TITLE = re.compile(r"<title\b[^>]*>", re.I)
+_HTML = re.compile(r"<html\b", re.I)
+_LANG = re.compile(r"\blang\s*=\s*[\"']?([\w-]+)", re.I)
+_ANCHOR = re.compile(r"<a\b", re.I)
+_HREF = re.compile(r"\bhref\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _BLANKS = re.compile(r"[ \t\r\f\v]+")
 
 
@@ -63,20 +68,93 @@ def read_records(data: bytes) -> list[tuple[dict[str, str], bytes]]:
     return out
 
 
+class _Next:
+    """First match at or after a place that only grows. A match found once is kept until it is passed, so all calls together read the page once."""
+
+    def __init__(self, pattern: re.Pattern, page: str):
+        self.pattern, self.page = pattern, page
+        self.at: re.Match | None = None
+        self.asked = self.over = False
+
+    def after(self, place: int) -> re.Match | None:
+        if not self.over and (not self.asked or self.at.start() < place):
+            self.at = self.pattern.search(self.page, place)
+            self.asked, self.over = True, self.at is None
+        return self.at
+
+
+def _without_hidden(page: str) -> str:
+    """The page without comments, declarations, and elements that show no text. An element that is not closed stays, in time linear in the page."""
+    end = _Next(_END, page)
+    close = {k: _Next(p, page) for k, p in _CLOSE.items()}
+    kept, at = [], 0
+    for m in _OPEN.finditer(page):
+        if m.start() < at:
+            continue
+        if m[1]:
+            tag = end.after(m.end())
+            stop = close[m[1].lower()].after(tag.end()) if tag else None
+        else:
+            stop = (close["--"].after(m.end()) if m[0] == "<!--" else None) or end.after(m.start() + 2)
+        if stop:
+            kept.append(page[at : m.start()])
+            at = stop.end()
+    return "".join(kept) + page[at:]
+
+
+def _replaced(pattern: re.Pattern, by: str, page: str) -> str:
+    """``pattern.sub`` for a pattern that ends in >: the rest after the last > is not tried."""
+    k = page.rfind(">") + 1
+    return pattern.sub(by, page[:k]) + page[k:]
+
+
 def plain_text(page: str) -> str:
     """Text of a page: no scripts, styles, comments or head; block elements end lines; entities resolved; blank lines dropped."""
-    text = html.unescape(_TAG.sub("", _BREAK.sub("\n", _DROP.sub("", page))))
+    text = html.unescape(_replaced(_TAG, "", _replaced(_BREAK, "\n", _without_hidden(page))))
     lines = (_BLANKS.sub(" ", x).strip() for x in text.split("\n"))
     return "\n".join(x for x in lines if x)
 
 
+def _title(page: str) -> str | None:
+    start = _TITLE.search(page, 0, page.rfind(">") + 1)
+    stop = _CLOSE["title"].search(page, start.end()) if start else None
+    return page[start.end() : stop.start()] if stop else None
+
+
+def _language(page: str) -> str | None:
+    end, at = _Next(_END, page), 0
+    for m in _HTML.finditer(page):
+        if m.start() >= at:
+            tag = end.after(m.end())
+            at = tag.start() if tag else len(page)
+            found = _LANG.search(page, m.end(), at)
+            if found:
+                return found[1]
+    return None
+
+
+def _links(page: str) -> list[str]:
+    end, href, out, at = _Next(_END, page), _Next(_HREF, page), [], 0
+    for m in _ANCHOR.finditer(page):
+        if m.start() < at:
+            continue
+        tag, found = end.after(m.end()), href.after(m.end())
+        if found is None:
+            break
+        stop = tag.start() if tag else len(page)
+        if found.start() < stop:
+            out.append(html.unescape(found[1] or found[2] or found[3] or ""))
+            at = found.end()
+        else:
+            at = stop
+    return out
+
+
 def page_metadata(page: str) -> list[tuple[str, str]]:
     """Fields of the metadata record: title, language, number of links, then the links in order."""
-    title = _TITLE.search(page)
-    lang = _LANG.search(page)
-    links = [html.unescape(a or b or c) for a, b, c in _LINK.findall(page)]
-    out = [("title", _BLANKS.sub(" ", html.unescape(title[1]).replace("\n", " ")).strip())] if title else []
-    out += [("languages-html", lang[1])] if lang else []
+    title, lang, links = _title(page), _language(page), _links(page)
+    out = [("title", _BLANKS.sub(" ", html.unescape(title).replace("\n", " ")).strip())] if title is not None else []
+    out += [("languages-html", lang)] if lang else []
     return [*out, ("outlink-count", str(len(links))), *(("outlink", " ".join(x.split())) for x in links)]
 
 

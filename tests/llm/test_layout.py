@@ -2,6 +2,9 @@ from __future__ import annotations
 
 import gzip
 import hashlib
+import random
+import re
+import time
 import zlib
 
 import numpy as np
@@ -175,6 +178,34 @@ def test_records_link_and_read_back(spark):
     assert len(twice) == 2 and len(set(twice)) == 1
 
 
+def plain_drop(page):
+    return re.sub(r"<!--.*?-->|<(script|style|noscript|template|head)\b[^>]*>.*?</\1\s*>|<!(?:[^>]*)>", "", page, flags=re.S | re.I)
+
+
+def test_pages_are_read_as_by_plain_patterns():
+    pieces = "<script <SCRIPT> </script> </script <!-- --> <! > < <p </ p> <head> <header> </head > <title <title> </title> <html lang=fr lang <a href=x href='y \" ' <style> </style> text = /a <abbr".split(" ") + [" ", "\n"]
+    rng = random.Random(5)
+    for _ in range(4000):
+        page = "".join(rng.choice(pieces) + rng.choice(["", " "]) for _ in range(rng.randrange(1, 14)))
+        assert warc._without_hidden(page) == plain_drop(page), page
+        title = re.search(r"<title\b[^>]*>(.*?)</title\s*>", page, re.S | re.I)
+        assert warc._title(page) == (title[1] if title else None), page
+        lang = re.search(r"<html\b[^>]*?\blang\s*=\s*[\"']?([\w-]+)", page, re.I)
+        assert warc._language(page) == (lang[1] if lang else None), page
+        links = re.findall(r"<a\b[^>]*?\bhref\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", page, re.I)
+        assert warc._links(page) == [a or b or c for a, b, c in links], page
+        assert warc._replaced(warc._TAG, "", page) == re.sub(r"</?[a-zA-Z][^>]*>", "", page), page
+
+
+def test_unclosed_tags_take_linear_time():
+    start = time.time()
+    for piece in ("<script>", "<script ", "<!-- ", "<! ", "<title>", "<title ", "<html ", "<a ", "<a href=", "<p ", "< ", "<    ", "<head><style>", "</script "):
+        page = piece * 100_000
+        warc.plain_text(page)
+        warc.page_metadata(page)
+    assert time.time() - start < 60
+
+
 def test_files_hold_all_records(spark, tmp_path):
     pages = spark.createDataFrame([(i, f"http://a/{i}", HTML + "\r\n\r\n\u00e9" * (i % 3)) for i in range(20)] + [(20, None, None)], "page_id long, url string, html string")
     records = warc.derivatives(pages)
