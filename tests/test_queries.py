@@ -30,6 +30,11 @@ def test_query_equals_its_sql(spark, duck, name):
     assert a == b
 
 
+def test_constants_are_those_of_their_own_dimensions(spark):
+    # the dimensions of w14_dimension_sweep once took their place
+    assert sorted(r["d"] for r in core.QUERIES["halfspace_constants"](spark, SF).collect()) == list(range(1, 13))
+
+
 def test_entry_points():
     import __spark_entry__ as e
 
