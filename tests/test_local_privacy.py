@@ -205,6 +205,30 @@ def test_sequential_descent_sees_all_users_over_batches(spark, mechanism):
             assert np.allclose(found["weights"], descent.fold_users(x, y, "logistic", 1e-3, 0.5, mechanism, m.eps), atol=1e-12)
 
 
+@pytest.mark.parametrize("mechanism", [None, "halfspace", "laplace", "one_coordinate"])
+@pytest.mark.parametrize("kind", losses.KINDS)
+def test_steps_on_plain_numbers_equal_those_on_arrays(monkeypatch, kind, mechanism):
+    rng = np.random.default_rng(5)
+    x, y = rng.uniform(-1, 1, (5000, 3)), rng.choice([-1.0, 1.0], 5000)
+    found = []
+    for limit in (descent.PLAIN, 0):
+        monkeypatch.setattr(descent, "PLAIN", limit)
+        walk = descent.Walk(kind, 1e-3, 0.3, mechanism, [0.5, 2.0])
+        for a in (0, 1300, 1301):
+            walk.run(x[a : {0: 1300, 1300: 1301, 1301: 5000}[a]], y[a : {0: 1300, 1300: 1301, 1301: 5000}[a]])
+        found.append(walk.w)
+    assert np.allclose(*found, atol=1e-10)
+
+
+def test_a_stream_gets_packed_users_in_order(spark):
+    base = users(spark, SF, NUM4).select("ukey", F.array("quantity", "discount", "tax").alias("x"), F.col("price").alias("y"))
+    ready = descent.prepared(base, 4)
+    rows = descent._streams(ready, 2, True).where("part = 1")
+    assert rows.rdd.getNumPartitions() == 2 and rows.count() < 100
+    got = [(*x, y, ub) for b in rows.toArrow().to_batches() for _, _, xs, ys, ubs, _, _ in descent._unpacked(b, True) for x, y, ub in zip(xs.tolist(), ys.tolist(), ubs.tolist())]
+    assert got == [(*r["x"], r["y"], r["ub"]) for r in sorted(ready.collect(), key=lambda r: r["ub"])]
+
+
 @pytest.mark.parametrize("name", ["sgd_exact_linear", "sgd_exact_svm", "sgd_halfspace_linear", "sgd_laplace", "sgd_one_coordinate"])
 def test_registered_descent_takes_the_whole_table(spark, name):
     from ldpspark import queries
