@@ -286,6 +286,15 @@ def test_cross_validation_trains_on_all_users_of_the_folds(spark, monkeypatch):
     assert sum(seen) == 2 * 9 * 25_000
 
 
+def test_small_batches_are_trained_without_slices(spark, monkeypatch):
+    from ldpspark.erm import crossval
+
+    monkeypatch.setattr(crossval, "sliced", lambda *a: pytest.fail("users are laid out in slices that no step reads"))
+    data = spark.createDataFrame([(f"u{i}", [i % 7 / 7, -0.2], 1.0 if i % 3 else -1.0) for i in range(3000)], "ukey string, x array<double>, y double")
+    rows = crossval.cross_validated(data, "linear", 3000, 2, [1.0], folds=4, r=1).collect()
+    assert {r["method"] for r in rows} == {"sgd_halfspace", "mgd", "mgd_projected", "sgd_exact"} and {r["users"] for r in rows} == {3000} and {r["folds"] for r in rows} == {4}
+
+
 def test_order_of_methods_in_linear_regression(spark):
     from ldpspark.erm.crossval import cross_validated
 
