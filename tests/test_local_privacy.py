@@ -359,6 +359,28 @@ def test_replayed_runs_are_those_of_the_mechanisms(spark):
     assert not wide
 
 
+def test_replayed_sums_do_not_depend_on_tables_or_held_users(spark, monkeypatch):
+    data = stored(users(spark, SF, LI23), "some")
+    kinds = tuple(range(6))
+    read = lambda: sorted(map(tuple, replay.replayed(data, LI23, [0.5, 9.0], 3, 6000, 0.05, kinds).collect()))
+    want = read()
+    for name, value in (("TABLE", 0), ("TABLE", 3000), ("HELD", 400), ("ROWS", 100)):
+        with monkeypatch.context() as m:
+            m.setattr(replay, name, value)
+            assert read() == want
+
+
+def test_half_space_signs_equal_those_by_sorting():
+    rng = np.random.default_rng(2)
+    v, u, p = rng.uniform(-1, 1, (6, 500)), rng.random((14, 500)), np.array([0.5, 0.8])
+    cdfs = tuple(np.array(x) for x in C.halfspace_cdf(6))
+    rank = u[6:12].T.argsort(1).argsort(1)
+    alike = [np.searchsorted(c, u[12], "right") for c in cdfs]
+    vertex = np.where(u[:6] < (1 + v) / 2, 1, -1).T
+    want = [np.where(rank < np.where(u[13] < x, *alike)[:, None], vertex, -vertex).sum(0) for x in p]
+    assert (replay._halfspace(v, u, cdfs, p) == want).all()
+
+
 def test_projection_keeps_the_cube():
     p = np.array(projection.matrix(20, 85))
     x = np.random.default_rng(1).uniform(-1, 1, (500, 85))
