@@ -220,6 +220,21 @@ def test_steps_on_plain_numbers_equal_those_on_arrays(monkeypatch, kind, mechani
     assert np.allclose(*found, atol=1e-10)
 
 
+@pytest.mark.parametrize("mechanism", [None, "halfspace"])
+@pytest.mark.parametrize("kind", losses.KINDS)
+def test_steps_in_few_calls_equal_those_one_by_one(kind, mechanism):
+    rng = np.random.default_rng(6)
+    x, y = rng.uniform(-1, 1, (3000, 12)), rng.choice([-1.0, 1.0], 3000)
+    fast, slow = (descent.Walk(kind, 1e-3, 0.1, mechanism, [0.5, 2.0] if mechanism else [1.0], tol=tol) for tol in (0.0, 1e-300))
+    assert hasattr(fast, "_run_wide")
+    calls = []
+    fast._noise = lambda *a: calls.append(a)
+    for a, b in ((0, 1300), (1300, 3000)):
+        fast.run(x[a:b], y[a:b])
+    slow.run(x, y)
+    assert not calls and np.allclose(fast.w, slow.w, atol=1e-9)
+
+
 def test_a_stream_gets_packed_users_in_order(spark):
     base = users(spark, SF, NUM4).select("ukey", F.array("quantity", "discount", "tax").alias("x"), F.col("price").alias("y"))
     ready = descent.prepared(base, 4)
