@@ -41,7 +41,7 @@ from pyspark.sql import functions as F
 
 from ldpspark.llm.components import components
 from ldpspark.llm.merging import SLICE_SCHEMA, id_filter, may_hold, merged, only_ids, slices_of
-from ldpspark.llm.staging import lean, lean_group, small_batches, stage
+from ldpspark.llm.staging import gathered, lean, lean_group, small_batches, stage
 from ldpspark.llm.textkernel import shingle_sets
 
 CELLS = 1 << 20
@@ -53,9 +53,16 @@ SPREAD = 1.5
 BLOCK = 512
 #: Different sets of a class whose links are counted at once against as many.
 COUNTED = 256
+#: Pairs of a task that are measured at once where pairs are few.
+MEASURED = 2_000
 ROWS = 1 << 18
 
 
+def in_few(df: DataFrame, name: str, rows: int | None) -> DataFrame:
+    """``df`` staged in few files, as it holds about ``rows`` rows at most."""
+    return stage(df if rows is None else gathered(df, rows), name)
+
+
 def _needed(n: int, share: Fraction) -> int:
     return -(-n * share.numerator // share.denominator)
 
@@ -166,8 +173,8 @@ def _common(x: np.ndarray, y: np.ndarray) -> int:
     return int((y[at] == x).sum()) if len(y) else 0
 
 
-def measured(pairs: DataFrame, texts: DataFrame, size: int = 5) -> DataFrame:
-    """(a, b, common, together): sizes of the shared and the united shingles of each pair ``(a, b)``, from whole texts."""
+def measured(pairs: DataFrame, texts: DataFrame, size: int = 5, rows: int | None = None) -> DataFrame:
+    """(a, b, common, together): sizes of the shared and the united shingles of each pair ``(a, b)``, from whole texts. ``rows``: the number of pairs, if that is known."""
     left = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a"))
     right = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
 
@@ -187,11 +194,14 @@ def measured(pairs: DataFrame, texts: DataFrame, size: int = 5) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch["a"], batch["b"], pa.array(both, pa.int64()), pa.array(either, pa.int64())], names=["a", "b", "common", "together"])
 
     # by sort and merge at every size: a shuffle stands between two Python steps, so that a task never feeds two workers
-    return pairs.join(left.hint("merge"), "a").join(right.hint("merge"), "b").select("a", "b", "text_a", "text_b").mapInArrow(lean(work), "a long, b long, common long, together long")
+    met = pairs.join(left.hint("merge"), "a").join(right.hint("merge"), "b").select("a", "b", "text_a", "text_b")
+    # in order of b, as the set of b is made once for its pairs
+    met = met if rows is None else gathered(met, rows, MEASURED).sortWithinPartitions("b")
+    return met.mapInArrow(lean(work), "a long, b long, common long, together long")
 
 
-def bounded(pairs: DataFrame, maps: DataFrame) -> DataFrame:
-    """(a, b, na, nb, least): pairs with a lower bound of their symmetric difference, from the parity maps alone."""
+def bounded(pairs: DataFrame, maps: DataFrame, rows: int) -> DataFrame:
+    """(a, b, na, nb, least): the ``rows`` pairs with a lower bound of their symmetric difference, from the parity maps alone."""
     left = maps.select(F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("odd").alias("odd_a"))
     right = maps.select(F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("odd").alias("odd_b"))
 
@@ -200,7 +210,8 @@ def bounded(pairs: DataFrame, maps: DataFrame) -> DataFrame:
             least = [apart(x, y) for x, y in zip(batch["odd_a"].to_pylist(), batch["odd_b"].to_pylist())]
             yield pa.RecordBatch.from_arrays([batch["a"], batch["b"], batch["na"], batch["nb"], pa.array(least, pa.int64())], names=["a", "b", "na", "nb", "least"])
 
-    return pairs.join(left.hint("merge"), "a").join(right.hint("merge"), "b").select("a", "b", "na", "nb", "odd_a", "odd_b").mapInArrow(lean(work), "a long, b long, na long, nb long, least long")
+    met = pairs.join(left.hint("merge"), "a").join(right.hint("merge"), "b").select("a", "b", "na", "nb", "odd_a", "odd_b")
+    return gathered(met, rows).mapInArrow(lean(work), "a long, b long, na long, nb long, least long")
 
 
 def _fold(maps: np.ndarray, words: int) -> np.ndarray:
@@ -299,13 +310,14 @@ def _counted(share: Fraction, size: int):
 def _cores(several: DataFrame, texts: DataFrame, size: int, t: Fraction) -> DataFrame:
     """(c, doc_id, d): members of large classes within t/2 of the pivot, of ``PIVOTS`` tried, that has most such members."""
     large = several.where(F.col("k") > COUNTED)
+    most = PIVOTS * large.count()
     tried = [F.min(F.struct(F.xxhash64("h1", "h2", F.lit(i)).alias("h"), "doc_id"))["doc_id"].alias(f"p{i}") for i in range(PIVOTS)]
     pivots = large.groupBy("c").agg(*tried).select("c", F.explode(F.array_distinct(F.array(*[f"p{i}" for i in range(PIVOTS)]))).alias("p"))
-    pairs = stage(large.join(pivots, "c").select("c", F.col("doc_id").alias("a"), F.col("p").alias("b")).distinct(), "core-pairs")
+    pairs = in_few(large.join(pivots, "c").select("c", F.col("doc_id").alias("a"), F.col("p").alias("b")).distinct(), "core-pairs", most)
     held = only_ids(texts, "doc_id", id_filter(pairs.select("a").union(pairs.select("b")), "a"))
     # an id with several texts is in no core: its distances differ
-    near = measured(pairs.select("a", "b"), held, size).groupBy("a", "b").agg(F.max(F.col("together") - F.col("common")).alias("apart"), F.min("together").alias("together"), F.count(F.lit(1)).alias("texts"))
-    inside = stage(pairs.join(near.where((F.col("texts") == 1) & (2 * t.denominator * F.col("apart") <= t.numerator * F.col("together"))), ["a", "b"]).select("c", "a", "b"), "cores")
+    near = measured(pairs.select("a", "b"), held, size, pairs.count()).groupBy("a", "b").agg(F.max(F.col("together") - F.col("common")).alias("apart"), F.min("together").alias("together"), F.count(F.lit(1)).alias("texts"))
+    inside = in_few(pairs.join(near.where((F.col("texts") == 1) & (2 * t.denominator * F.col("apart") <= t.numerator * F.col("together"))), ["a", "b"]).select("c", "a", "b"), "cores", most)
     best = inside.groupBy("c", "b").agg(F.count(F.lit(1)).alias("m")).groupBy("c").agg(F.max(F.struct("m", "b"))["b"].alias("b"))
     return inside.join(best, ["c", "b"]).select("c", F.col("a").alias("doc_id"), F.lit(True).alias("core"))
 
@@ -318,12 +330,13 @@ def link_counts(rows: DataFrame, texts: DataFrame, size: int, share: Fraction) -
     compared with all, in pairs of blocks.
     """
     sets = rows.where("n > 0 and doc_id is not null").groupBy("c", "h1", "h2").agg(F.count(F.lit(1)).alias("copies"), F.min("doc_id").alias("doc_id"), F.first("n").alias("n"))
-    sets = stage(sets, "sets")
+    n_rows = rows.count()
+    sets = in_few(sets, "sets", n_rows)
     width = sets.groupBy("c").agg(F.count(F.lit(1)).alias("k")).where("k > 1")
-    several = stage(sets.join(width, "c"), "several")
+    several = in_few(sets.join(width, "c"), "several", n_rows)
     known = texts.where("doc_id is not null")
     cores = _cores(several, known, size, 1 - share)
-    several = stage(several.join(cores, ["c", "doc_id"], "left").withColumn("core", F.coalesce("core", F.lit(False))), "cored")
+    several = in_few(several.join(cores, ["c", "doc_id"], "left").withColumn("core", F.coalesce("core", F.lit(False))), "cored", n_rows)
     groups = max(1, several.count() // COUNTED)
     large = F.col("k") > COUNTED
     row = ["c", "doc_id", "n", "h1", "copies", "core"]
@@ -357,48 +370,49 @@ def parted(rest: DataFrame, steps: list[DataFrame], named: DataFrame, resolved:
     def classed(rows: DataFrame) -> DataFrame:
         return rows.drop("c").join(named, "doc_id", "left").withColumn("c", F.coalesce("c", "doc_id"))
 
-    def opened(rows: DataFrame, name: str) -> DataFrame:
+    def opened(rows: DataFrame, name: str, most: int) -> DataFrame:
         """Rows of keys where someone at home meets another class, with the number of rows and the largest class of the key."""
         kinds = rows.groupBy("key", "c").agg(F.count(F.lit(1)).alias("k"), F.max("home").alias("host"))
         keys = kinds.groupBy("key").agg(F.sum("k").alias("members"), F.max(F.struct("k", "c"))["c"].alias("top"), F.count(F.lit(1)).alias("kinds"), F.max("host").alias("host")).where("kinds > 1 and host")
-        return stage(rows.drop("members", "top").join(keys.select("key", "members", "top"), "key"), name)
+        return in_few(rows.drop("members", "top").join(keys.select("key", "members", "top"), "key"), name, most)
 
-    live = opened(classed(rest.withColumn("home", F.lit(True))), "level-0")
+    live = opened(classed(rest.withColumn("home", F.lit(True))), "level-0", rest.count())
     for level in range(1, LEVELS + 1):
         small = F.col("members") <= SMALL
         cells.append(live.where(small).select("key", "doc_id", "n", "c", "home"))
         live = live.where(~small)
-        if live.isEmpty():
+        held = live.count()
+        if not held:
             break
         # pivots of random classes, so that small classes have theirs too
         salt = lambda c, i: F.xxhash64(c, "key", F.lit(level * PIVOTS + i))  # noqa: B023, E731
         tried = [F.min(F.struct(salt("c", i).alias("x"), salt("doc_id", i).alias("y"), "doc_id"))["doc_id"].alias(f"p{i}") for i in range(PIVOTS)]
         pivots = live.where("home").groupBy("key").agg(*tried).select("key", F.explode(F.array_distinct(F.array(*[f"p{i}" for i in range(PIVOTS)]))).alias("p"))
         met = live.join(pivots, "key").withColumns({"a": F.greatest("doc_id", "p"), "b": F.least("doc_id", "p")})
-        met = stage(met.select("key", "doc_id", "n", "home", "p", "a", "b"), f"level-{level}-met")
-        tested = resolved(met.where("a != b").select("a", "b").distinct(), f"level-{level}")
+        met = in_few(met.select("key", "doc_id", "n", "home", "p", "a", "b"), f"level-{level}-met", PIVOTS * held)
+        tested = resolved(met.where("a != b").select("a", "b").distinct(), f"level-{level}", PIVOTS * held)
         steps.append(tested.where("link").select("a", "b"))
         named = stage(components(functools.reduce(DataFrame.unionByName, steps)), "level-classes").select(F.col("node").alias("doc_id"), F.col("component").alias("c"))
 
         own = F.col("a") == F.col("b")
         far = met.join(tested, ["a", "b"], "left").select("key", "doc_id", "n", "home", "p", *[F.when(own, 0.0).otherwise(F.col(c)).alias(c) for c in ("lo", "hi")])
         near = far.groupBy("key", "doc_id").agg(F.min(F.struct("hi", "lo", "p")).alias("near"), F.min("lo").alias("least"))
-        far = stage(far.join(near, ["key", "doc_id"]).withColumn("lives", F.col("home") & (F.col("p") == F.col("near.p")) & (F.col("hi") < 1)), f"level-{level}-distances")
+        far = in_few(far.join(near, ["key", "doc_id"]).withColumn("lives", F.col("home") & (F.col("p") == F.col("near.p")) & (F.col("hi") < 1)), f"level-{level}-distances", PIVOTS * held)
         bounds = far.where("lives").groupBy("key", "p").agg(F.max("hi").alias("radius"), F.max(F.col("hi") - F.col("least")).alias("slack"))
         window = (F.col("lo") <= F.col("radius") + t) & (F.col("lo") - F.col("near.hi") <= 2 * t + F.col("slack"))
         inside = far.join(bounds, ["key", "p"]).where(F.col("lives") | window)
         lone = far.where(~F.col("home") | (F.col("near.hi") >= 1)).select("key", "doc_id", "n", "home").distinct()
         row = ["doc_id", "n", F.col("key").alias("parent")]
         parts = inside.select(*row, F.xxhash64("key", "p").alias("key"), F.col("lives").alias("home")).unionByName(lone.select(*row, F.xxhash64("key", F.lit("lone")).alias("key"), "home"))
-        parts = opened(classed(parts), f"level-{level}-parts")
+        parts = opened(classed(parts), f"level-{level}-parts", (PIVOTS + 1) * held)
 
         after = parts.groupBy("parent").agg(F.count(F.lit(1)).alias("rows"), F.max("members").alias("widest"))
         grown = live.select(F.col("key").alias("parent"), "members").distinct().join(after, "parent")
         whole = (F.col("rows") > SPREAD * F.col("members")) | (F.col("widest") > 0.8 * F.col("members")) | F.lit(level == LEVELS)
-        grown = stage(grown.select("parent", whole.alias("whole")), f"level-{level}-growth")
+        grown = in_few(grown.select("parent", whole.alias("whole")), f"level-{level}-growth", held)
         left = live.join(grown.where("whole").select(F.col("parent").alias("key")), "key", "left_semi")
-        dense.append(opened(classed(left), f"level-{level}-dense").select("key", "doc_id", "n", "c", "top"))
-        live = stage(parts.join(grown.where("not whole").select("parent"), "parent", "left_semi").drop("parent"), f"level-{level}")
+        dense.append(opened(classed(left), f"level-{level}-dense", held).select("key", "doc_id", "n", "c", "top"))
+        live = in_few(parts.join(grown.where("not whole").select("parent"), "parent", "left_semi").drop("parent"), f"level-{level}", (PIVOTS + 1) * held)
     join = lambda parts: functools.reduce(DataFrame.unionByName, parts)
     return stage(classed(join(cells)), "small-cells"), stage(join(dense), "dense")
 
@@ -425,8 +439,9 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     # equal sets are one: its least id stands for all
     known = facts.where("n > 0 and doc_id is not null").select("doc_id", "n", "h1", "h2")
     sets = known.groupBy("n", "h1", "h2").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("rows"))
-    sets = stage(sets, "reps")
-    copies = stage(known.join(sets.where("rows > 1"), ["n", "h1", "h2"]).where("doc_id != rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).distinct(), "copies")
+    n_docs = facts.count()
+    sets = in_few(sets, "reps", n_docs)
+    copies = in_few(known.join(sets.where("rows > 1"), ["n", "h1", "h2"]).where("doc_id != rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).distinct(), "copies", n_docs)
 
     w = Window.partitionBy("key")
     region = _regions(texts, size, need, counts, id_filter(sets, "rep"))
@@ -437,44 +452,47 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     near = texts.where("doc_id is not null")
     eps = 1e-9
 
-    def resolved(pairs: DataFrame, name: str) -> DataFrame:
+    def resolved(pairs: DataFrame, name: str, rows: int | None = None) -> DataFrame:
         """Pairs with the interval [lo, hi] of their distance, which is one exact value wherever a link is possible."""
-        pairs = stage(pairs, f"{name}-pairs")
+        pairs = in_few(pairs, f"{name}-pairs", rows)
+        rows = pairs.count()
         some = maps if name == "all" else only_ids(maps, "doc_id", id_filter(pairs.select("a").union(pairs.select("b")), "a"))
         # |x sym y| <= (1-s)/(1+s) (|x|+|y|) for every pair of similarity s or more
         may = F.col("least") * (need.denominator + need.numerator) <= (F.col("na") + F.col("nb")) * (need.denominator - need.numerator)
         low = 2 * F.col("least") / (F.col("na") + F.col("nb") + F.col("least"))
-        bound = bounded(pairs, some).select("a", "b", may.alias("may"), low.alias("low"))
-        bound = stage(bound.groupBy("a", "b").agg(F.max("may").alias("may"), F.min("low").alias("low"), F.count(F.lit(1)).alias("texts")), f"{name}-bounds")
+        bound = bounded(pairs, some, rows).select("a", "b", may.alias("may"), low.alias("low"))
+        bound = in_few(bound.groupBy("a", "b").agg(F.max("may").alias("may"), F.min("low").alias("low"), F.count(F.lit(1)).alias("texts")), f"{name}-bounds", rows)
         left = bound.where("may").select("a", "b")
         held = only_ids(near, "doc_id", id_filter(left.select("a").union(left.select("b")), "a"))
-        exact = measured(left, held, size).groupBy("a", "b").agg(F.min(1 - F.col("common") / F.col("together")).alias("d"), F.max(F.col("common") * need.denominator >= F.col("together") * need.numerator).alias("link"))
+        exact = measured(left, held, size, left.count()).groupBy("a", "b").agg(F.min(1 - F.col("common") / F.col("together")).alias("d"), F.max(F.col("common") * need.denominator >= F.col("together") * need.numerator).alias("link"))
         # an id of several texts is no point of the metric: its distances say nothing of others
         one = F.col("texts") == 1
         bound = bound.join(exact, ["a", "b"], "left").select("a", "b", F.when(one, F.coalesce("d", "low")).otherwise(0.0).alias("lo"), F.when(one, F.coalesce("d", F.lit(1.0))).otherwise(1.0).alias("hi"), F.coalesce("link", F.lit(False)).alias("link"))
-        return stage(bound, f"{name}-distances")
+        return in_few(bound, f"{name}-distances", rows)
 
+    n_region = region.count()
     others = region.where(F.col("doc_id") != F.col("p"))
     fits = (F.col("n") * need.denominator >= F.col("pn") * need.numerator) & (F.col("pn") * need.denominator >= F.col("n") * need.numerator)
-    met = stage(others.select(F.col("doc_id").alias("a"), F.col("p").alias("b"), "n", "pn", fits.alias("fits")).distinct(), "met")
-    tested = resolved(met.where("fits").select("a", "b"), "pivot")
+    met = in_few(others.select(F.col("doc_id").alias("a"), F.col("p").alias("b"), "n", "pn", fits.alias("fits")).distinct(), "met", n_region)
+    n_met = met.count()
+    tested = resolved(met.where("fits").select("a", "b"), "pivot", n_met)
     linked = tested.where("link")
 
     # what is one class already needs no further test
-    first = stage(components(linked.select("a", "b")), "first-classes")
+    first = in_few(components(linked.select("a", "b")), "first-classes", n_docs)
     status = met.join(tested, ["a", "b"], "left").join(first.select(F.col("node").alias("a"), F.col("component").alias("c")), "a", "left").join(first.select(F.col("node").alias("b"), F.col("component").alias("pc")), "b", "left")
     status = status.withColumn("c", F.coalesce("c", "a")).withColumn("pc", F.coalesce("pc", "b"))
     # beyond a factor 3/4 in size no distance was computed; the sizes bound it from below
     status = status.withColumn("lo", F.coalesce("lo", 1 - F.least("n", "pn") / F.greatest("n", "pn"))).withColumn("hi", F.coalesce("hi", F.lit(1.0)))
     status = status.withColumn("inside", F.coalesce("link", F.lit(False))).withColumn("open", F.col("c") != F.col("pc"))
     status = status.withColumn("edge", F.col("open") & (F.col("lo") <= 2 * float(t) + eps)).withColumn("pair", F.xxhash64("a", "b"))
-    status = stage(status.select("a", "b", "pair", "lo", "hi", "inside", "c", "open", "edge"), "status")
+    status = in_few(status.select("a", "b", "pair", "lo", "hi", "inside", "c", "open", "edge"), "status", n_met)
 
     # only regions that hold a pair of two classes go on: found by bit maps of fixed size, so that the others' rows never move
     opened = only_ids(others.withColumn("pair", F.xxhash64("doc_id", "p")), "pair", id_filter(status.where("open"), "pair"))
     opened = stage(opened.select("key"), "opened")
     live = only_ids(others, "key", id_filter(opened, "key"))
-    far = stage(live.join(status.withColumnRenamed("a", "doc_id").withColumnRenamed("b", "p"), ["doc_id", "p"]), "rings")
+    far = in_few(live.join(status.withColumnRenamed("a", "doc_id").withColumnRenamed("b", "p"), ["doc_id", "p"]), "rings", n_region)
     count = lambda c: F.sum(F.when(c, 1).otherwise(0))
     keys = far.groupBy("key").agg(count(F.col("open")).alias("opens"), count(F.col("edge")).alias("edges")).where("opens > 0")
     # members of the ball matter only where the ring between t and 2t has someone of another class
@@ -483,7 +501,7 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     width = rest.groupBy("key").agg(F.count(F.lit(1)).alias("others"), total(F.xxhash64("doc_id", "n", "inside")).alias("like"), total(F.xxhash64("inside", "n", "doc_id", F.lit(1))).alias("like2"))
     # regions of the same members are one; sums tell rows that stand twice from none, and decimals don't overflow
     width = width.where("others > 1").groupBy("like", "like2", "others").agg(F.min("key").alias("key"))
-    rest = stage(rest.join(width.select("key", "others"), "key"), "rest")
+    rest = in_few(rest.join(width.select("key", "others"), "key"), "rest", n_region)
     steps = [linked.select("a", "b")]
     cells, dense = parted(rest.where(F.col("others") > SMALL).select("key", "doc_id", "n"), steps, first.select(F.col("node").alias("doc_id"), F.col("component").alias("c")), resolved, float(t) + eps)
 
@@ -511,7 +529,7 @@ def similar_classes(docs: DataFrame, size: int = 5, share: tuple[int, int] = (3,
     base = [F.col("doc_id"), F.col("n").alias("n_shingles"), F.col("c").alias("component_id")]
     if not count_links:
         return out.select(*base)
-    out = stage(out.select("doc_id", "n", "h1", "h2", "c"), "members")
+    out = in_few(out.select("doc_id", "n", "h1", "h2", "c"), "members", n_docs)
     counted = link_counts(out, texts, size, need)
     return out.join(counted, ["c", "h1", "h2"], "left").select(*base, F.when(F.col("n") > 0, F.coalesce("n_links", F.lit(0))).otherwise(F.lit(0)).cast("long").alias("n_links"))
 

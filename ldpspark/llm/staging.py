@@ -55,6 +55,19 @@ def small_batches(spark: SparkSession, size: str = "4m") -> None:
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", size)
 
 
+#: Rows of a task and file of a stage that is known to be small.
+FEW = 20_000
+
+
+def gathered(df: DataFrame, rows: int, each: int = FEW) -> DataFrame:
+    """``df``, of about ``rows`` rows at most, dealt evenly by ``each`` rows where shuffles make far more partitions: tasks and files of a few rows cost more than their work.
+
+    The number of rows only sets the number of partitions. What is dealt by a key is so before.
+    """
+    parts = max(1, -(-rows // each))
+    return df.repartition(parts) if 4 * parts <= int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")) else df
+
+
 def stage(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as a table in the shared folder and read it back."""
     return stored(df, f"stage-{name}")
