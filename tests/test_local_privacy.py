@@ -418,3 +418,12 @@ def test_budget_and_survey_numbers(spark):
     assert num.bits_per_user("half_space", 6) == 6 and num.bits_per_user("one_coordinate", 6) == 1
     df = spark.createDataFrame([(0, 0.1), (1, 0.3)], "run int, linf double")
     assert mea.coverage(df, 0.2, []).first()["covered"] == 0.5
+
+
+def test_participation_stores_no_slices_for_batches_that_train_on_a_stream(spark, monkeypatch):
+    from ldpspark import queries
+
+    cuts = []
+    monkeypatch.setattr(queries, "sliced", lambda users, *a, kept=queries.sliced: cuts.append(1) or kept(users, *a))
+    assert queries.QUERIES["w16_participation"](spark, SF2.replace("0.01", "0.001")).count() == 3
+    assert not cuts
