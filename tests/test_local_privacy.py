@@ -244,6 +244,43 @@ def test_a_stream_gets_packed_users_in_order(spark):
     assert got == [(*r["x"], r["y"], r["ub"]) for r in sorted(ready.collect(), key=lambda r: r["ub"])]
 
 
+def test_streams_of_stored_users_shuffle_nothing(spark):
+    base = users(spark, SF, NUM4).select("ukey", F.array("quantity", "discount", "tax").alias("x"), F.col("price").alias("y"))
+    ready = descent.prepared(base, 4)
+    rows = descent._streams(stored(descent.packed(ready), "packed"), 3, True)
+    assert "Exchange" not in rows._jdf.queryExecution().executedPlan().toString()
+    assert rows.rdd.glom().map(lambda part: [r["part"] for r in part]).map(lambda p: (len(set(p)), len(p) > 0)).collect() == [(1, True)] * 3
+    want = [(*r["x"], r["y"], r["ub"], r["uj"], r["ut"], r["fold"]) for r in sorted(ready.collect(), key=lambda r: r["ub"])]
+    for i in range(3):
+        own = rows.where(F.col("part") == i).toArrow().to_batches()
+        assert [(*a, *b) for batch in own for _, f, x, y, ub, uj, ut in descent._unpacked(batch, True) for a, b in zip(x.tolist(), zip(y, ub, uj, ut, f))] == want
+
+
+def test_users_are_packed_before_they_are_shuffled(spark, monkeypatch):
+    base = users(spark, SF2, NUM4).select("ukey", F.array("quantity", "discount", "tax").alias("x"), F.col("price").alias("y"))
+    ready = descent.prepared(base, 4, mode="xx")
+    rows = descent.packed(ready)
+    plan = rows._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("MapInArrow") >= 2 and plan.rindex("MapInArrow") > plan.index("Exchange")
+    size = rows.agg(F.sum(F.length("draws")) / F.sum("rows")).first()[0]
+    assert size < 21
+    monkeypatch.setattr(descent, "RANGE", 100_000)  # many ranges and parts give the same order
+    order = lambda df: [tuple(v) for b in df.orderBy("range", "nth").withColumn("part", F.lit(0)).toArrow().to_batches() for _, *cells in descent._unpacked(b, True) for v in zip(*(c.tolist() for c in (cells[0], cells[2], *cells[3:])))]
+    many = descent.packed(ready)
+    assert many.select("range").distinct().count() > rows.select("range").distinct().count()
+    assert order(many) == order(rows)
+
+
+def test_equal_places_have_one_order(spark):
+    rows = [(f"u{i}", [float(i % 3), float(i % 5)], float(i % 2)) for i in range(500)] * 2
+    found = []
+    for parts in (1, 7):
+        ready = descent.prepared(spark.createDataFrame(rows, "ukey string, x array<double>, y double").repartition(parts), 3).withColumn("ub", F.floor(F.col("ub") * 20) / 20)
+        one = descent._streams(ready, 1, True).toArrow().to_batches()
+        found.append([(*x, *v) for b in one for _, f, xs, *rest in descent._unpacked(b, True) for x, v in zip(xs.tolist(), zip(f.tolist(), *(c.tolist() for c in rest)))])
+    assert len(found[0]) == 1000 and found[0] == found[1]
+
+
 @pytest.mark.parametrize("name", ["sgd_exact_linear", "sgd_exact_svm", "sgd_halfspace_linear", "sgd_laplace", "sgd_one_coordinate"])
 def test_registered_descent_takes_the_whole_table(spark, name):
     from ldpspark import queries
