@@ -464,3 +464,68 @@ def test_participation_stores_no_slices_for_batches_that_train_on_a_stream(spark
     monkeypatch.setattr(queries, "sliced", lambda users, *a, kept=queries.sliced: cuts.append(1) or kept(users, *a))
     assert queries.QUERIES["w16_participation"](spark, SF2.replace("0.01", "0.001")).count() == 3
     assert not cuts
+
+
+@pytest.mark.parametrize("kind", losses.KINDS)
+def test_wide_descent_is_compiled_and_takes_the_steps_of_a_walk(spark, monkeypatch, kind):
+    rng = np.random.default_rng(4)
+    rows = [(f"u{i}", [float(v) for v in rng.uniform(-1, 1, 12)], float(rng.choice([-1, 1]))) for i in range(1500)]
+    ready = descent.prepared(spark.createDataFrame(rows, "ukey string, x array<double>, y double"), 3)
+    ordered = sorted(ready.collect(), key=lambda r: r["ub"])
+    models = [descent.Model(f"0.0/{f}", 12, 0.0, 1, f) for f in range(3)]
+    want = {}
+    for n in (None, 64):
+        for f in range(3):
+            own = [r for r in ordered if r["fold"] != f][:n]
+            want[n, f] = len(own), descent.fold_users(np.array([r["x"] for r in own]), np.array([r["y"] for r in own]), kind, 1e-3, 0.05)
+    monkeypatch.setattr(descent, "_unpacked", lambda *a: pytest.fail("a wide model steps through calls of array functions"))
+    stream = stored(descent.packed(ready), "packed")
+    for n in (None, 64):
+        found = descent.sgd(stream, models, kind, 1e-3, 0.05, max_users=n)
+        assert "MapInArrow" not in found._jdf.queryExecution().executedPlan().toString()
+        for r in found.collect():
+            users, w = want[n, int(r["model"][-1])]
+            assert r["users"] == users and np.allclose(r["weights"], w, atol=1e-12)
+
+
+def test_compiled_half_space_reports_are_unbiased_and_fill_the_half_space(spark):
+    """One step from 0 of many folds on one user: the move is the step size times a report of the clamped gradient."""
+    x, d, runs = [1.0, -1.0, 0.5, -0.5, 0.0, 0.25, 1.0, -1.0, 0.75, -0.25], 10, 3000
+    one = descent.prepared(spark.createDataFrame([("u", x, 1.0)], "ukey string, x array<double>, y double"))
+    stream = stored(descent.packed(one), "packed")
+    rows = descent.walked(descent._streams(stream, 1, False), [(0, f, f"{e}/{f}", e) for f in range(runs) for e in (0.5, 3.0)], d, "svm", 0.0, 1.0, True, 42, None).collect()
+    assert len(rows) == 2 * runs
+    for e in (0.5, 3.0):
+        size = C.halfspace_scale(d, e)
+        moves = np.array([r["weights"] for r in rows if r["model"].startswith(f"{e}/")])
+        assert np.allclose(abs(moves), size)
+        assert (abs(moves.mean(0) - np.array(x)) < 4.5 * size / math.sqrt(runs)).all()
+        # the places of certain sign say how often the report agrees
+        sure = [0, 1, 6, 7]
+        assert abs((moves[:, sure] * np.array(x)[sure] > 0).mean() - (1 + 1 / size) / 2) < 4.5 / math.sqrt(4 * runs)
+
+
+def test_packed_users_are_tested_and_projected_where_they_are(spark):
+    for kind in ("linear", "svm"):
+        ready = stored(descent.prepared(ex.learning_view(spark, SF, LI23, kind), 4), "ready")
+        rows = stored(descent.packed(ready), "packed")
+        assert descent.fold_sizes(rows) == {r["fold"]: r["count"] for r in ready.groupBy("fold").count().collect()}
+        p = projection.matrix(20, 85)
+        for users_, table, dim in ((ready, rows, 85), (projection.projected(ready, p), descent.projected_rows(rows, p), 20)):
+            models = [(f"{m}/{f}", f, [float(v) for v in np.random.default_rng(10 * m + f).normal(size=dim)]) for m in (1, 2) for f in range(4)]
+            weights = spark.createDataFrame([(a, b, c) for a, b, c in models], "model string, mfold int, w array<double>")
+            at = users_.join(F.broadcast(weights), F.col("fold") == F.col("mfold"))
+            want = {r["model"]: (r["users"], r["error"]) for r in losses.evaluate(at, F.col("w"), kind, "model").collect()}
+            got = {r["model"]: (r["users"], r["error"]) for r in descent.tested_rows(table, models, kind).collect()}
+            assert got.keys() == want.keys()
+            assert all(got[k][0] == want[k][0] and abs(got[k][1] - want[k][1]) < 1e-9 * max(1, want[k][1]) for k in want)
+
+
+def test_batches_of_the_studies_need_no_jobs(spark, monkeypatch):
+    from ldpspark import queries
+    from ldpspark.erm import crossval
+
+    monkeypatch.setattr(descent, "gradient_sums", lambda *a: pytest.fail("a step is a job"))
+    monkeypatch.setattr(crossval, "sliced", lambda *a: pytest.fail("users are laid out in slices that no step reads"))
+    rows = queries.QUERIES["w10_svm_narrow"](spark, SF2).collect()
+    assert {r["users"] for r in rows} == {60_000} and len(rows) == 21
