@@ -529,3 +529,13 @@ def test_batches_of_the_studies_need_no_jobs(spark, monkeypatch):
     monkeypatch.setattr(crossval, "sliced", lambda *a: pytest.fail("users are laid out in slices that no step reads"))
     rows = queries.QUERIES["w10_svm_narrow"](spark, SF2).collect()
     assert {r["users"] for r in rows} == {60_000} and len(rows) == 21
+
+
+def test_a_cross_validation_reads_few_packed_rows_at_once(spark, monkeypatch):
+    from ldpspark.erm import crossval
+
+    before, seen = spark.conf.get(crossval.READER), []
+    monkeypatch.setattr(crossval, "sgd", lambda rows, *a: seen.append(int(spark.conf.get(crossval.READER))) or descent.sgd(rows, *a))
+    data = spark.createDataFrame([(f"u{i}", [i % 7 / 7, -0.2], 1.0 if i % 3 else -1.0) for i in range(300)], "ukey string, x array<double>, y double")
+    crossval.cross_validated(data, "linear", 300, 2, [1.0], folds=2, r=1).collect()
+    assert len(seen) == 2 and max(seen) <= 64 and spark.conf.get(crossval.READER) == before
